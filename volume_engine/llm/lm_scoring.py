@@ -28,11 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextBatch, crc_bucket, materialise, scan_bytes, text_batches
+from .common import _IS_SPACE, TextBatch, crc_bucket, materialise, scan_bytes, text_batches
 
 DEPTH = 5
 SUBTREE = 2  # context bytes that name a subtree
 END = 10
+SLICE = 1 << 20  # bytes of text worked on at once
 LOG_HALF = math.log(0.5)
 #: Words and grams share the tables; the end token's own fingerprint.
 END_WORD = np.uint64(0x51ED270B0A1CE5D3)
@@ -40,34 +41,36 @@ END_WORD = np.uint64(0x51ED270B0A1CE5D3)
 
 def normal_bytes(batch: TextBatch) -> tuple[np.ndarray, np.ndarray]:
     """The batch's texts as words joined by one space, each closed by the end byte; and their lengths."""
-    starts, ends, counts = batch.words()
-    lengths = ends - starts
-    docs = np.repeat(np.arange(batch.n), counts)
-    per_doc = np.bincount(docs, weights=lengths + 1, minlength=batch.n).astype(np.int64)
-    per_doc[counts == 0] = 1
-    doc_start = np.cumsum(per_doc) - per_doc
-    out = np.full(int(per_doc.sum()), 32, dtype=np.uint8)
-    if len(starts):
-        word_out = np.cumsum(lengths + 1) - (lengths + 1) + np.cumsum(counts == 0)[docs]
-        shift = np.repeat(word_out - starts, lengths)
-        at = np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths) + np.repeat(starts, lengths)
-        out[at + shift] = batch.data[at]
-    out[doc_start + per_doc - 1] = END
-    return out, per_doc
+    n = batch.n
+    tail = batch.bounds[1:] + np.arange(n)  # a blank is put after each text
+    body = np.ones(len(batch.data) + n, dtype=bool)
+    body[tail] = False
+    wide = np.full(len(body), 32, dtype=np.uint8)
+    wide[body] = batch.data
+    solid = ~_IS_SPACE[wide]
+    wide[~solid] = 32
+    keep = solid.copy()
+    keep[1:] |= solid[:-1]
+    _, _, counts = batch.words()
+    keep[tail[counts == 0]] = True
+    lengths = np.diff(np.concatenate([[0], np.cumsum(keep, dtype=np.int64)[tail]]))
+    out = wide[keep]
+    out[np.cumsum(lengths) - 1] = END
+    return out, lengths
 
 
 def gram_keys(batch: TextBatch, depth: int) -> tuple[np.ndarray, np.ndarray]:
     """One key per byte: the nearest context byte on top, the coded byte lowest."""
     data, lengths = normal_bytes(batch)
     first = np.cumsum(lengths) - lengths
-    keys = data.astype(np.uint64)
+    cells = np.zeros((len(data), 8), dtype=np.uint8)  # little-endian 64-bit keys
+    cells[:, 0] = data
     for j in range(1, depth + 1):
-        back = np.full(len(data), END, dtype=np.uint64)
-        back[j:] = data[:-j] if j < len(data) else data[:0]
+        place = depth + 1 - j
+        cells[j:, place] = data[:-j]
         for r in range(j):
-            back[(first + r)[lengths > r]] = END
-        keys |= back << np.uint64(8 * (depth + 1 - j))
-    return keys, lengths
+            cells[(first + r)[lengths > r], place] = END
+    return cells.reshape(-1).view("<u8"), lengths
 
 
 def log_gamma(x: np.ndarray) -> np.ndarray:
@@ -217,13 +220,16 @@ def _block_tokens(depth: int):
         block = table["block"][0].as_py()
         trains = (~table["held_out"].to_numpy()).astype(float)
         keys, counts = [], []
-        for first, batch in text_batches(table["text"]):
+        for first, batch in text_batches(table["text"], SLICE):
             grams, lengths = gram_keys(batch, depth)
             words, word_doc = _word_keys(batch)
             for values, docs in ((grams, np.repeat(np.arange(batch.n), lengths)), (words, word_doc)):
                 codes, seen = _distinct(values)
                 keys.append(seen)
                 counts.append(np.bincount(codes, weights=trains[first + docs], minlength=len(seen)))
+            if len(keys) >= 16:  # keep the pending slices small
+                merged = _merge(keys, counts)
+                keys, counts = [merged[0]], [merged[1]]
         k, c = _merge(keys, counts)
         return pa.table({"block": np.full(len(k), block, np.int32), "key": k.view(np.int64), "n": c.astype(np.int64)})
 
@@ -279,7 +285,7 @@ def _block_scores(depth: int, total: int, vocabulary: int):
         order = np.argsort(keys)
         keys, values = keys[order], known["value"].to_numpy()[order]
         out = {c: [] for c in ("n_tokens", "n_known", "n_bytes", "base_score", "score")}
-        for _, batch in text_batches(docs["text"]):
+        for _, batch in text_batches(docs["text"], SLICE):
             grams, lengths = gram_keys(batch, depth)
             codes, seen = _distinct(grams)
             out["score"].append(np.bincount(np.repeat(np.arange(batch.n), lengths), values[np.searchsorted(keys, seen)][codes], batch.n) / math.log(10))
@@ -296,7 +302,7 @@ def _block_scores(depth: int, total: int, vocabulary: int):
     return run
 
 
-def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int = 16 << 20, least_blocks: int = 32) -> DataFrame:
+def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int = 16 << 20, least_blocks: int = 12, bucket_grams: int = 500_000) -> DataFrame:
     """Score every text of ``docs`` (doc_id, text) by a context tree learned from the rows outside ``held_out``.
 
     ``held_out`` is a boolean column expression.  Returns doc_id, held_out, n_tokens, n_known,
@@ -309,9 +315,11 @@ def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int
     tokens = materialise(dealt.groupBy("block").applyInArrow(_block_tokens(depth), "block int, key long, n long"), "ctw-tokens")
     totals = materialise(tokens.groupBy("key").agg(F.sum("n").alias("n")), "ctw-totals")
     words, grams = totals.filter("key < 0"), totals.filter("key >= 0")
-    total, vocabulary = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count_if(F.col("n") > 0)).first()
-    subtree = F.shiftright("key", 8 * (depth + 1 - SUBTREE)).cast("int")
-    by_subtree = grams.withColumn("subtree", subtree).groupBy("subtree")
+    total, vocabulary, n_grams = totals.agg(*(F.coalesce(x, F.lit(0)) for x in (F.sum(F.expr("if(key < 0, n, 0)")), F.count_if(F.expr("key < 0 and n > 0")), F.count_if(F.expr("key >= 0"))))).first()
+    # whole subtrees of the last context bytes are weighted together, several of them at a time
+    buckets = max(4 * least_blocks, -(-n_grams // bucket_grams))
+    subtree = F.shiftright("key", 8 * (depth + 1 - SUBTREE))
+    by_subtree = grams.withColumn("bucket", F.pmod(F.xxhash64(subtree), F.lit(buckets)).cast("int")).groupBy("bucket")
     # at most 256^2 contexts of 255 nodes, whatever the corpus: the driver may hold them
     roots = by_subtree.applyInArrow(_upper_rows(depth), "bit int, id long, n0 double, n1 double, weighted double").toPandas()
     upper = spark.sparkContext.broadcast(_upper_levels(roots))
