@@ -3,6 +3,10 @@
 from __future__ import annotations
 
 from .lm_scoring import op2_context_tree_score
+from .quality_rules import op8_quality_votes
 
-QUERIES = {"op2_context_tree_score": op2_context_tree_score}
+QUERIES = {
+    "op2_context_tree_score": op2_context_tree_score,
+    "op8_quality_votes": op8_quality_votes,
+}
 ORACLES: dict[str, str] = {}
