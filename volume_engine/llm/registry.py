@@ -2,11 +2,17 @@
 
 from __future__ import annotations
 
+from .language_id import op1_language_mixture
 from .lm_scoring import op2_context_tree_score
+from .mixing import op7_pfair_mix
 from .quality_rules import op8_quality_votes
+from .sharding import op6_minimax_shards
 
 QUERIES = {
+    "op1_language_mixture": op1_language_mixture,
     "op2_context_tree_score": op2_context_tree_score,
+    "op6_minimax_shards": op6_minimax_shards,
+    "op7_pfair_mix": op7_pfair_mix,
     "op8_quality_votes": op8_quality_votes,
 }
 ORACLES: dict[str, str] = {}
