@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .jaccard_join import op5_jaccard_components
 from .language_id import op1_language_mixture
 from .lm_scoring import op2_context_tree_score
 from .mixing import op7_pfair_mix
@@ -11,6 +12,7 @@ from .sharding import op6_minimax_shards
 QUERIES = {
     "op1_language_mixture": op1_language_mixture,
     "op2_context_tree_score": op2_context_tree_score,
+    "op5_jaccard_components": op5_jaccard_components,
     "op6_minimax_shards": op6_minimax_shards,
     "op7_pfair_mix": op7_pfair_mix,
     "op8_quality_votes": op8_quality_votes,
