@@ -8,6 +8,7 @@ from .lm_scoring import op2_context_tree_score
 from .mixing import op7_pfair_mix
 from .quality_rules import op8_quality_votes
 from .sharding import op6_minimax_shards
+from .toxicity import op9_factorization_toxicity
 
 QUERIES = {
     "op1_language_mixture": op1_language_mixture,
@@ -16,5 +17,6 @@ QUERIES = {
     "op6_minimax_shards": op6_minimax_shards,
     "op7_pfair_mix": op7_pfair_mix,
     "op8_quality_votes": op8_quality_votes,
+    "op9_factorization_toxicity": op9_factorization_toxicity,
 }
 ORACLES: dict[str, str] = {}
