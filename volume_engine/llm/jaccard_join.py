@@ -34,6 +34,7 @@ HOT_SHINGLES = 1 << 18  # rows of the broadcast frequency table, whatever the co
 SMALL_BUCKET = 64
 TILE = 1024
 MOST_MATCHES = 4
+MOST_BROADCAST = 1_000_000  # rows of two longs; more wanted classes are joined by shuffle
 
 
 def shingle_sets(texts, width: int, limit: int = SLICE):
@@ -286,14 +287,22 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     buckets = materialise(sorted_postings.mapInArrow(_buckets, bucket_schema), "jaccard-buckets")
 
     firsts = materialise(classes.groupBy("cls").agg(F.min("doc_id").alias("first_doc")), "jaccard-classes")
-    wanted = buckets.select("cls").distinct().join(firsts, "cls").select(F.col("first_doc").alias("doc_id"), F.col("cls").alias("wanted"))
-    found = docs.join(wanted, "doc_id").select("text", "wanted").mapInArrow(_sets(width), "cls long, ids array<long>")
-    sets = materialise(found.groupBy("cls").agg(F.first("ids").alias("ids")), "jaccard-sets")
+
+    def sets_of(wanted: DataFrame) -> DataFrame:
+        """(cls, ids) of the wanted classes, read off one text each; a repeated row may repeat its class."""
+        wanted = materialise(wanted.select("cls").distinct().join(firsts, "cls").select(F.col("first_doc").alias("doc_id"), F.col("cls").alias("wanted")), "jaccard-wanted")
+        few = wanted.count() <= MOST_BROADCAST
+        found = docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("text", "wanted")
+        return materialise(found.mapInArrow(_sets(width), "cls long, ids array<long>"), "jaccard-sets")
+
+    def of_pairs(pairs: DataFrame) -> DataFrame:
+        return pairs.select(F.col("a").alias("cls")).unionByName(pairs.select(F.col("b").alias("cls")))
 
     # 1. every member of a bucket against the bucket's first class
     star = buckets.filter("cls != lead").select(F.col("lead").alias("a"), F.col("cls").alias("b"), *meta_parts("x_", "lead_meta"), *meta_parts("y_"))
     star = star.filter(may_link("x_", "y_", percent)).groupBy("a", "b").agg(F.count("*").alias("k"), F.first(F.expr("least(x_matches, y_matches)")).alias("least_k"))
-    links = materialise(verified(star.filter("k >= least_k"), sets, percent), "jaccard-star-links")
+    star = materialise(star.filter("k >= least_k").select("a", "b"), "jaccard-star-pairs")
+    links = materialise(verified(star, sets_of(of_pairs(star)), percent), "jaccard-star-links")
     roots = materialise(connected(links, "jaccard-star"), "jaccard-star-roots").withColumnRenamed("node", "cls")
 
     # 2. small buckets: pairs of different components
@@ -304,13 +313,15 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     x, y = (small.select("token", *(F.col(c).alias(f"{k}_{c}") for c in ("cls", "root", "n", "pos", "matches"))) for k in ("x", "y"))
     pairs = x.join(y, "token").filter(f"x_cls < y_cls and x_root != y_root and {may_link('x_', 'y_', percent)}")
     pairs = pairs.groupBy(F.col("x_cls").alias("a"), F.col("y_cls").alias("b")).agg(F.count("*").alias("k"), F.first(F.expr("least(x_matches, y_matches)")).alias("least_k"))
-    more = verified(pairs.filter("k >= least_k"), sets, percent)
+    pairs = materialise(pairs.filter("k >= least_k").select("a", "b"), "jaccard-pairs")
 
     # 3. large buckets: tiles of them, verified where their sets are sent
     large = materialise(rooted(buckets.filter("heavy").select("token", "cls", F.floor(F.col("number") / TILE).cast("int").alias("tile"))), "jaccard-large")
     live = large.groupBy("token").agg(F.max("tile").alias("tiles"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select("token", "tiles")
     dealt = large.join(live, "token").withColumn("other", F.explode(F.sequence(F.lit(0), "tiles")))
     dealt = dealt.select("token", "cls", "root", "tile", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
+    sets = sets_of(of_pairs(pairs).unionByName(large.join(live, "token", "left_semi").select("cls")))
+    more = verified(pairs, sets, percent)
     tiles = dealt.join(sets, "cls").groupBy("token", "i", "j").applyInArrow(_tile_links(percent), "a long, b long")
 
     late = materialise(more.unionByName(tiles), "jaccard-late-links")
