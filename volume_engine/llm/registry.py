@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .html_layout import op10_layout_text
 from .jaccard_join import op5_jaccard_components
 from .language_id import op1_language_mixture
 from .lm_scoring import op2_context_tree_score
@@ -18,5 +19,6 @@ QUERIES = {
     "op7_pfair_mix": op7_pfair_mix,
     "op8_quality_votes": op8_quality_votes,
     "op9_factorization_toxicity": op9_factorization_toxicity,
+    "op10_layout_text": op10_layout_text,
 }
 ORACLES: dict[str, str] = {}
