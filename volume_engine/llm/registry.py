@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .decontamination import op3_simhash_leaks
 from .html_layout import op10_layout_text
 from .jaccard_join import op5_jaccard_components
 from .language_id import op1_language_mixture
@@ -14,6 +15,7 @@ from .toxicity import op9_factorization_toxicity
 QUERIES = {
     "op1_language_mixture": op1_language_mixture,
     "op2_context_tree_score": op2_context_tree_score,
+    "op3_simhash_leaks": op3_simhash_leaks,
     "op5_jaccard_components": op5_jaccard_components,
     "op6_minimax_shards": op6_minimax_shards,
     "op7_pfair_mix": op7_pfair_mix,
