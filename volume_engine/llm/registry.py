@@ -9,6 +9,7 @@ from .language_id import op1_language_mixture
 from .lm_scoring import op2_context_tree_score
 from .mixing import op7_pfair_mix
 from .quality_rules import op8_quality_votes
+from .secret_scan import op4_secret_forest
 from .sharding import op6_minimax_shards
 from .toxicity import op9_factorization_toxicity
 
@@ -16,6 +17,7 @@ QUERIES = {
     "op1_language_mixture": op1_language_mixture,
     "op2_context_tree_score": op2_context_tree_score,
     "op3_simhash_leaks": op3_simhash_leaks,
+    "op4_secret_forest": op4_secret_forest,
     "op5_jaccard_components": op5_jaccard_components,
     "op6_minimax_shards": op6_minimax_shards,
     "op7_pfair_mix": op7_pfair_mix,
