@@ -16,6 +16,7 @@ SPACE_RUN = "[ \\t-\\r]+"
 SPACES = " \t\n\x0b\x0c\r"
 
 _own_dir: str | None = None
+_scratch: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -32,9 +33,24 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     """Cut the lineage: write ``df`` as Parquet into the shared folder and read it back."""
     path = f"{shared_dir(df.sparkSession).rstrip('/')}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _scratch.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def scratch_mark() -> int:
+    """Number of tables written so far, for ``drop_scratch``."""
+    return len(_scratch)
+
+
+def drop_scratch(spark: SparkSession, first: int, last: int) -> None:
+    """Delete the tables written between two marks, once nothing lazy reads them any more."""
+    for path in _scratch[first:last]:
+        if path:
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+    _scratch[first:last] = [""] * (last - first)
+
+
 def documents(spark: SparkSession, sf_dir: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return df.select(*columns) if columns else df
