@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, mix64, shingle_hashes, text_batches
+from .common import drop_scratch, materialise, mix64, release, scratch_mark, shingle_hashes, text_batches
 from .components import connected
 
 SLICE = 1 << 20
@@ -282,9 +282,9 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     classes = profile.filter("token is null and n > 0")
 
     postings = docs.select("text").mapInArrow(_postings(width, percent, table), "token long, cls long, meta long")
-    sorted_postings = postings.repartition("token").sortWithinPartitions("token", "cls")
     bucket_schema = "token long, cls long, meta long, lead long, lead_meta long, number long, heavy boolean"
-    buckets = materialise(sorted_postings.mapInArrow(_buckets, bucket_schema), "jaccard-buckets")
+    buckets = materialise(postings.repartition("token").sortWithinPartitions("token", "cls").mapInArrow(_buckets, bucket_schema), "jaccard-buckets")
+    release(spark)
 
     firsts = materialise(classes.groupBy("cls").agg(F.min("doc_id").alias("first_doc")), "jaccard-classes")
 
@@ -301,9 +301,14 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     # 1. every member of a bucket against the bucket's first class
     star = buckets.filter("cls != lead").select(F.col("lead").alias("a"), F.col("cls").alias("b"), *meta_parts("x_", "lead_meta"), *meta_parts("y_"))
     star = star.filter(may_link("x_", "y_", percent)).groupBy("a", "b").agg(F.count("*").alias("k"), F.first(F.expr("least(x_matches, y_matches)")).alias("least_k"))
+    begin = scratch_mark()
     star = materialise(star.filter("k >= least_k").select("a", "b"), "jaccard-star-pairs")
     links = materialise(verified(star, sets_of(of_pairs(star)), percent), "jaccard-star-links")
-    roots = materialise(connected(links, "jaccard-star"), "jaccard-star-roots").withColumnRenamed("node", "cls")
+    roots = connected(links, "jaccard-star")
+    end = scratch_mark()
+    roots = materialise(roots, "jaccard-star-roots").withColumnRenamed("node", "cls")
+    drop_scratch(spark, begin, end)
+    release(spark)
 
     # 2. small buckets: pairs of different components
     def rooted(df: DataFrame) -> DataFrame:
