@@ -1,6 +1,9 @@
 """All registered queries of the volume engine."""
 
+from . import more_queries as _more  # registers its queries too
 from . import queries as _queries
 
+assert _more
+
 QUERIES = dict(_queries.QUERIES)
 ORACLES = dict(_queries.ORACLES)
