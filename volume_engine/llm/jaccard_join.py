@@ -8,9 +8,10 @@ prefix, a larger l, and a pair is verified only if it shares min(l, l') prefix s
 positions and sizes that still allow the similarity.
 
 Components instead of pairs: in every prefix bucket the members are first compared with one of
-them; what is linked then needs no further comparison.  Remaining pairs of different components
-are enumerated in small buckets and verified; in large buckets the members' sets are sent to
-tiles of the bucket, which verify in place and return only a forest of links.  No pair is capped.
+them; what is linked then needs no further comparison.  Where few pairs of different components
+remain (at most a fixed number per member) they are enumerated and verified; in the other buckets
+the members' sets are sent to tiles of the bucket, which verify in place and return only a forest
+of links.  No pair is left out.
 
 Defined results: null, empty and blank texts have no shingles and are linked with nothing; a text
 with fewer than five words is one shingle; equal texts and repeated rows share a component; ties
@@ -33,6 +34,7 @@ CLASS_BITS = np.uint64(59)
 HOT_SHINGLES = 1 << 18  # rows of the broadcast frequency table, whatever the corpus
 SMALL_BUCKET = 64
 TILE = 1024
+PAIRS_PER_ROW = 32  # buckets with more pairs of different components than this per member are tiled
 MOST_MATCHES = 4
 MOST_BROADCAST = 1_000_000  # rows of two longs; more wanted classes are joined by shuffle
 
@@ -310,22 +312,28 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     drop_scratch(spark, begin, end)
     release(spark)
 
-    # 2. small buckets: pairs of different components
     def rooted(df: DataFrame) -> DataFrame:
         return df.join(roots, "cls", "left").withColumn("root", F.coalesce("root", "cls"))
 
-    small = materialise(rooted(buckets.filter("not heavy").select("token", "cls", *meta_parts())), "jaccard-small")
-    x, y = (small.select("token", *(F.col(c).alias(f"{k}_{c}") for c in ("cls", "root", "n", "pos", "matches"))) for k in ("x", "y"))
-    pairs = x.join(y, "token").filter(f"x_cls < y_cls and x_root != y_root and {may_link('x_', 'y_', percent)}")
-    pairs = pairs.groupBy(F.col("x_cls").alias("a"), F.col("y_cls").alias("b")).agg(F.count("*").alias("k"), F.first(F.expr("least(x_matches, y_matches)")).alias("least_k"))
+    rows = materialise(rooted(buckets.select("token", "cls", F.floor(F.col("number") / TILE).cast("int").alias("tile"), *meta_parts())), "jaccard-rows")
+    groups = rows.groupBy("token", "root").agg(F.count("*").alias("k"), F.max("tile").alias("tile"))
+    shape = groups.groupBy("token").agg(F.sum("k").alias("m"), F.sum(F.col("k") * F.col("k")).alias("sq"), F.max_by("root", F.struct("k", "root")).alias("main"), F.max("tile").alias("tiles"))
+    shape = materialise(shape.filter("m * m > sq").withColumn("few", F.expr(f"(m * m - sq) <= 2 * {PAIRS_PER_ROW} * m")), "jaccard-shape")
+
+    # 2. buckets with few pairs of different components: enumerate them, from the members outside the main component
+    here = rows.join(shape.filter("few").select("token", "main"), "token")
+    x, y = (here.select("token", "main", *(F.col(c).alias(f"{k}_{c}") for c in ("cls", "root", "n", "pos", "matches"))) for k in ("x", "y"))
+    pairs = x.filter("x_root != main").join(y.drop("main"), "token").filter(f"x_root != y_root and (y_root = main or x_cls < y_cls) and {may_link('x_', 'y_', percent)}")
+    ends = (F.least("x_cls", "y_cls").alias("a"), F.greatest("x_cls", "y_cls").alias("b"))
+    pairs = pairs.groupBy(*ends).agg(F.count("*").alias("k"), F.first(F.expr("least(x_matches, y_matches)")).alias("least_k"))
     pairs = materialise(pairs.filter("k >= least_k").select("a", "b"), "jaccard-pairs")
 
-    # 3. large buckets: tiles of them, verified where their sets are sent
-    large = materialise(rooted(buckets.filter("heavy").select("token", "cls", F.floor(F.col("number") / TILE).cast("int").alias("tile"))), "jaccard-large")
-    live = large.groupBy("token").agg(F.max("tile").alias("tiles"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo != hi").select("token", "tiles")
-    dealt = large.join(live, "token").withColumn("other", F.explode(F.sequence(F.lit(0), "tiles")))
+    # 3. the other buckets: tiles of them, verified where their sets are sent
+    dealt = rows.select("token", "cls", "root", "tile").join(shape.filter("not few").select("token", "tiles"), "token")
+    crowded = dealt.select("cls")
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "tiles")))
     dealt = dealt.select("token", "cls", "root", "tile", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
-    sets = sets_of(of_pairs(pairs).unionByName(large.join(live, "token", "left_semi").select("cls")))
+    sets = sets_of(of_pairs(pairs).unionByName(crowded))
     more = verified(pairs, sets, percent)
     tiles = dealt.join(sets, "cls").groupBy("token", "i", "j").applyInArrow(_tile_links(percent), "a long, b long")
 

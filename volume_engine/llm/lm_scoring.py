@@ -310,6 +310,8 @@ def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int
     bits_per_byte, the tree's code length per byte.
     """
     spark = docs.sparkSession
+    if not docs.inputFiles():  # only tables in files have a known size
+        docs = materialise(docs.select("doc_id", "text"), "ctw-docs")
     blocks = max(least_blocks, -(-scan_bytes(docs) // block_bytes))
     dealt = docs.select("doc_id", F.col("text"), held_out.alias("held_out"), F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int").alias("block"))
     tokens = materialise(dealt.groupBy("block").applyInArrow(_block_tokens(depth), "block int, key long, n long"), "ctw-tokens")
