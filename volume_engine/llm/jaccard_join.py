@@ -34,6 +34,7 @@ CLASS_BITS = np.uint64(59)
 HOT_SHINGLES = 1 << 18  # rows of the broadcast frequency table, whatever the corpus
 SMALL_BUCKET = 64
 TILE = 1024
+BITMAP_LONGS = 64
 PAIRS_PER_ROW = 32  # buckets with more pairs of different components than this per member are tiled
 MOST_MATCHES = 4
 MOST_BROADCAST = 1_000_000  # rows of two longs; more wanted classes are joined by shuffle
@@ -204,7 +205,11 @@ def _sets(width: int):
                 good = (classes == wanted[first : first + len(sizes)]) & (sizes > 0)
                 ids, sizes = ids[np.repeat(good, sizes)].astype(np.int64), sizes[good]
                 offsets = np.r_[0, np.cumsum(sizes)].astype(np.int32)
-                yield pa.record_batch({"cls": pa.array(classes[good]), "ids": pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids))})
+                bits = np.zeros((len(sizes), BITMAP_LONGS * 64), dtype=bool)
+                bits[np.repeat(np.arange(len(sizes)), sizes), ids % (BITMAP_LONGS * 64)] = True
+                longs = np.packbits(bits, axis=1, bitorder="little").view("<i8").reshape(-1)
+                at = np.arange(len(sizes) + 1, dtype=np.int32) * BITMAP_LONGS
+                yield pa.record_batch({"cls": pa.array(classes[good]), "ids": pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids)), "bits": pa.ListArray.from_arrays(pa.array(at), pa.array(longs))})
 
     return run
 
@@ -268,9 +273,23 @@ def may_link(x: str, y: str, percent: int) -> str:
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose sets reach the similarity."""
-    one, two = (sets.select(F.col("cls").alias(k), F.col("ids").alias(f"{k}_ids")) for k in ("a", "b"))
-    both = pairs.select("a", "b").join(one, "a").join(two, "b").withColumn("shared", F.size(F.array_intersect("a_ids", "b_ids")))
+    """The pairs (a, b) whose sets reach the similarity.
+
+    A bit that only one of two sets has in its bitmap stands for a shingle the other lacks, so the
+    bitmaps, a tenth of the sets' size, bound the overlap; only pairs that they allow move sets.
+    """
+
+    def side(k: str, column: str, of: DataFrame) -> DataFrame:
+        return of.select(F.col("cls").alias(k), F.col(column).alias(f"{k}_{column}"), *([F.size("ids").alias(f"{k}_n")] if column == "bits" else []))
+
+    rough = pairs.select("a", "b").join(side("a", "bits", sets), "a").join(side("b", "bits", sets), "b")
+    lacks = "aggregate(zip_with({0}_bits, {1}_bits, (p, q) -> bit_count(p & ~q)), 0, (s, x) -> s + x)"
+    most = F.least(F.expr("a_n - " + lacks.format("a", "b")), F.expr("b_n - " + lacks.format("b", "a")))
+    rough = rough.select("a", "b", "a_n", "b_n", most.alias("most"))
+    likely = materialise(rough.filter(f"100 * most >= {percent} * (a_n + b_n - most)").select("a", "b"), "jaccard-likely")
+    ends = materialise(likely.select(F.col("a").alias("cls")).unionByName(likely.select(F.col("b").alias("cls"))).distinct(), "jaccard-ends")
+    needed = sets.join(F.broadcast(ends) if ends.count() <= MOST_BROADCAST else ends, "cls", "left_semi")
+    both = likely.join(side("a", "ids", needed), "a").join(side("b", "ids", needed), "b").withColumn("shared", F.size(F.array_intersect("a_ids", "b_ids")))
     return both.filter(f"100 * shared >= {percent} * (size(a_ids) + size(b_ids) - shared)").select("a", "b")
 
 
@@ -295,7 +314,7 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
         wanted = materialise(wanted.select("cls").distinct().join(firsts, "cls").select(F.col("first_doc").alias("doc_id"), F.col("cls").alias("wanted")), "jaccard-wanted")
         few = wanted.count() <= MOST_BROADCAST
         found = docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("text", "wanted")
-        return materialise(found.mapInArrow(_sets(width), "cls long, ids array<long>"), "jaccard-sets")
+        return materialise(found.mapInArrow(_sets(width), "cls long, ids array<long>, bits array<long>"), "jaccard-sets")
 
     def of_pairs(pairs: DataFrame) -> DataFrame:
         return pairs.select(F.col("a").alias("cls")).unionByName(pairs.select(F.col("b").alias("cls")))
