@@ -354,7 +354,7 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     dealt = dealt.select("token", "cls", "root", "tile", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
     sets = sets_of(of_pairs(pairs).unionByName(crowded))
     more = verified(pairs, sets, percent)
-    tiles = dealt.join(sets, "cls").groupBy("token", "i", "j").applyInArrow(_tile_links(percent), "a long, b long")
+    tiles = dealt.join(sets.select("cls", "ids"), "cls").groupBy("token", "i", "j").applyInArrow(_tile_links(percent), "a long, b long")
 
     late = materialise(more.unionByName(tiles), "jaccard-late-links")
     ends = late
