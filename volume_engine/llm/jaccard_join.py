@@ -9,9 +9,10 @@ positions and sizes that still allow the similarity.
 
 Components instead of pairs: in every prefix bucket the members are first compared with one of
 them; what is linked then needs no further comparison.  Where few pairs of different components
-remain (at most a fixed number per member) they are enumerated and verified; in the other buckets
-the members' sets are sent to tiles of the bucket, which verify in place and return only a forest
-of links.  No pair is left out.
+remain (at most a fixed number per member) they are enumerated and verified; the other buckets are
+cut into tiles: bitmaps tell which pairs are possible there; where those are few they are verified as
+pairs, else the sets of the members concerned are sent to the tile, which verifies in place and
+returns only a forest of links.  No pair is left out.
 
 Defined results: null, empty and blank texts have no shingles and are linked with nothing; a text
 with fewer than five words is one shingle; equal texts and repeated rows share a component; ties
@@ -36,6 +37,7 @@ SMALL_BUCKET = 64
 TILE = 1024
 BITMAP_LONGS = 64
 PAIRS_PER_ROW = 32  # buckets with more pairs of different components than this per member are tiled
+NEAR_PER_ROW = 8  # pairs per member of a tile that are verified as pairs; with more, the tile gets the members' sets
 MOST_MATCHES = 4
 MOST_BROADCAST = 1_000_000  # rows of two longs; more wanted classes are joined by shuffle
 
@@ -214,6 +216,47 @@ def _sets(width: int):
     return run
 
 
+def _tile_candidates(percent: int):
+    """The pairs (a, b) of different components of one tile pair that the bitmaps allow to be linked.
+
+    Where they are more than a fixed number per member, the members concerned (cls) instead.
+    """
+
+    def run(table: pa.Table) -> pa.Table:
+        left, right = table["i"][0].as_py(), table["j"][0].as_py()
+        roots, tile, n = (table[k].to_numpy() for k in ("root", "tile", "n"))
+        bits = table["bits"].combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(n), -1)
+        n = n.astype(np.int64)
+        classes = table["cls"].to_numpy()
+        found = np.zeros(len(n), dtype=bool)
+        ends, held = [], 0
+        for x in range(len(n)):
+            other = (roots != roots[x]) & (100 * np.minimum(n, n[x]) >= percent * np.maximum(n, n[x]))
+            if left != right:
+                other &= tile != tile[x]
+            at = np.flatnonzero(other)
+            both = np.bitwise_count(bits[at] & bits[x]).sum(axis=1, dtype=np.int64)
+            mine, theirs = np.bitwise_count(bits[x]).sum(dtype=np.int64) - both, np.bitwise_count(bits[at]).sum(axis=1, dtype=np.int64) - both
+            most = np.minimum(n[x] - mine, n[at] - theirs)
+            near = at[100 * most >= percent * (n[x] + n[at] - most)]
+            found[near] = True
+            found[x] |= len(near) > 0
+            if held <= NEAR_PER_ROW * len(n):
+                after = near[classes[near] > classes[x]]
+                held += len(after)
+                ends.append((np.full(len(after), classes[x]), classes[after]))
+        if held <= NEAR_PER_ROW * len(n):
+            a, b = (np.concatenate(e) for e in zip(*ends, strict=True))
+            cls = pa.nulls(held, pa.int64())
+        else:
+            cls = pa.array(classes[found])
+            a = b = pa.nulls(len(cls), pa.int64())
+        same = {k: pa.array(np.full(len(cls), v), t) for k, v, t in (("token", table["token"][0].as_py(), pa.int64()), ("i", left, pa.int32()), ("j", right, pa.int32()))}
+        return pa.table(same | {"cls": cls, "a": a, "b": b})
+
+    return run
+
+
 def _tile_links(percent: int):
     """Verify the pairs of one tile pair of a large bucket; return a forest of new links."""
 
@@ -348,13 +391,18 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     pairs = materialise(pairs.filter("k >= least_k").select("a", "b"), "jaccard-pairs")
 
     # 3. the other buckets: tiles of them, verified where their sets are sent
-    dealt = rows.select("token", "cls", "root", "tile").join(shape.filter("not few").select("token", "tiles"), "token")
-    crowded = dealt.select("cls")
+    dealt = rows.select("token", "cls", "root", "tile", "n").join(shape.filter("not few").select("token", "tiles"), "token")
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "tiles")))
-    dealt = dealt.select("token", "cls", "root", "tile", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
-    sets = sets_of(of_pairs(pairs).unionByName(crowded))
+    dealt = dealt.select("token", "cls", "root", "tile", "n", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
+    dealt = materialise(dealt, "jaccard-dealt")
+    sets = sets_of(of_pairs(pairs).unionByName(dealt.select("cls")))
+    place = ["token", "i", "j"]
+    near = dealt.join(sets.select("cls", "bits"), "cls").groupBy(*place).applyInArrow(_tile_candidates(percent), "token long, i int, j int, cls long, a long, b long")
+    near = materialise(near, "jaccard-near")
+    pairs = materialise(pairs.unionByName(near.filter("a is not null").select("a", "b")).distinct(), "jaccard-all-pairs")
     more = verified(pairs, sets, percent)
-    tiles = dealt.join(sets.select("cls", "ids"), "cls").groupBy("token", "i", "j").applyInArrow(_tile_links(percent), "a long, b long")
+    dealt = materialise(dealt.join(near.filter("cls is not null"), [*place, "cls"], "left_semi").drop("n"), "jaccard-tiled")
+    tiles = dealt.join(sets.select("cls", "ids"), "cls").groupBy(*place).applyInArrow(_tile_links(percent), "a long, b long")
 
     late = materialise(more.unionByName(tiles), "jaccard-late-links")
     ends = late
