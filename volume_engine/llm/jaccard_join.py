@@ -207,10 +207,12 @@ def _sets(width: int):
                 good = (classes == wanted[first : first + len(sizes)]) & (sizes > 0)
                 ids, sizes = ids[np.repeat(good, sizes)].astype(np.int64), sizes[good]
                 offsets = np.r_[0, np.cumsum(sizes)].astype(np.int32)
-                bits = np.zeros((len(sizes), BITMAP_LONGS * 64), dtype=bool)
-                bits[np.repeat(np.arange(len(sizes)), sizes), ids % (BITMAP_LONGS * 64)] = True
-                longs = np.packbits(bits, axis=1, bitorder="little").view("<i8").reshape(-1)
-                at = np.arange(len(sizes) + 1, dtype=np.int32) * BITMAP_LONGS
+                # at least four bits per shingle, in a power of two of longs
+                width_of = BITMAP_LONGS << np.ceil(np.log2(np.maximum(sizes / (16 * BITMAP_LONGS), 1))).astype(np.int64)
+                at = np.r_[0, np.cumsum(width_of)]
+                bits = np.zeros(at[-1] * 64, dtype=bool)
+                bits[np.repeat(at[:-1] * 64, sizes) + ids % np.repeat(width_of * 64, sizes)] = True
+                longs, at = np.packbits(bits, bitorder="little").view("<i8"), at.astype(np.int32)
                 yield pa.record_batch({"cls": pa.array(classes[good]), "ids": pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids)), "bits": pa.ListArray.from_arrays(pa.array(at), pa.array(longs))})
 
     return run
@@ -225,7 +227,10 @@ def _tile_candidates(percent: int):
     def run(table: pa.Table) -> pa.Table:
         left, right = table["i"][0].as_py(), table["j"][0].as_py()
         roots, tile, n = (table[k].to_numpy() for k in ("root", "tile", "n"))
-        bits = table["bits"].combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(n), -1)
+        lists = table["bits"].combine_chunks()
+        longs, edges = lists.flatten().to_numpy().view(np.uint64), lists.offsets.to_numpy()
+        edges = edges - edges[0]
+        bits = np.array([np.bitwise_or.reduce(longs[p:q].reshape(-1, BITMAP_LONGS)) for p, q in zip(edges[:-1], edges[1:], strict=True)])
         n = n.astype(np.int64)
         classes = table["cls"].to_numpy()
         found = np.zeros(len(n), dtype=bool)
@@ -326,6 +331,9 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         return of.select(F.col("cls").alias(k), F.col(column).alias(f"{k}_{column}"), *([F.size("ids").alias(f"{k}_n")] if column == "bits" else []))
 
     rough = pairs.select("a", "b").join(side("a", "bits", sets), "a").join(side("b", "bits", sets), "b")
+    # sizes within the similarity's ratio differ by one doubling of the bitmap at most: the halves of the longer one fold
+    fold = "if(size({0}_bits) > size({1}_bits), zip_with(slice({0}_bits, 1, size({1}_bits)), slice({0}_bits, size({1}_bits) + 1, size({1}_bits)), (p, q) -> p | q), {0}_bits)"
+    rough = rough.withColumns({f"{x}_bits": F.expr(fold.format(x, y)) for x, y in ("ab", "ba")})
     lacks = "aggregate(zip_with({0}_bits, {1}_bits, (p, q) -> bit_count(p & ~q)), 0, (s, x) -> s + x)"
     most = F.least(F.expr("a_n - " + lacks.format("a", "b")), F.expr("b_n - " + lacks.format("b", "a")))
     rough = rough.select("a", "b", "a_n", "b_n", most.alias("most"))
