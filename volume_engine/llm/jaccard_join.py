@@ -37,7 +37,7 @@ SMALL_BUCKET = 64
 TILE = 1024
 BITMAP_LONGS = 64
 PAIRS_PER_ROW = 32  # buckets with more pairs of different components than this per member are tiled
-NEAR_PER_ROW = 8  # pairs per member of a tile that are verified as pairs; with more, the tile gets the members' sets
+NEAR_PER_ROW = 1  # pairs per member of a tile that are verified as pairs; with more, the tile gets the members' sets
 MOST_MATCHES = 4
 MOST_BROADCAST = 1_000_000  # rows of two longs; more wanted classes are joined by shuffle
 
