@@ -2,8 +2,9 @@
 
 from . import more_queries as _more  # registers its queries too
 from . import queries as _queries
+from . import view_queries as _views
 
-assert _more
+assert _more and _views
 
 QUERIES = dict(_queries.QUERIES)
 ORACLES = dict(_queries.ORACLES)
