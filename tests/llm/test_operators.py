@@ -277,6 +277,27 @@ def test_secrets(spark):
     assert out == {0: True, 1: False, 2: False, 5: False, 6: True}
 
 
+def test_secrets_after_other_runs_of_the_word(spark):
+    a, b, c = "Zm9vYmFyMTIzNDU2Nzg5MGFi", "04dbebab91ab85687d33eeaaf9ac699e1188f962", "q7Rt2Lm9Xz4Bv8Nc1Kp5Ws3D"
+    texts = [
+        f"AWS_SECRET_ACCESS_KEY={a}",
+        f'{{"client_secret":"{b}","refresh_token":"{c}"}}',
+        f"S3_SECRET_ACCESS_KEY={a}",
+        f"https://api.example.com/v1?access_token={a}&key={c}",
+        "long_name_without_digits=another_long_name",
+        "first.person.7@mail7.example.com",
+    ]
+    found = secret_scan.candidates(table(spark, texts)).collect()
+    assert sorted((r.doc_id, r.candidate, r.glued) for r in found) == sorted([
+        (0, a, "AWS_SECRET_ACCESS_KEY="), (1, b, 'client_secret":"'), (1, c, 'refresh_token":"'),
+        (2, "S3_SECRET_ACCESS_KEY", ""), (2, a, "S3_SECRET_ACCESS_KEY="),
+        (3, "//api.example.com/v1", "https:"), (3, a, "access_token="), (3, c, "&key="),
+        (5, "first.person.7", ""), (5, "mail7.example.com", "@"),
+    ])
+    verdict = {(r.doc_id, r.candidate): r.secret for r in secret_scan.scan_secrets(table(spark, texts)).collect()}
+    assert all(verdict[k] for k in ((0, a), (1, b), (1, c), (2, a), (3, a), (3, c))) and not verdict[5, "mail7.example.com"]
+
+
 def test_toxicity_learns_pairs(spark):
     """Two terms are harmless alone and toxic together: an interaction, not a sum."""
     rng = random.Random(7)

@@ -1,7 +1,7 @@
 """Secret scan with a random forest that removes false positives, in DataFrame expressions only.
 
-Candidates are words that hold a run of at least twelve characters of the key alphabet with a
-digit in it.  Each is described by its length, its character classes and the transitions between
+Candidates are all runs of at least twelve characters of the key alphabet with a digit in them, of
+which a word (compact JSON, a query string) may hold several.  Each is described by its length, its character classes and the transitions between
 them, the share of it that dictionary words cover, whether it looks like a path, address or
 version, and the words around it.  A random forest (JVM) trained on labelled findings decides.
 
@@ -9,7 +9,7 @@ Labelled findings come from the caller as (candidate, glued, before, before2, af
 none are given, ``example_findings`` builds a set from stated templates by rule.
 
 Defined results: null, blank and short texts have no candidates and give no row; a repeated row
-repeats its findings; equal words at several places are several findings; an empty table gives an
+repeats its findings; equal words at several places are several findings, and so are several runs of a word; an empty table gives an
 empty result; extra columns are ignored.
 """
 
@@ -33,14 +33,17 @@ FEATURES = ["length", "digits", "capitals", "marks", "hex", "transitions", "repe
 
 
 def candidates(docs: DataFrame) -> DataFrame:
-    """doc_id, at (word number), candidate, glued (what stands before it in the word), before, before2, after."""
+    """doc_id, at (word number), candidate, glued (what stands before it in the word, from the run before on), before, before2, after."""
     words = docs.select("doc_id", word_array(F.col("text")).alias("words"))
     hits = f"filter(sequence(0, size(words)), i -> length(get(words, i)) >= 12 and get(words, i) rlike '[0-9]' and get(words, i) rlike '{RUN}')"
     places = words.select("doc_id", F.expr(f"transform({hits}, i -> struct(i as at, words[i] as word, coalesce(get(words, i - 1), '') as before, coalesce(get(words, i - 2), '') as before2, coalesce(get(words, i + 1), '') as after))").alias("places"))
     # the outer form keeps a filter from being pushed below the word arrays
-    found = places.select("doc_id", F.explode_outer("places").alias("p")).select("doc_id", "p.*")
-    split = found.withColumn("candidate", F.regexp_extract("word", "([A-Za-z0-9+/_.\\-]{12,})", 1)).withColumn("glued", F.regexp_extract("word", "^(.*?)[A-Za-z0-9+/_.\\-]{12,}", 1))
-    return split.filter("at is not null and candidate rlike '[0-9]'").select("doc_id", "at", "candidate", "glued", "before", "before2", "after")
+    found = places.select("doc_id", F.explode_outer("places").alias("p")).select("doc_id", "p.*").filter("at is not null")
+    # gaps[k] stands before runs[k]; a run that a sign of assignment follows is the name of the next one
+    cut = found.withColumns({"runs": F.expr(f"regexp_extract_all(word, '{RUN}', 0)"), "gaps": F.expr(f"split(word, '{RUN}')")})
+    name = "case when k > 0 and gaps[k] rlike '^[\"\\'`]?[=:]' then regexp_extract(runs[k - 1], '[A-Za-z0-9_-]*$', 0) else '' end"
+    each = cut.withColumn("r", F.explode(F.expr(f"filter(transform(runs, (run, k) -> struct(run as candidate, concat({name}, gaps[k]) as glued)), r -> r.candidate rlike '[0-9]')")))
+    return each.select("doc_id", "at", "r.candidate", "r.glued", "before", "before2", "after")
 
 
 def described(findings: DataFrame) -> DataFrame:
