@@ -271,6 +271,23 @@ def test_mix_keeps_all_rows(spark):
     assert mixing.mix(df.filter("false")).count() == 0
 
 
+def test_mix_follows_the_exact_weights(spark):
+    """Far beyond a thousand slots, and with more sources than a thousand."""
+    rows = 20 * 200
+    out = mixing.mix(table(spark, ["x"] * rows, sources={i: f"s{i % 20}" for i in range(rows)}), block_rows=1)
+    done = collections.Counter()
+    for t, r in enumerate(sorted(out.select("source", "slot").collect(), key=lambda r: r.slot)):
+        assert r.slot == t and all(abs(done[f"s{k}"] - t / 20) < 1 for k in range(20))
+        done[r.source] += 1
+    weights = {f"s{k}": 1 + k % 7 for k in range(1400)}
+    plan = list(mixing.blocks_in_order(weights, {s: w * 2 for s, w in weights.items()}))
+    assert [p[4] for p in plan] == list(range(2 * sum(weights.values())))
+    half = collections.Counter(p[0] for p in plan[: len(plan) // 2])
+    assert half == weights
+    tiny = list(mixing.blocks_in_order({"a": 1, "b": 1e-6}, {"a": 3, "b": 2}))
+    assert tiny[-1][0] == "b" and tiny[-1][2] in (1_000_000, 1_000_001) and tiny[-1][4] == tiny[-1][2]
+
+
 def test_secrets(spark):
     texts = ['set token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" now', "card 9807915762804490 here", "see commit 04dbebab91ab85687d33eeaaf9ac699e1188f962 for more", None, "", "write to a.34@mail7.example.com please", "api_key=Zm9vYmFyMTIzNDU2Nzg5MGFi"]
     out = {r.doc_id: r.secret for r in secret_scan.scan_secrets(table(spark, texts)).collect()}

@@ -2,10 +2,10 @@
 
 The rows of a source are cut into blocks.  Under weight w, block j of a source (from 1) may not
 start before slot floor((j - 1) / w) and must be out by slot ceil(j / w); in every slot the
-released block with the earliest deadline goes next.  With weights in units of 1 / period the
-schedule repeats after ``period`` slots, so the driver works out one period only and the slot of
-any block follows by arithmetic; before any slot, each source has had its weighted share of slots to within
-less than one block.  Where a source has run out its slots stay empty and the others close up.
+released block with the earliest deadline goes next.  Weights are exact fractions and the driver
+works out the slots of all blocks, some at a time, so before any slot, each source that has not run
+out has had its weighted share of slots to within less than one block, whatever the number of slots
+and sources.  Where a source has run out its slots stay empty and the others close up.
 
 Defined results: a null source is a source of its own; null and empty texts are rows like others;
 rows that repeat keep their number; an empty table gives an empty result; all rows are kept; extra
@@ -15,18 +15,23 @@ columns pass through ``mix``.
 from __future__ import annotations
 
 import heapq
-from collections.abc import Mapping
+import math
+from collections.abc import Iterator, Mapping
+from fractions import Fraction
+from functools import reduce
+from itertools import islice
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from .common import materialise
 from .ordering import place
 
 NO_SOURCE = "\x00null"
+PLAN = {"_source": pa.string(), "block": pa.int64(), "release": pa.int64(), "deadline": pa.int64(), "slot": pa.int64(), "_start": pa.int64()}
+#: Blocks of the schedule that the driver holds at once.
+PLAN_BLOCKS = 1_000_000
 
 
 def units(weights: Mapping[str, float], period: int) -> dict[str, int]:
@@ -43,35 +48,68 @@ def units(weights: Mapping[str, float], period: int) -> dict[str, int]:
     return out
 
 
+def blocks_in_order(weights: Mapping[str, float], blocks: Mapping[str, int]) -> Iterator[tuple[str, int, int, int, int]]:
+    """(source, block from 0, release, deadline, slot) of all blocks, earliest deadline first; what is held is one block a source."""
+    if any(not 0 < weights[s] < math.inf for s in blocks):
+        raise ValueError("weights must be positive and finite")
+    exact = {s: Fraction(weights[s]) for s in blocks}
+    scale = math.lcm(*(w.denominator for w in exact.values()))
+    units_of = {s: int(w * scale) for s, w in exact.items()}
+    total = sum(units_of.values())
+    coming = [(0, -units_of[s], s, 0) for s in blocks if blocks[s]]
+    heapq.heapify(coming)
+    ready: list[tuple[int, int, str, int, int]] = []
+    slot = 0
+    while coming or ready:
+        if not ready:
+            slot = max(slot, coming[0][0])
+        while coming and coming[0][0] <= slot:
+            release, k, s, j = heapq.heappop(coming)
+            heapq.heappush(ready, (-((j + 1) * total // k), k, s, j, release))
+        deadline, k, s, j, release = heapq.heappop(ready)
+        if deadline <= slot:
+            raise AssertionError("a block missed its deadline")
+        yield s, j, release, deadline, slot
+        if j + 1 < blocks[s]:
+            heapq.heappush(coming, ((j + 1) * total // -k, k, s, j + 1))
+        slot += 1
+
+
 def schedule(shares: Mapping[str, int]) -> dict[str, list[tuple[int, int, int]]]:
     """(release, deadline, slot) of each source's blocks in one period, earliest deadline first."""
-    period = sum(shares.values())
-    releases = sorted(((j * period) // k, -(-(j + 1) * period // k), -k, s) for s, k in shares.items() for j in range(k))
     out: dict[str, list[tuple[int, int, int]]] = {s: [] for s in shares}
-    ready: list[tuple[int, int, str, int]] = []
-    coming = iter([*releases, None])
-    item = next(coming)
-    for slot in range(period):
-        while item is not None and item[0] <= slot:
-            heapq.heappush(ready, (item[1], item[2], item[3], item[0]))
-            item = next(coming)
-        deadline, _, source, release = heapq.heappop(ready)
-        if deadline <= slot:
-            raise AssertionError("a block missed its deadline")
-        out[source].append((release, deadline, slot))
+    for s, _, *times in blocks_in_order(shares, shares):
+        out[s].append(tuple(times))
     return out
 
 
+def placed_blocks(spark, weights: Mapping[str, float], counts: Mapping[str, int], block_rows: int) -> DataFrame:
+    """The schedule of all blocks with ``_start``, the position of a block's first row, written piece by piece."""
+    order = blocks_in_order(weights, {s: -(-n // block_rows) for s, n in counts.items()})
+    start, pieces = 0, []
+    while not pieces or piece:
+        piece = []
+        for s, j, *times in islice(order, PLAN_BLOCKS):
+            piece.append((s, j, *times, start))
+            start += min(block_rows, counts[s] - j * block_rows)
+        if piece or not pieces:
+            columns = list(zip(*piece, strict=True)) or [()] * len(PLAN)
+            plan = spark.createDataFrame(pa.table([pa.array(c, t) for c, t in zip(columns, PLAN.values(), strict=True)], names=list(PLAN)))
+            pieces.append(materialise(plan, f"mix-plan-{len(pieces)}"))
+    return reduce(DataFrame.unionByName, pieces)
+
+
 def default_weights(counts: Mapping[str, int], temperature: float = 0.5) -> dict[str, float]:
     """Target weights that flatten the sources' sizes."""
     return {s: n**temperature for s, n in counts.items()}
 
 
-def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, source: str = "source", doc_id: str = "doc_id", block_rows: int = 64, period: int = 1024, seed: int = 0) -> DataFrame:
+def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, source: str = "source", doc_id: str = "doc_id", block_rows: int = 64, period: int | None = None, seed: int = 0) -> DataFrame:
     """``docs`` with ``block``, ``release``, ``deadline``, ``slot`` and the gapless ``position`` of the mixed order.
 
-    The rows of a source follow a seeded hash of ``doc_id``.  The number of sources, not of rows,
-    bounds what the driver holds.
+    The rows of a source follow a seeded hash of ``doc_id``.  A caller who gives a ``period`` has the
+    weights rounded to whole slots of it first.  The driver's time grows with the number of blocks;
+    what it holds is bounded by the sources and a piece of the schedule.
     """
     spark = docs.sparkSession
     named = docs.withColumns({"_source": F.coalesce(F.col(source), F.lit(NO_SOURCE)), "_draw": F.xxhash64(F.col(doc_id), F.lit(seed))})
@@ -84,44 +122,12 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, source: str
         counts[r["_source"]] = counts.get(r["_source"], 0) + r["n"]
     offsets = spark.createDataFrame(table, "_source string, pid int, shift long")
     wanted = default_weights(counts) if weights is None else {s: weights[s] for s in counts}
-    shares = units(wanted, max(period, len(counts))) if counts else {}
-    plan = {s: np.array(p) for s, p in schedule(shares).items()} if counts else {}
-    length = sum(shares.values())
-    names = sorted(plan)
-    used = np.zeros((len(names), length + 1), dtype=np.int64)  # blocks of a source before each slot of the period
-    for i, s in enumerate(names):
-        used[i, plan[s][:, 2] + 1] = 1
-    used = used.cumsum(axis=1)
-    rows_of = np.array([counts[s] for s in names])
-    units_of = np.array([shares[s] for s in names])
+    if period and counts:
+        wanted = units(wanted, max(period, len(counts)))
+    plan = placed_blocks(spark, wanted, counts, block_rows)
     ranked = placed.join(F.broadcast(offsets), ["_source", "pid"]).withColumn("_rank", F.col("idx") + F.col("shift"))
-    extra = T._parse_datatype_string("block long, release long, deadline long, slot long, position long").fields
-    keep = [f for f in docs.schema.fields]
-
-    def run(batches):
-        index = {s: i for i, s in enumerate(names)}
-        for batch in batches:
-            table = pa.Table.from_batches([batch])
-            which = np.array([index[s] for s in table["_source"].to_pylist()], dtype=np.int64)
-            rank = table["_rank"].to_numpy()
-            block = rank // block_rows
-            out = np.zeros((4, len(rank)), dtype=np.int64)
-            for i in np.unique(which):
-                own = which == i
-                cycle, j = np.divmod(block[own], units_of[i])
-                out[:3, own] = plan[names[i]][j].T + cycle * length
-            slots, back = np.unique(out[2], return_inverse=True)
-            cycle, s = np.divmod(slots, length)
-            before = np.zeros(len(slots), dtype=np.int64)
-            for i in range(len(names)):
-                before += np.minimum(rows_of[i], (cycle * units_of[i] + used[i, s]) * block_rows)
-            out[3] = before[back] + rank % block_rows
-            kept = table.select([f.name for f in keep])
-            for name, values in zip(("block", "release", "deadline", "slot", "position"), (block, *out), strict=True):
-                kept = kept.append_column(name, pa.array(values))
-            yield from kept.to_batches()
-
-    return ranked.select(*(f.name for f in keep), "_source", "_rank").mapInArrow(run, T.StructType([*keep, *extra]))
+    found = ranked.withColumn("block", F.expr(f"_rank div {block_rows}")).join(plan, ["_source", "block"])
+    return found.select(*docs.columns, "block", "release", "deadline", "slot", F.expr(f"_start + _rank % {block_rows}").alias("position"))
 
 
 def op7_pfair_mix(spark, sf_dir) -> DataFrame:
