@@ -213,6 +213,33 @@ def test_session_refines_at_rest_and_falls_back_on_moves():
         s.step("nothing")
 
 
+def interleaved(x, y, z):
+    return sum((x >> i & 1) << 3 * i | (y >> i & 1) << 3 * i + 1 | (z >> i & 1) << 3 * i + 2 for i in range(21))
+
+
+def scan_table(spark, path, users):
+    """An events table with one view a row, and its voxels as x, y, z, v."""
+    import datetime
+    import json
+
+    cells = [(u, n * 11 % 100, n * 7 % 30, 100 * (n + 1)) for n, u in enumerate(users)]
+    start = datetime.datetime(2024, 1, 1)
+    data = [(n, start + datetime.timedelta(hours=6 * z), x, "view", v / 100, json.dumps({"k": y})) for n, (x, y, z, v) in enumerate(cells)]
+    spark.createDataFrame(data, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string").write.parquet(f"{path}/events.parquet")
+    return cells
+
+
+def test_depth_of_the_queries_follows_the_volume(spark, tmp_path):
+    """Bricks 32 apart along an axis share the last five octal digits of their keys."""
+    cells = scan_table(spark, tmp_path, [3, 3 + 8 * 32, 3 + 8 * 64, 700, 1499])
+    got = lambda name: registry.QUERIES[name](spark, str(tmp_path)).collect()
+    keys = [(interleaved(x // 8, y // 8, z // 8), v) for x, y, z, v in cells]
+    assert {(r.key, r.path) for r in got("node_path_octal")} == {(k, f"{k:08o}") for k, _ in keys}
+    want = {(l, k >> 3 * l): [v for other, v in keys if other >> 3 * l == k >> 3 * l] for k, _ in keys for l in range(9)}
+    assert {(r.level, r.key): (r.lo, r.hi, r.s, r.cnt) for r in got("octree_rollup_stats")} == {k: (min(v), max(v), sum(v), len(v)) for k, v in want.items()}
+    assert {r.level: r.nodes for r in got("recursive_ancestors")} == {l: len({k >> 3 * l for k, _ in keys}) for l in range(9)}
+
+
 ORACLED = [
     "perspective_rays", "optimal_lod", "metric_lod_histogram", "full_frame_image", "metric_image_error", "trilinear_sample", "trilinear_halo_equals_global", "trilinear_clamped",
     "base_neighbour_fetch_count", "intermix_image_level", "intermix_sample_level", "base_haar_bytes", "metric_requests_per_pass", "metric_slot_occupancy", "metric_traversal_steps",

@@ -391,8 +391,9 @@ def _(spark, sf_dir):
 
 @register("recursive_ancestors", f"{SCAN}, bk AS (SELECT DISTINCT {O.morton('x // 8', 'y // 8', 'z // 8')} AS key FROM vox) SELECT l AS level, count(DISTINCT key >> CAST(3 * l AS INT)) AS nodes FROM bk, range(0, 4) AS t(l) GROUP BY l")
 def _(spark, sf_dir):
+    _, vm = open_volume(spark, sf_dir, "scan")
     k = scan_bricks(spark, sf_dir).select(grid.morton3(F.col("ix"), F.col("iy"), F.col("iz")).alias("key"))
-    up = k.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(3)))).withColumn("key", F.expr("shiftright(key, 3 * level)"))
+    up = k.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(vm.top)))).withColumn("key", F.expr("shiftright(key, 3 * level)"))
     return up.groupBy("level").agg(F.count_distinct("key").alias("nodes"))
 
 

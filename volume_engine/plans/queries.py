@@ -142,8 +142,9 @@ def _(spark, sf_dir):
 
 @register("node_path_octal", f"{_BRICKS} SELECT key, lpad(substr(CAST(d0 AS VARCHAR) || CAST(d1 AS VARCHAR) || CAST(d2 AS VARCHAR) || CAST(d3 AS VARCHAR) || CAST(d4 AS VARCHAR), 1, 5), 5, '0') AS path FROM (SELECT key, (key >> 12) & 7 AS d0, (key >> 9) & 7 AS d1, (key >> 6) & 7 AS d2, (key >> 3) & 7 AS d3, key & 7 AS d4 FROM (SELECT {O.morton('ix', 'iy', 'iz')} AS key FROM bk) AS k) AS d")
 def _(spark, sf_dir):
+    _, vm = open_volume(spark, sf_dir, "scan")
     k = scan_bricks(spark, sf_dir).select(grid.morton3(F.col("ix"), F.col("iy"), F.col("iz")).alias("key"))
-    return k.withColumn("path", F.expr("lpad(right(conv(cast(key as string), 10, 8), 5), 5, '0')"))
+    return k.withColumn("path", F.expr(f"lpad(conv(cast(key as string), 10, 8), {vm.top}, '0')"))
 
 
 # --- mipmap and bricks -----------------------------------------------------------------------
@@ -243,12 +244,13 @@ for _vol in ("scan", "ribbon"):
 @register("octree_rollup_stats", f"""WITH {O.voxels('scan')}, k AS (SELECT {O.morton('x // 8', 'y // 8', 'z // 8')} AS key, v FROM vox)
     SELECT l AS level, key >> CAST(3 * l AS INT) AS key, min(v) AS lo, max(v) AS hi, sum(v)::BIGINT AS s, count(*) AS cnt FROM k, range(0, 4) AS t(l) GROUP BY 1, 2""")
 def _(spark, sf_dir):
-    v, _ = open_volume(spark, sf_dir, "scan")
+    v, vm = open_volume(spark, sf_dir, "scan")
     key = grid.morton3(F.expr("x div 8"), F.expr("y div 8"), F.expr("z div 8"))
-    k = v.select(key.alias("key"), "v").select(*(F.shiftright("key", 3 * l).alias(f"k{l}") for l in (3, 2, 1, 0)), "v")
-    r = k.rollup("k3", "k2", "k1", "k0").agg(F.grouping_id().alias("gid"), F.min("v").alias("lo"), F.max("v").alias("hi"), F.sum("v").alias("s"), F.count("*").alias("cnt")).filter("gid < 15")
-    level = F.expr("case gid when 0 then 0 when 1 then 1 when 3 then 2 else 3 end")
-    return r.select(level.alias("level"), F.coalesce("k0", "k1", "k2", "k3").alias("key"), "lo", "hi", "s", "cnt")
+    names = [f"k{l}" for l in range(vm.top + 1)]
+    k = v.select(key.alias("key"), "v").select(*(F.shiftright("key", 3 * l).alias(n) for l, n in enumerate(names)), "v")
+    r = k.rollup(*reversed(names)).agg(F.grouping_id().alias("gid"), F.min("v").alias("lo"), F.max("v").alias("hi"), F.sum("v").alias("s"), F.count("*").alias("cnt"))
+    r = r.withColumn("level", F.bit_count("gid")).filter(f"level <= {vm.top}")
+    return r.select("level", F.coalesce(*names).alias("key"), "lo", "hi", "s", "cnt")
 
 
 @register("threshold_sweep", f"WITH {O.nodes('scan', 3276.75, 3)} SELECT threshold, count(*) AS bricks, sum(CAST(spread >= threshold AS INT))::BIGINT AS stored FROM nodes, (VALUES (0.0::DOUBLE), (655.35), (3276.75), (6553.5), (32767.5)) AS t(threshold) GROUP BY threshold")
