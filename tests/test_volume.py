@@ -240,6 +240,28 @@ def test_depth_of_the_queries_follows_the_volume(spark, tmp_path):
     assert {r.level: r.nodes for r in got("recursive_ancestors")} == {l: len({k >> 3 * l for k, _ in keys}) for l in range(9)}
 
 
+def test_keys_beyond_1024_bricks(spark, tmp_path):
+    cells = scan_table(spark, tmp_path, [5, 8192 + 5, 2 * 8192 + 5, 150_000])
+    want = {(x // 8, y // 8, z // 8): interleaved(x // 8, y // 8, z // 8) for x, y, z, _ in cells}
+    assert {(r.ix, r.iy, r.iz): r.key for r in registry.QUERIES["morton_encode"](spark, str(tmp_path)).collect()} == want
+    assert {(r.ix, r.iy, r.iz): r.key for r in registry.QUERIES["morton_decode"](spark, str(tmp_path)).collect()} == want
+    # bricks 0 and 1 with their parent are homogeneous, 1024 and 1025 with theirs are not: neither may hide the other
+    vm = grid.VolumeMeta("long", (4096, 1, 1), (2, 2, 2))
+    spikes = [(x, 0, 0, 0, 9) for x in (0, 1, 2, 3)] + [(2048 + x, 0, 0, 0, 9) for x in (0, 3)]
+    stats = spark.createDataFrame([(l, x >> l + 1, 0, 0, 0, 2, 9 * (l == 0), 9, 9 * (x < 4), 9, 9) for l in (0, 1) for x in (0, 2, 2048, 2050) if l == 0 or x % 4 == 0], "level int, ix int, iy int, iz int, c int, n long, bmin long, bmax long, smin long, smax long, avg long")
+    kept = {(r.level, r.key) for r in octree.collapse(octree.build_nodes(stats, vm, 5), vm).collect()}
+    assert kept == {(1, 0), (1, interleaved(512, 0, 0)), (0, interleaved(1024, 0, 0)), (0, interleaved(1025, 0, 0))}
+    assert mipmap.pack_bricks(rows(spark, spikes), vm, 0).select("key").distinct().count() == 4
+
+
+def test_a_coordinate_that_does_not_fit_is_an_error(spark):
+    for x, bits in ((1 << 21, 21), (8, 3), (-1, 21)):
+        with pytest.raises(Exception, match="brick coordinate beyond"):
+            spark.createDataFrame([(x,)], "x int").select(grid.morton3(F.col("x"), F.lit(0), F.lit(0), bits)).collect()
+    with pytest.raises(ValueError):
+        grid.morton3(F.lit(0), F.lit(0), F.lit(0), 22)
+
+
 ORACLED = [
     "perspective_rays", "optimal_lod", "metric_lod_histogram", "full_frame_image", "metric_image_error", "trilinear_sample", "trilinear_halo_equals_global", "trilinear_clamped",
     "base_neighbour_fetch_count", "intermix_image_level", "intermix_sample_level", "base_haar_bytes", "metric_requests_per_pass", "metric_slot_occupancy", "metric_traversal_steps",

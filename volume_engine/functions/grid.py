@@ -8,6 +8,8 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 AXES = ("x", "y", "z")
+#: Bits of a coordinate in a Morton key: three axes fill a long.
+KEY_BITS = 21
 
 
 @dataclass(frozen=True)
@@ -32,6 +34,11 @@ class VolumeMeta:
         """Level of the root brick."""
         return fit_levels(self.dims, self.brick)
 
+    @property
+    def key_bits(self) -> int:
+        """Bits an axis that the Morton keys of the volume's bricks need."""
+        return max(1, self.top)
+
     def at_level(self, level: int) -> tuple[int, int, int]:
         """Voxel dimensions of a level."""
         return tuple(-(-d // (1 << level)) for d in self.dims)
@@ -80,12 +87,19 @@ def spread_bits(col: Column, axis: int, bits: int) -> Column:
     return out
 
 
-def morton3(ix: Column, iy: Column, iz: Column, bits: int = 10) -> Column:
-    """Interleaved key of brick coordinates: parent = key >> 3, octant = key & 7."""
-    return spread_bits(ix, 0, bits).bitwiseOR(spread_bits(iy, 1, bits)).bitwiseOR(spread_bits(iz, 2, bits))
+def morton3(ix: Column, iy: Column, iz: Column, bits: int = KEY_BITS) -> Column:
+    """Interleaved key of brick coordinates: parent = key >> 3, octant = key & 7.
+
+    A coordinate that does not fit in ``bits`` (negative ones never do) is an error, as its key would be another brick's.
+    """
+    if not 0 < bits <= KEY_BITS:
+        raise ValueError(f"a key holds 1 to {KEY_BITS} bits an axis")
+    key = spread_bits(ix, 0, bits).bitwiseOR(spread_bits(iy, 1, bits)).bitwiseOR(spread_bits(iz, 2, bits))
+    every = ix.cast("long").bitwiseOR(iy.cast("long")).bitwiseOR(iz.cast("long"))
+    return F.when(F.shiftright(every, bits) != 0, F.raise_error(F.lit(f"brick coordinate beyond {bits} bits")).cast("long")).otherwise(key)
 
 
-def demorton3(key: Column, axis: int, bits: int = 10) -> Column:
+def demorton3(key: Column, axis: int, bits: int = KEY_BITS) -> Column:
     out = F.lit(0).cast("long")
     for i in range(bits):
         out = out.bitwiseOR(F.shiftleft(F.shiftright(key, 3 * i + axis).bitwiseAND(F.lit(1).cast("long")), i))

@@ -86,7 +86,7 @@ def choose_level(samples: DataFrame, camera: Camera, vm: VolumeMeta) -> DataFram
         level = level + (footprint >= F.lit(float(1 << l))).cast("int")
     rows = samples.withColumn("level", level)
     place = [F.expr(f"shiftright({a}, level) div {m}") for a, m in zip(AXES, vm.brick, strict=True)]
-    return rows.withColumn("key", morton3(*place))
+    return rows.withColumn("key", morton3(*place, bits=vm.key_bits))
 
 
 def resolve_at(samples: DataFrame, nodes: DataFrame, resident: DataFrame) -> DataFrame:

@@ -9,8 +9,6 @@ from pyspark.sql import functions as F
 
 from ..functions.grid import AXES, VolumeMeta, coords, inside, morton3
 
-KEY_BITS = 10
-
 
 def shard_height(vm: VolumeMeta, most: int = 4096) -> int:
     """Lowest level with at most ``most`` bricks: its bricks are the units that rows are partitioned by."""
@@ -24,7 +22,7 @@ def sharded(voxels: DataFrame, vm: VolumeMeta) -> tuple[DataFrame, int]:
     """Voxels partitioned once by their brick at the shard level; grouping by (shard, ...) needs no further exchange below it."""
     height = shard_height(vm)
     place = [F.expr(f"{a} div {m << height}") for a, m in zip(AXES, vm.brick, strict=True)]
-    return voxels.withColumn("shard", morton3(*place, bits=KEY_BITS)).repartition("shard"), height
+    return voxels.withColumn("shard", morton3(*place, bits=vm.key_bits)).repartition("shard"), height
 
 
 def half_sample(mip: DataFrame, vm: VolumeMeta, level: int, keys: tuple[str, ...] = ()) -> DataFrame:
@@ -99,7 +97,7 @@ def pack_bricks(mip: DataFrame, vm: VolumeMeta, level: int, layout: str = "inter
     rows = mip.select(*(c.alias(k) for k, c in coords(level, vm).items()), F.expr(f"cast({offset} as int)").alias("off"), "v")
     packed = rows.groupBy("ix", "iy", "iz").agg(F.map_from_entries(F.collect_list(F.struct("off", "v"))).alias("m"))
     body = f"transform(sequence(0, {cells * vm.channels - 1}), i -> coalesce(try_element_at(m, i), {vm.background}L))"
-    return packed.select(F.lit(level).alias("level"), morton3(F.col("ix"), F.col("iy"), F.col("iz")).alias("key"), "ix", "iy", "iz", F.expr(body).alias("body"))
+    return packed.select(F.lit(level).alias("level"), morton3(F.col("ix"), F.col("iy"), F.col("iz"), vm.key_bits).alias("key"), "ix", "iy", "iz", F.expr(body).alias("body"))
 
 
 def unpack_bricks(bricks: DataFrame, vm: VolumeMeta) -> DataFrame:

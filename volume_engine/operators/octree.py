@@ -17,7 +17,7 @@ def build_nodes(stats: DataFrame, vm: VolumeMeta, threshold: float) -> DataFrame
         F.max(F.col("bmax") - F.col("bmin")).alias("spread"), F.max(F.col("smax") - F.col("smin")).alias("subspread"), F.max("n").alias("n"),
         *(F.coalesce(F.max(F.when(F.col("c") == c, F.col("avg"))), F.lit(vm.background)).alias(f"avg{c}") for c in range(vm.channels)),
     )
-    key = morton3(F.col("ix"), F.col("iy"), F.col("iz"))
+    key = morton3(F.col("ix"), F.col("iy"), F.col("iz"), vm.key_bits)
     return g.withColumns({"key": key, "homog": F.col("spread") < threshold, "subhomog": F.col("subspread") < threshold})
 
 
