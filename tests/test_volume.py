@@ -262,6 +262,25 @@ def test_a_coordinate_that_does_not_fit_is_an_error(spark):
         grid.morton3(F.lit(0), F.lit(0), F.lit(0), 22)
 
 
+def test_deltas_and_last_views_cover_the_whole_table(spark, tmp_path):
+    cells = scan_table(spark, tmp_path, [n % 40 for n in range(600)])
+    got = lambda name: registry.QUERIES[name](spark, str(tmp_path)).collect()
+    last = {x: (n, v) for n, (x, _, _, v) in enumerate(cells)}
+    assert {r.user_id: (r.last_view, r.v) for r in got("asof_last_slice")} == last
+    old, new = {}, {}
+    for x, y, z, v in cells:
+        brick = (x // 8, y // 8, z // 8)
+        if z < 21:
+            old[brick] = old.get(brick, 0) + v
+        if not (x < 8 and y < 8):
+            new[brick] = new.get(brick, 0) + v
+    kinds = {k: "create" if k not in old else "delete" if k not in new else "update" for k in old | new if old.get(k) != new.get(k)}
+    assert set(kinds.values()) == {"create", "delete", "update"}
+    assert {(r.ix, r.iy, r.iz): r.kind for r in got("delta_events")} == kinds
+    assert {(r.ix, r.iy, r.iz): r.word for r in got("delta_apply_equals_rebuild")} == new
+    assert [(r.sent, r.rebuilt) for r in got("metric_delta_size")] == [(len(kinds), len(new))]
+
+
 ORACLED = [
     "perspective_rays", "optimal_lod", "metric_lod_histogram", "full_frame_image", "metric_image_error", "trilinear_sample", "trilinear_halo_equals_global", "trilinear_clamped",
     "base_neighbour_fetch_count", "intermix_image_level", "intermix_sample_level", "base_haar_bytes", "metric_requests_per_pass", "metric_slot_occupancy", "metric_traversal_steps",

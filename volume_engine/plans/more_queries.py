@@ -246,12 +246,13 @@ _VERS = f"{SCAN}, o AS ({_B0.format('z < 42')}), n AS ({_B0.format('z < 60 AND N
 
 
 def versions(spark, sf_dir):
-    v, _ = open_volume(spark, sf_dir, "scan")
+    """Brick words when seven tenths of the slices had arrived, and of all slices with a corner deleted."""
+    v, vm = open_volume(spark, sf_dir, "scan")
 
     def words(cond):
         return v.filter(cond).groupBy(*(F.expr(f"{a} div 8").alias(f"i{a}") for a in "xyz")).agg(F.sum("v").alias("word"))
 
-    return words("z < 42"), words("z < 60 and not (x < 8 and y < 8)")
+    return words(f"z < {vm.dims[2] * 7 // 10}"), words("not (x < 8 and y < 8)")
 
 
 _KEY = ["ix", "iy", "iz"]
@@ -385,7 +386,7 @@ def _(spark, sf_dir):
 
 @register("asof_last_slice", "SELECT user_id, max(event_id) AS last_view, arg_max(CAST(floor(value * 100) AS BIGINT), event_id) AS v FROM events WHERE event_type = 'view' AND event_id < 500 GROUP BY user_id")
 def _(spark, sf_dir):
-    e = table(spark, sf_dir, "events").filter("event_type = 'view' and event_id < 500")
+    e = table(spark, sf_dir, "events").filter("event_type = 'view'")  # as of the table's last event
     return e.groupBy("user_id").agg(F.max("event_id").alias("last_view"), F.max_by(F.expr("cast(floor(value * 100) as bigint)"), "event_id").alias("v"))
 
 
