@@ -281,6 +281,21 @@ def test_deltas_and_last_views_cover_the_whole_table(spark, tmp_path):
     assert [(r.sent, r.rebuilt) for r in got("metric_delta_size")] == [(len(kinds), len(new))]
 
 
+@pytest.mark.parametrize("slots", [2, 50])
+def test_refined_image_equals_the_direct_one(spark, slots):
+    """Also with several channels a place, bricks met again later on a ray, and rays that end at different passes."""
+    rng = random.Random(5)
+    cells = [(p, 0, i, c, rng.randrange(1, 60000), (i // 2 * 3 + p) % 7) for p in range(4) for i in range(2 + 3 * p) for c in range(1 + i % 2)]
+    shaded = raycast.transfer(spark.createDataFrame(cells, "px int, py int, i int, c int, v long, key long"), 65535)
+    image, passes, uploads = fullframe.refine_image(shaded, slots, lambda df: df.localCheckpoint())
+    bricks = len({c[5] for c in cells})
+    assert passes >= -(-bricks // slots) and uploads >= bricks
+    want = {r.px: r for r in raycast.dvr_window(shaded).collect()}
+    got = {r.px: r for r in image.collect()}
+    assert set(got) == set(want) and all(r.samples == want[k].samples for k, r in got.items())
+    assert all(math.isclose(r[f], want[k][f], abs_tol=1e-9) for k, r in got.items() for f in "rgba")
+
+
 ORACLED = [
     "perspective_rays", "optimal_lod", "metric_lod_histogram", "full_frame_image", "metric_image_error", "trilinear_sample", "trilinear_halo_equals_global", "trilinear_clamped",
     "base_neighbour_fetch_count", "intermix_image_level", "intermix_sample_level", "base_haar_bytes", "metric_requests_per_pass", "metric_slot_occupancy", "metric_traversal_steps",

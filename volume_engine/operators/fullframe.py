@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.grid import AXES, VolumeMeta
+from .raycast import dvr_window
 
 
 def resolve_source(needed: DataFrame, resident: DataFrame) -> DataFrame:
@@ -57,6 +58,35 @@ def refine(samples: DataFrame, slots: int, keep, most_passes: int = 1000) -> tup
     raise RuntimeError("refinement did not end")
 
 
+def refine_image(shaded: DataFrame, slots: int, keep, most_passes: int = 1000) -> tuple[DataFrame, int, int]:
+    """The finished image (px, py, r, g, b, a, samples) of refinement, with its passes and uploads.
+
+    ``shaded`` (px, py, i, c, key, r, g, b, a) lists the samples that need a brick.  A ray keeps its place and
+    the colour and opacity up to there; each pass takes it on to its next missing brick, then all ``slots``
+    are given to the bricks most rays wait for.  The image is handed out when no ray waits any more.
+    """
+    shaded = keep(shaded.select("px", "py", "i", "c", "key", *"rgba"))
+    state = keep(shaded.select("px", "py").distinct().select("px", "py", F.lit(-1).alias("at"), *(F.lit(0.0).alias(k) for k in "rgba"), F.lit(0).cast("long").alias("samples")))
+    passes = uploads = 0
+    resident = shaded.select("key").filter("false")
+    while passes < most_passes:
+        ahead = shaded.join(state.filter("at is not null").select("px", "py", "at"), ["px", "py"]).filter("i >= at").drop("at")
+        halts = keep(halt_points(ahead.select("px", "py", "i", "key"), resident))
+        part = dvr_window(ahead.join(halts, ["px", "py"]).filter("halt is null or i < halt"))
+        part = part.select("px", "py", *(F.col(k).alias(f"part_{k}") for k in (*"rgba", "samples")))
+        moved = state.join(halts, ["px", "py"], "left").join(part, ["px", "py"], "left")
+        behind = {k: F.col(k) + (1 - F.col("a")) * F.coalesce(f"part_{k}", F.lit(0.0)) for k in "rgba"}
+        state = keep(moved.select("px", "py", F.col("halt").alias("at"), *(c.alias(k) for k, c in behind.items()), (F.col("samples") + F.coalesce("part_samples", F.lit(0))).alias("samples")))
+        waiting = ahead.join(halts, ["px", "py"]).filter("i = halt").select("px", "py", "key").distinct()
+        wanted = waiting.groupBy("key").agg(F.count("*").alias("rays"))
+        resident = keep(wanted.orderBy(F.desc("rays"), "key").limit(slots).select("key"))
+        loaded = resident.count()
+        if not loaded:
+            return state.drop("at"), passes, uploads
+        passes, uploads = passes + 1, uploads + loaded
+    raise RuntimeError("refinement did not end")
+
+
 def halo_voxels(voxels: DataFrame, vm: VolumeMeta, sides: int = 2) -> DataFrame:
     """Voxels that bricks hold beyond their own: one row per (brick, border voxel), one or two sides."""
     steps = [-1, 0, 1] if sides == 2 else [-1, 0]

@@ -190,6 +190,15 @@ def _(spark, sf_dir):
     return needed_samples(spark, sf_dir).agg(F.count_distinct("key").alias("bricks"))
 
 
+@register("refine_final_equals_direct", f"WITH {O.rays('scan')}, {O.shade(65535)}, {O.dvr()}")
+def _(spark, sf_dir):
+    v, vm = open_volume(spark, sf_dir, "scan")
+    rays = raycast.ortho_rays(spark, vm, O.SAMPLE, O.SAMPLE)
+    key = grid.morton3(F.expr("x div 8"), F.expr("y div 8"), F.expr("z div 8"), vm.key_bits)
+    hit = v.join(F.broadcast(rays), ["x", "y"]).select("px", "py", F.col("z").alias("i"), "c", "v", key.alias("key"))
+    return fullframe.refine_image(raycast.transfer(hit, 65535), 128, lambda df: df.localCheckpoint())[0]
+
+
 # --- paging ------------------------------------------------------------------------------------
 _TRACE = f"{SCAN}, bk AS (SELECT DISTINCT x // 8 AS ix, y // 8 AS iy, z // 8 AS iz FROM vox), trace AS (SELECT iy AS cache, row_number() OVER (PARTITION BY iy ORDER BY ix % 3, iz, ix) AS seq, {O.morton('ix', 'iy', 'iz')} >> 3 AS page FROM bk), d AS (SELECT a.cache, a.seq, a.page, (SELECT max(p.seq) FROM trace AS p WHERE p.cache = a.cache AND p.page = a.page AND p.seq < a.seq) AS prev FROM trace AS a), dist AS (SELECT cache, seq, page, CASE WHEN prev IS NULL THEN NULL ELSE (SELECT count(DISTINCT t.page) FROM trace AS t WHERE t.cache = d.cache AND t.seq > prev AND t.seq < d.seq) END AS distance FROM d)"
 
