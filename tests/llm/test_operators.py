@@ -155,6 +155,19 @@ def test_quality_measures(spark, corpus):
         assert r.base_failed == (len(w) < 50 or 100 * len(cover) > 50 * len(w)) and not (r.base_failed and r.kept)
 
 
+def test_prose_of_scripts_without_case_is_kept(spark):
+    rng = random.Random(4)
+    scripts = [("यह लोग किताब पानी में और हिन्दी शहर", " ।"), ("यह लोग किताब पानी में और हिन्दी शहर", "।"), ("שלום ספר מים עיר אנשים וגם כאן", "."), ("كتاب ماء مدينة ناس هنا وهذا جميل", "؟"), ("今天 天气 我们 学习 城市 书本", "。")]
+    prose = [POOL] * 40 + [[a + b for a in w.split() for b in w.split()] for w, _ in scripts]
+    ends = ["."] * 40 + [e for _, e in scripts]
+    texts = [" ".join(" ".join(words(rng, 10, pool)) + end for _ in range(30)) for pool, end in zip(prose, ends, strict=True)]
+    texts += ["x1 " * 100 + "# $ % & " * 30] * 8 + ["今天天气很好，我们学习。城市很大！", "АБВ ДЕЖ Мир мир."]
+    out = {r.doc_id: r for r in quality_rules.judge(table(spark, texts), keep_text=False).collect()}
+    assert all(out[i].kept for i in range(45)) and not any(out[i].kept for i in range(45, 53))
+    assert all(out[i].n_ends == 30 for i in range(45)) and all(out[i].n_plain == 300 for i in range(45))
+    assert (out[53].n_plain, out[53].n_ends, out[54].n_plain, out[54].n_ends) == (1, 2, 2, 1)
+
+
 def test_label_model_finds_the_bad_rule():
     patterns = [((1, 1, 0), 900), ((-1, -1, -1), 80), ((1, -1, 0), 20)]
     model = quality_rules.fit_label_model(patterns, 3)

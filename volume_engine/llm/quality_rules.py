@@ -45,8 +45,15 @@ RULES = (
     Rule("capitals", "n_capitals > 0.3 * word_chars", "false"),
     Rule("exclamations", "n_shouts > 0.1 * n_words", "false"),
 )
-#: Letters, at most the first of them a capital, with at most one mark of punctuation behind.
-PLAIN_WORD = "(?<![^ \\t-\\r])\\p{L}\\p{Ll}*[.,;:]?(?![^ \\t-\\r])"
+#: Sentence ends of other scripts, which may stand behind a blank or have no blank behind them, and their lesser marks.
+OTHER_ENDS = "\u0589\u061f\u06d4\u0964\u0965\u104b\u1362\u1367\u17d4\u3002\uff01\uff1f\uff61"
+OTHER_MARKS = "\u060c\u061b\u104a\u1363\u3001\uff0c\uff1a\uff1b"
+#: Letters with their marks, at most the first of them a capital, with at most one mark of punctuation behind; marks of scripts without blanks may stand inside.
+OTHER_PART = f"\\p{{Lo}}\\p{{Lm}}\\p{{M}}\\u200c\\u200d{OTHER_ENDS}{OTHER_MARKS}"
+PLAIN_WORD = f"(?<![^ \\t-\\r])\\p{{L}}\\p{{Ll}}*+(?:[{OTHER_PART}][\\p{{Ll}}{OTHER_PART}]*+)?+[.,;:]?+(?![^ \\t-\\r])"
+#: What is rare is tested first in both.
+SENTENCE_END = "[.!?](?<=[\\p{L}\\p{M}].)(?![^ \\t-\\r])"
+OTHER_END = f"[\\u0589-\\uffff&&[{OTHER_ENDS}]]"
 BASE_FAILED = "n_words < 50 or 100 * n_repeat_words > 50 * n_words"
 
 
@@ -78,7 +85,7 @@ def measures(docs: DataFrame, text: str = "text") -> DataFrame:
         "n_lines": F.size("_q_lines").cast("long"),
         "n_capitals": F.regexp_count(body, F.lit("\\p{Lu}")).cast("long"),
         "n_plain": F.regexp_count(body, F.lit(PLAIN_WORD)).cast("long"),
-        "n_ends": F.regexp_count(body, F.lit("\\p{L}[.!?](?![^ \\t-\\r])")).cast("long"),
+        "n_ends": (F.regexp_count(body, F.lit(SENTENCE_END)) + F.regexp_count(body, F.lit(OTHER_END))).cast("long"),
         "n_shouts": F.regexp_count(body, F.lit("!+")).cast("long"),
     }
     return df.withColumns(out).drop("_q_words", "_q_hash", "_q_sorted", "_q_repeat", "_q_lines")
