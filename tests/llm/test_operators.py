@@ -366,6 +366,22 @@ def test_layout(page, text):
     assert html_layout.render(page) == text
 
 
+UNUSUAL_PAGES = [
+    ("a <math><mi>x</mi><mo>=</mo><mn>1</mn><annotation>tex</annotation></math> b", "a x=1 b"),
+    ("<svg><title>t</title><desc>d</desc><defs><text>n</text></defs><metadata>m</metadata><path d='M0'/><text>Jan</text><text>Feb</text></svg>z", "Jan Feb z"),
+    ("<svg/>a<svg><defs/><title/><g><text>b <tspan>c</tspan></text></g></svg>", "a b c"),
+    ("<div style='visibility:hidden'>x<span style='visibility: visible'>y</span>z</div>", "y"),
+    ("<div style='display:none'>x<span style='visibility: visible'>y</span></div>z", "z"),
+    ("<ul style='visibility:hidden'><li>a<li style='visibility:visible'>b</ul><hr style='visibility:hidden'>c", "* b\n\nc"),
+    ("<a href=x/>y</a>", "y"),
+]
+
+
+@pytest.mark.parametrize("page,text", UNUSUAL_PAGES)
+def test_layout_of_formulas_drawings_and_visibility(page, text):
+    assert html_layout.render(page) == text
+
+
 def test_pipeline_stages(spark, tmp_path, corpus):
     """Stages against their brute-force forms on a written table."""
     import corpus_pipeline as p

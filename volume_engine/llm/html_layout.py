@@ -27,7 +27,10 @@ from pyspark.sql import DataFrame
 # Element sets of the HTML standard and default margins of its rendering section.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
-UNSEEN = frozenset("head script style template title iframe noembed noframes object audio video canvas svg math datalist map".split())
+UNSEEN = frozenset("head script style template title iframe noembed noframes object audio video canvas datalist map".split())
+FOREIGN = frozenset(["svg", "math"])
+#: Elements inside svg or math that are not rendered themselves.
+FOREIGN_UNSEEN = frozenset("desc defs metadata symbol clippath mask pattern marker annotation annotation-xml".split())
 CLOSES_P = frozenset(
     "address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul li dd dt xmp".split()
 )
@@ -55,7 +58,15 @@ BARRIER = frozenset(["table", "td", "th", "caption", "template", "html", "button
 _TOKEN = re.compile(r"<!--.*?(?:--!?>|\Z)|<[!?][^>]*>?|<(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _ATTRIBUTE = re.compile(r"([^\s\"'<>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'=<>`]+)))?")
 _BLANKS = re.compile(r"[ \t\n\f\r]+")
-_HIDING = re.compile(r"display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)", re.I)
+_NO_BOX = re.compile(r"display\s*:\s*none|content-visibility\s*:\s*hidden", re.I)
+_VISIBILITY = re.compile(r"(?<![\w-])visibility\s*:\s*(visible|initial|hidden|collapse)", re.I)
+_BARE_VALUE = re.compile(r"=\s*[^\s\"'=<>`]+/\Z")
+
+
+def visible(attrs: dict[str, str], inherited: bool) -> bool:
+    """Whether an element's own text shows: the last visibility of its style, else its parent's."""
+    own = _VISIBILITY.findall(attrs["style"]) if "style" in attrs else []
+    return own[-1].lower() in ("visible", "initial") if own else inherited
 
 
 def attributes(text: str) -> dict[str, str]:
@@ -66,8 +77,8 @@ def attributes(text: str) -> dict[str, str]:
 
 
 def tokens(page: str):
-    """("text", s), ("start", name, attributes) and ("end", name) in page order."""
-    at, n = 0, len(page)
+    """("text", s), ("start", name, attributes) and ("end", name) in page order; in svg and math a tag may close itself."""
+    at, n, foreign = 0, len(page), 0
     while at < n:
         m = _TOKEN.search(page, at)
         if m is None:
@@ -80,9 +91,16 @@ def tokens(page: str):
         if not name:
             continue
         if m[1]:
+            foreign -= foreign > 0 and name in FOREIGN
             yield "end", name, None
             continue
         yield "start", name, attributes(m[3]) if m[3] else {}
+        foreign += name in FOREIGN
+        if foreign and m[3].endswith("/") and not _BARE_VALUE.search(m[3]):
+            foreign -= name in FOREIGN
+            if name not in VOID:
+                yield "end", name, None
+            continue
         if name in RAW:
             close = re.compile(rf"</{re.escape(name)}(?=[\s/>])[^>]*>?", re.I).search(page, at)
             body = page[at : close.start()] if close else page[at:]
@@ -197,12 +215,13 @@ class Table:
 class Open:
     """An open element."""
 
-    __slots__ = ("chosen", "flow", "hidden", "item", "keeps", "name", "options", "span", "table")
+    __slots__ = ("chosen", "flow", "foreign", "hidden", "item", "keeps", "name", "options", "seen", "span", "table")
 
     def __init__(self, name: str, hidden: bool, keeps: bool):
         self.name, self.hidden, self.keeps = name, hidden, keeps
         self.flow = self.table = self.options = self.chosen = None
         self.item, self.span = 0, 1
+        self.seen, self.foreign = True, False
 
 
 class Renderer:
@@ -229,8 +248,9 @@ class Renderer:
     def start(self, name: str, attrs: dict[str, str]) -> None:
         if name in ("html", "body"):
             self.leave("head")
-            if "hidden" in attrs or _HIDING.search(attrs.get("style", "")):
+            if "hidden" in attrs or _NO_BOX.search(attrs.get("style", "")):
                 self.stack[-1].hidden = True
+            self.stack[-1].seen = visible(attrs, self.stack[-1].seen)
             return
         if name in CLOSES_P and self.reaches("p", BARRIER):
             self.leave("p")
@@ -289,17 +309,23 @@ class Renderer:
     # layout --------------------------------------------------------------------------------
     def push(self, name: str, attrs: dict[str, str]) -> None:
         parent = self.stack[-1]
-        hidden = parent.hidden or name in UNSEEN or "hidden" in attrs or bool("style" in attrs and _HIDING.search(attrs["style"]))
+        hidden = parent.hidden or name in UNSEEN or "hidden" in attrs or bool("style" in attrs and _NO_BOX.search(attrs["style"])) or parent.foreign and name in FOREIGN_UNSEEN
         if parent.name == "details" and parent.chosen is False and name != "summary" or name == "dialog" and "open" not in attrs:
             hidden = True
         e = Open(name, hidden, parent.keeps or name in ("pre", "textarea", "xmp"))
+        e.seen = visible(attrs, parent.seen)
+        e.foreign = name in FOREIGN or parent.foreign and name != "foreignobject"
         self.stack.append(e)
         if name == "details":
             e.chosen = "open" in attrs
         if hidden:
             return
         flow = self.flows[-1]
-        if name == "br":
+        if name == "text" and e.foreign:
+            flow.blank = True  # placed on its own
+        elif name in ("br", "hr") and not e.seen:
+            flow.break_line()
+        elif name == "br":
             flow.break_line(True)
         elif name == "hr":
             flow.block(0)
@@ -342,6 +368,8 @@ class Renderer:
         e = self.stack.pop()
         if e.hidden:
             return e.name
+        if e.name == "text" and e.foreign:
+            self.flows[-1].blank = True
         if e.table is not None:
             self.tables.pop()
             flow = self.flows[-1]
@@ -378,7 +406,7 @@ class Renderer:
 
     def text(self, value: str) -> None:
         e = self.stack[-1]
-        if e.hidden:
+        if e.hidden or not e.seen:
             return
         if e.name == "details" and e.chosen is False:
             return
