@@ -152,8 +152,8 @@ def _buckets(batches):
     held = None  # an unfinished short run
     open_run = None  # (token, leader cls, leader meta, rows so far, last cls) of an unfinished long run
 
-    def emit(t, c, m, lead_c, lead_m, number, heavy):
-        return pa.record_batch({"token": pa.array(t), "cls": pa.array(c), "meta": pa.array(m), "lead": pa.array(lead_c), "lead_meta": pa.array(lead_m), "number": pa.array(number), "heavy": pa.array(heavy)})
+    def emit(t, c, m, lead_c, lead_m, number):
+        return pa.record_batch({"token": pa.array(t), "cls": pa.array(c), "meta": pa.array(m), "lead": pa.array(lead_c), "lead_meta": pa.array(lead_m), "number": pa.array(number)})
 
     def close(t, c, m, final):
         nonlocal held, open_run
@@ -169,11 +169,10 @@ def _buckets(batches):
         begin = np.flatnonzero(np.r_[True, t[1:] != t[:-1]])
         size = np.diff(np.r_[begin, len(t)])
         lead_c, lead_m, number = np.repeat(c[begin], size), np.repeat(m[begin], size), np.arange(len(t)) - np.repeat(begin, size)
-        heavy = np.repeat(size > SMALL_BUCKET, size)
         take = np.repeat(size > 1, size)
         if open_run:
             n = size[0]
-            lead_c[:n], lead_m[:n], heavy[:n], take[:n] = open_run[1], open_run[2], True, True
+            lead_c[:n], lead_m[:n], take[:n] = open_run[1], open_run[2], True
             number[:n] += open_run[3]
             open_run = (open_run[0], open_run[1], open_run[2], open_run[3] + n, c[n - 1]) if len(size) == 1 else None
         if not final and open_run is None:
@@ -184,7 +183,7 @@ def _buckets(batches):
                 held = (t[last:], c[last:], m[last:])
                 take[last:] = False
         if take.any():
-            yield emit(t[take], c[take], m[take], lead_c[take], lead_m[take], number[take], heavy[take])
+            yield emit(t[take], c[take], m[take], lead_c[take], lead_m[take], number[take])
 
     for batch in batches:
         if batch.num_rows:
@@ -196,8 +195,8 @@ def _buckets(batches):
         yield from close(*held, True)
 
 
-def _sets(width: int):
-    """The shingle set of each wanted class."""
+def _sets(width: int, form: str):
+    """The shingle set of each wanted class (``ids``), or its size and bitmap (``bits``)."""
 
     def run(batches):
         for batch in batches:
@@ -206,14 +205,17 @@ def _sets(width: int):
                 classes = class_ids(ids, sizes).view(np.int64)
                 good = (classes == wanted[first : first + len(sizes)]) & (sizes > 0)
                 ids, sizes = ids[np.repeat(good, sizes)].astype(np.int64), sizes[good]
-                offsets = np.r_[0, np.cumsum(sizes)].astype(np.int32)
+                if form == "ids":
+                    offsets = np.r_[0, np.cumsum(sizes)].astype(np.int32)
+                    yield pa.record_batch({"cls": pa.array(classes[good]), "ids": pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids))})
+                    continue
                 # at least four bits per shingle, in a power of two of longs
                 width_of = BITMAP_LONGS << np.ceil(np.log2(np.maximum(sizes / (16 * BITMAP_LONGS), 1))).astype(np.int64)
                 at = np.r_[0, np.cumsum(width_of)]
                 bits = np.zeros(at[-1] * 64, dtype=bool)
                 bits[np.repeat(at[:-1] * 64, sizes) + ids % np.repeat(width_of * 64, sizes)] = True
                 longs, at = np.packbits(bits, bitorder="little").view("<i8"), at.astype(np.int32)
-                yield pa.record_batch({"cls": pa.array(classes[good]), "ids": pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids)), "bits": pa.ListArray.from_arrays(pa.array(at), pa.array(longs))})
+                yield pa.record_batch({"cls": pa.array(classes[good]), "n": pa.array(sizes.astype(np.int32)), "bits": pa.ListArray.from_arrays(pa.array(at), pa.array(longs))})
 
     return run
 
@@ -320,27 +322,30 @@ def may_link(x: str, y: str, percent: int) -> str:
     return f"100 * least({x}n, {y}n) >= {percent} * greatest({x}n, {y}n) and {need}"
 
 
-def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose sets reach the similarity.
+def likely_pairs(pairs: DataFrame, bitmaps: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose bitmaps (cls, n, bits) leave the similarity possible.
 
-    A bit that only one of two sets has in its bitmap stands for a shingle the other lacks, so the
-    bitmaps, a tenth of the sets' size, bound the overlap; only pairs that they allow move sets.
+    A bit that only one of two sets has stands for a shingle the other lacks, so the bitmaps, a
+    tenth of the sets' size, bound the overlap; only pairs that they allow move sets.
     """
 
-    def side(k: str, column: str, of: DataFrame) -> DataFrame:
-        return of.select(F.col("cls").alias(k), F.col(column).alias(f"{k}_{column}"), *([F.size("ids").alias(f"{k}_n")] if column == "bits" else []))
+    def side(k: str) -> DataFrame:
+        return bitmaps.select(F.col("cls").alias(k), F.col("n").alias(f"{k}_n"), F.col("bits").alias(f"{k}_bits"))
 
-    rough = pairs.select("a", "b").join(side("a", "bits", sets), "a").join(side("b", "bits", sets), "b")
+    rough = pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b")
     # sizes within the similarity's ratio differ by one doubling of the bitmap at most: the halves of the longer one fold
     fold = "if(size({0}_bits) > size({1}_bits), zip_with(slice({0}_bits, 1, size({1}_bits)), slice({0}_bits, size({1}_bits) + 1, size({1}_bits)), (p, q) -> p | q), {0}_bits)"
     rough = rough.withColumns({f"{x}_bits": F.expr(fold.format(x, y)) for x, y in ("ab", "ba")})
     lacks = "aggregate(zip_with({0}_bits, {1}_bits, (p, q) -> bit_count(p & ~q)), 0, (s, x) -> s + x)"
     most = F.least(F.expr("a_n - " + lacks.format("a", "b")), F.expr("b_n - " + lacks.format("b", "a")))
     rough = rough.select("a", "b", "a_n", "b_n", most.alias("most"))
-    likely = materialise(rough.filter(f"100 * most >= {percent} * (a_n + b_n - most)").select("a", "b"), "jaccard-likely")
-    ends = materialise(likely.select(F.col("a").alias("cls")).unionByName(likely.select(F.col("b").alias("cls"))).distinct(), "jaccard-ends")
-    needed = sets.join(F.broadcast(ends) if ends.count() <= MOST_BROADCAST else ends, "cls", "left_semi")
-    both = likely.join(side("a", "ids", needed), "a").join(side("b", "ids", needed), "b").withColumn("shared", F.size(F.array_intersect("a_ids", "b_ids")))
+    return rough.filter(f"100 * most >= {percent} * (a_n + b_n - most)").select("a", "b")
+
+
+def verified(likely: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose sets (cls, ids) reach the similarity."""
+    a, b = (sets.select(F.col("cls").alias(k), F.col("ids").alias(f"{k}_ids")) for k in "ab")
+    both = likely.join(a, "a").join(b, "b").withColumn("shared", F.size(F.array_intersect("a_ids", "b_ids")))
     return both.filter(f"100 * shared >= {percent} * (size(a_ids) + size(b_ids) - shared)").select("a", "b")
 
 
@@ -354,18 +359,20 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     classes = profile.filter("token is null and n > 0")
 
     postings = docs.select("text").mapInArrow(_postings(width, percent, table), "token long, cls long, meta long")
-    bucket_schema = "token long, cls long, meta long, lead long, lead_meta long, number long, heavy boolean"
+    bucket_schema = "token long, cls long, meta long, lead long, lead_meta long, number long"
     buckets = materialise(postings.repartition("token").sortWithinPartitions("token", "cls").mapInArrow(_buckets, bucket_schema), "jaccard-buckets")
     release(spark)
 
     firsts = materialise(classes.groupBy("cls").agg(F.min("doc_id").alias("first_doc")), "jaccard-classes")
 
-    def sets_of(wanted: DataFrame) -> DataFrame:
-        """(cls, ids) of the wanted classes, read off one text each; a repeated row may repeat its class."""
+    schemas = {"bits": "cls long, n int, bits array<long>", "ids": "cls long, ids array<long>"}
+
+    def read_off(wanted: DataFrame, form: str) -> DataFrame:
+        """Bitmaps or sets of the wanted classes, each made from the text of one member; a repeated row may repeat its class."""
         wanted = materialise(wanted.select("cls").distinct().join(firsts, "cls").select(F.col("first_doc").alias("doc_id"), F.col("cls").alias("wanted")), "jaccard-wanted")
         few = wanted.count() <= MOST_BROADCAST
         found = docs.join(F.broadcast(wanted) if few else wanted, "doc_id").select("text", "wanted")
-        return materialise(found.mapInArrow(_sets(width), "cls long, ids array<long>, bits array<long>"), "jaccard-sets")
+        return materialise(found.mapInArrow(_sets(width, form), schemas[form]), f"jaccard-{form}")
 
     def of_pairs(pairs: DataFrame) -> DataFrame:
         return pairs.select(F.col("a").alias("cls")).unionByName(pairs.select(F.col("b").alias("cls")))
@@ -375,7 +382,9 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     star = star.filter(may_link("x_", "y_", percent)).groupBy("a", "b").agg(F.count("*").alias("k"), F.first(F.expr("least(x_matches, y_matches)")).alias("least_k"))
     begin = scratch_mark()
     star = materialise(star.filter("k >= least_k").select("a", "b"), "jaccard-star-pairs")
-    links = materialise(verified(star, sets_of(of_pairs(star)), percent), "jaccard-star-links")
+    release(spark)
+    likely = materialise(likely_pairs(star, read_off(of_pairs(star), "bits"), percent), "jaccard-star-likely")
+    links = materialise(verified(likely, read_off(of_pairs(likely), "ids"), percent), "jaccard-star-links")
     roots = connected(links, "jaccard-star")
     end = scratch_mark()
     roots = materialise(roots, "jaccard-star-roots").withColumnRenamed("node", "cls")
@@ -403,14 +412,18 @@ def link_components(docs: DataFrame, percent: int = 75, width: int = 5) -> DataF
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "tiles")))
     dealt = dealt.select("token", "cls", "root", "tile", "n", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"))
     dealt = materialise(dealt, "jaccard-dealt")
-    sets = sets_of(of_pairs(pairs).unionByName(dealt.select("cls")))
+    release(spark)
+    bitmaps = read_off(of_pairs(pairs).unionByName(dealt.select("cls")), "bits")
     place = ["token", "i", "j"]
-    near = dealt.join(sets.select("cls", "bits"), "cls").groupBy(*place).applyInArrow(_tile_candidates(percent), "token long, i int, j int, cls long, a long, b long")
+    near = dealt.drop("n").join(bitmaps, "cls").groupBy(*place).applyInArrow(_tile_candidates(percent), "token long, i int, j int, cls long, a long, b long")
     near = materialise(near, "jaccard-near")
     pairs = materialise(pairs.unionByName(near.filter("a is not null").select("a", "b")).distinct(), "jaccard-all-pairs")
-    more = verified(pairs, sets, percent)
+    likely = materialise(likely_pairs(pairs, bitmaps, percent), "jaccard-likely")
     dealt = materialise(dealt.join(near.filter("cls is not null"), [*place, "cls"], "left_semi").drop("n"), "jaccard-tiled")
-    tiles = dealt.join(sets.select("cls", "ids"), "cls").groupBy(*place).applyInArrow(_tile_links(percent), "a long, b long")
+    release(spark)
+    sets = read_off(of_pairs(likely).unionByName(dealt.select("cls")), "ids")
+    more = verified(likely, sets, percent)
+    tiles = dealt.join(sets, "cls").groupBy(*place).applyInArrow(_tile_links(percent), "a long, b long")
 
     late = materialise(more.unionByName(tiles), "jaccard-late-links")
     ends = late
