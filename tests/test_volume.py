@@ -10,9 +10,11 @@ import pytest
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from volume_engine import experiments, storage
 from volume_engine.functions import codec, grid
-from volume_engine.operators import camera, filtering, fullframe, ingest, mipmap, octree, paging, raycast, session
-from volume_engine.plans import queries, registry
+from volume_engine.operators import aberration, camera, eager, filtering, fullframe, ingest, mipmap, node_buffer, octree, paging, pool, raycast, relations, render, session
+from volume_engine.plans import more_queries, queries, registry
+from volume_engine.sources import raw_stack
 from volume_engine.sources.volumes import open_volume
 
 SF = "/root/testdata/sf0.001"
@@ -89,18 +91,193 @@ def test_pack_and_unpack(spark, volume):
     assert sorted(map(tuple, got)) == sorted(cells)
 
 
-@pytest.mark.parametrize("seed", [1, 2])
-def test_blocks_in_any_order_with_overwrites(spark, volume, seed):
+@pytest.mark.parametrize("brick", [(2, 2, 2), (3, 3, 3), (16, 8, 8)])
+def test_blocks_in_any_order_with_overwrites(spark, volume, brick):
+    """Also with odd bricks, whose parents' cells lie over two children, and with a root that is a leaf."""
     vm, cells = volume
-    rng = random.Random(seed)
-    shuffled = rng.sample(cells, len(cells))
+    vm = vm.with_brick(*brick)
+    shuffled = random.Random(brick[0]).sample(cells, len(cells))
     wrong = [(*c[:4], c[4] + 50) for c in shuffled[:40]]
-    levels = ingest.init_levels(rows(spark, cells), vm)
+    p = pool.BrickPool.create(spark, vm)
     for block in (wrong, shuffled[:90], shuffled[90:]):
-        levels = ingest.insert_batch(levels, rows(spark, block), vm)
-    want = mipmap.build_mipmap(rows(spark, cells), vm)
-    for a, b in zip(levels, want, strict=True):
-        assert sorted(map(tuple, a.select("x", "y", "z", "c", "v").collect())) == sorted(map(tuple, b.select("x", "y", "z", "c", "v").collect()))
+        p.insert(rows(spark, block))
+    want = mipmap.mipmap_rows(rows(spark, cells), vm).select("level", *"xyzcv").collect()
+    assert sorted(map(tuple, p.voxels().select("level", *"xyzcv").collect())) == sorted(map(tuple, want))
+    cols = ["level", "ix", "iy", "iz", "c", "n", "bmin", "bmax", "bsum", "avg", "smin", "smax"]
+    same = [sorted(tuple(map(int, r)) for r in s.select(cols).collect()) for s in (p.stats(), mipmap.pyramid_stats(rows(spark, cells), vm))]
+    assert same[0] == same[1]
+    again = pool.open_pool(spark, vm, p.path)
+    assert again.commits == [0, 1, 2] and again.compacted().bricks().count() == p.bricks().count()
+    assert sorted(map(tuple, p.voxels(0, 0).select(*"xyzcv").collect())) == sorted(wrong)
+
+
+def test_a_replayed_version_changes_nothing(spark, volume):
+    vm, cells = volume
+    p = pool.BrickPool.create(spark, vm)
+    p.insert(rows(spark, cells[:80]))
+    p.insert(rows(spark, cells[80:]))
+    before = sorted(map(tuple, p.voxels().collect()))
+    assert p.insert(rows(spark, cells[80:]), 1) == 1 and p.commits == [0, 1]
+    assert sorted(map(tuple, p.voxels().collect())) == before
+    p.insert(rows(spark, [(99, 0, 0, 0, 1), (0, 0, 0, 9, 1)]))  # outside the volume: an empty block
+    assert p.commits == [0, 1, 2] and sorted(map(tuple, p.voxels().collect())) == before
+    with pytest.raises(ValueError):
+        p.insert(rows(spark, cells[:1]), 0)
+
+
+def test_plans_do_not_grow_with_the_levels(spark, volume):
+    """The bricks of a version are read from files: their plan is a scan, whatever the depth."""
+    vm, cells = volume
+    size = []
+    for brick in ((8, 8, 8), (2, 2, 2)):
+        p = pool.BrickPool.create(spark, vm.with_brick(*brick))
+        p.insert(rows(spark, cells[:80]))
+        p.insert(rows(spark, cells[80:]))
+        size.append(len(p.bricks()._jdf.queryExecution().optimizedPlan().toString()))
+    assert size[1] < 1.1 * size[0]
+
+
+@pytest.mark.parametrize("way", ["channel", "octant", "none"])
+def test_builders_give_the_same_bricks(spark, volume, way):
+    vm, cells = volume
+    cols = ["level", "key", "n", "body", "known", "bmin", "bmax", "bsum", "smin", "smax"]
+    got = [sorted(map(str, ingest.build(rows(spark, cells), vm, k).bricks().select(cols).collect())) for k in ("shards", way)]
+    assert got[0] == got[1]
+
+
+def test_eager_pruning_follows_the_worked_example_and_depends_on_the_order(spark):
+    vm = more_queries.LINE
+
+    def grow(order, threshold):
+        tree, states = eager.empty_tree(spark, vm), []
+        for k in order:
+            x0, values = more_queries.LINE_BLOCKS[k]
+            tree = eager.insert_eager(tree, rows(spark, [(x0 + i, 0, 0, 0, v) for i, v in enumerate(values)]), vm, threshold)
+            states.append({(r.level, r.ix): (r.avg[0], r.body is not None, r.children) for r in tree.filter("iy = 0 and iz = 0").collect()})
+        return states
+
+    one = grow(range(4), 1)
+    # all children of a node exist at once, without bricks
+    assert one[0][0, 1] == (0, False, False) and one[0][1, 1] == (0, False, False)
+    # after the third block two bricks are only averages, but the left subtree stays
+    assert one[2][0, 1] == (3, False, False) and one[2][1, 0] == (3, False, True) and one[2][0, 0] == (3, True, False)
+    # after the fourth the root is homogeneous, and no subtree goes
+    assert one[3][2, 0] == (3, False, True) and len(one[3]) == 7
+    lossy = {str(sorted(grow(order, 4)[-1].items())) for order in ((0, 1, 2, 3), (2, 3, 0, 1))}
+    assert len(lossy) == 2
+
+
+def test_an_opaque_sample_hides_what_lies_behind(spark):
+    two = spark.createDataFrame([(0, 0, 0, 0, 1.0, 0.0, 0.0, 1.0), (0, 0, 1, 1, 0.0, 1.0, 0.0, 0.5)], "px int, py int, i int, c int, r double, g double, b double, a double")
+    forms = [raycast.dvr_window(two), raycast.dvr_fold(two), raycast.dvr_segments(two, 1), raycast.dvr_segments(two, 8), filtering.intermix(two, "accumulation"), filtering.intermix(two, "sample")]
+    for f in forms:
+        r = f.first()
+        assert (r.r, r.g, r.b, r.a) == (1.0, 0.0, 0.0, 1.0)
+    image, spent = raycast.dvr_wavefront([lambda going, k=k: two.filter(f"i = {k}").join(going, ["px", "py"]) for k in (0, 1)], two.select("px", "py"), 0.95, storage.keep)
+    assert image.first().g == 0 and spent == [(1, 1), (0, 0)]
+
+
+def test_transfer_tables_are_linear_in_segments(spark):
+    cells = spark.createDataFrame([(0, 5), (0, 15), (1, 5), (0, 40)], "c int, v long")
+    got = {(r.c, r.v): (r.r, r.a) for r in raycast.transfer_table(cells, [(0, 0, 10, 0, 0, 0, 0, 1, 0, 0, 0.5), (0, 10, 20, 1, 0, 0, 0.5, 0, 0, 0, 1)]).collect()}
+    assert got == {(0, 5): (0.5, 0.25), (0, 15): (0.5, 0.75)}
+
+
+def test_wide_entries_round_trip(spark):
+    few = spark.createDataFrame([(1.5, 0.0, 40000.25)], "a double, b double, c double")
+    entry = codec.encode_wide(F.lit(True), F.lit(False), F.lit(77), [F.col(k) for k in "abc"])
+    r = few.select(entry.alias("e")).select(*codec.decode_wide(F.col("e"), 3), *codec.decode_node(F.col("e.lo")).values()).first()
+    assert tuple(r[:3]) == (1.5, 0.0, 40000.25) and (r[3], r[4], r[5]) == (1, 0, 77)
+    many = spark.createDataFrame([(65535, 1, 0, 40000, 7, 65534)], "a long, b long, c long, d long, e long, f long")
+    entry = codec.encode_wide(F.lit(False), F.lit(True), F.lit(5), [F.col(k) for k in "abcdef"])
+    assert tuple(many.select(entry.alias("w")).select(*codec.decode_wide(F.col("w"), 6)).first()) == (65535, 1, 0, 40000, 7, 65534)
+
+
+def test_node_buffer_loads_and_unloads(spark):
+    words = spark.createDataFrame([(0, 2 | 9 << 24), (1, 2 | 8 << 24)], "idx long, word long")
+    averages = spark.createDataFrame([(0, 9), (1, 8)], "idx long, payload long")
+    slots = lambda *s: spark.createDataFrame(list(s), "idx long, slot long")
+    first = node_buffer.load(words, slots((0, 4)), averages)
+    assert {r.idx: r.word for r in first.collect()} == {0: 3 | 4 << 24, 1: 2 | 8 << 24}
+    assert {r.idx: r.word for r in node_buffer.load(first, slots((1, 0)), averages).collect()} == {0: 2 | 9 << 24, 1: 3}
+
+
+def test_passes_with_uploads_end_and_stay_within_the_slots(spark, volume):
+    vm, cells = volume
+    p = pool.BrickPool.create(spark, vm)
+    p.insert(rows(spark, cells))
+    nodes = octree.nodes_of_bricks(p.bricks(), vm, 0)
+    view = camera.Camera((-9.0, 5.0, -9.0), (4.0, 3.0, 2.0), width=6, height=6)
+    samples = camera.choose_level(camera.sample_perspective(camera.perspective_rays(spark, view, vm), vm, 1.0), view, vm)
+    resolved, passes = render.run_passes(samples, nodes, vm.top, 500, storage.keep)
+    assert passes[-1]["uploads"] == 0 and set(passes[-1]["kinds"]) <= {"self", "homogeneous"}
+    _, few = render.run_passes(samples, nodes, vm.top, 3, storage.keep, most=4)
+    assert all(q["slots"] <= 3 for q in few)
+    _, fifo = render.run_passes(samples, nodes, vm.top, 3, storage.keep, mode="basic", policy="fifo", most=4)
+    assert all(q["slots"] <= 3 and q["evictions"] == 0 for q in fifo)
+    averages = p.stats().join(p.bricks().select("level", "ix", "iy", "iz", "key"), ["level", "ix", "iy", "iz"]).select("level", "key", "c", "avg")
+    whole = {(r.px, r.py, r.c): r.v for r in render.image(render.fetch(resolved, p.bricks(), averages, vm), "mip", None).collect()}
+    direct = render.resolve(samples, nodes, nodes.select("level", "key").limit(0), "direct")
+    assert whole == {(r.px, r.py, r.c): r.v for r in render.image(render.fetch(direct, p.bricks(), averages, vm), "mip", None).collect()}
+    assert render.tile(samples, 3).select("tx", "ty").distinct().count() <= 4
+    with pytest.raises(ValueError):
+        render.resolve(samples, nodes, nodes, "other")
+
+
+def test_resampled_channel_equals_sampling_through_the_matrix(spark, volume):
+    vm, cells = volume
+    for m in (aberration.scaling(1.3), aberration.compose(aberration.translation(0, 6, 0), aberration.rotation(-90)), aberration.translation(1, 0, -1)):
+        copied = {tuple(r[:3]): r[4] for r in aberration.resample_channel(rows(spark, cells), 1, m, vm).filter("c = 1").collect()}
+        source = {tuple(c[:3]): c[4] for c in cells if c[3] == 1}
+        want = {}
+        for at in itertools.product(*map(range, vm.dims)):
+            to = tuple(math.floor(sum(m[k][j] * (at[j] + 0.5) for j in range(3)) + m[k][3]) for k in range(3))
+            if to in source:
+                want[at] = source[to]
+        assert copied == want
+    whole = aberration.compose(m, aberration.inverse(m))
+    assert np.allclose(whole, aberration.identity())
+
+
+def test_raw_stack_round_trip(spark, volume, tmp_path):
+    vm, cells = volume
+    a = dense(vm, cells)
+    for z in range(vm.dims[2]):
+        for c in range(vm.channels):
+            raw_stack.write_slice(str(tmp_path), c, z, a[:, :, z, c].T)
+    got = raw_stack.read_stack(spark, str(tmp_path), vm.dims[0])
+    assert sorted(map(tuple, got.select(*"xyzcv").collect())) == sorted(cells)
+    assert raw_stack.read_stack(spark, str(tmp_path), vm.dims[0], z=2, c=1).count() == sum(c[2] == 2 and c[3] == 1 for c in cells)
+    image = spark.createDataFrame([(0, 0, 1.0, 0.0, 0.5), (1, 1, 0.0, 2.0, 0.0)], "px int, py int, r double, g double, b double")
+    raw_stack.write_image(image, str(tmp_path / "i.ppm"), 2, 2)
+    assert (tmp_path / "i.ppm").read_bytes() == b"P6 2 2 255\n" + bytes([255, 0, 128, 0, 0, 0, 0, 0, 0, 0, 255, 0])
+
+
+def test_as_of_and_box_joins(spark, volume):
+    vm, cells = volume
+    rng = random.Random(9)
+    left, right = ([(rng.randrange(3), rng.randrange(20)) for _ in range(30)] for _ in range(2))
+    r = spark.createDataFrame([(k, t, i) for i, (k, t) in enumerate(sorted(set(right)))], "k int, t int, value int")
+    got = {(x.k, x.t): x.value for x in relations.as_of(spark.createDataFrame(left, "k int, t int"), r, "k", "t", "value").collect()}
+    at = [(x.k, x.t, x.value) for x in r.collect()]
+    assert got == {(k, t): max(((u, v) for j, u, v in at if j == k and u <= t), default=(0, None))[1] for k, t in left}
+    p = pool.BrickPool.create(spark, vm)
+    p.insert(rows(spark, cells))
+    boxes = [(b, *(lo := [rng.randrange(d) for d in vm.dims]), *(min(d - 1, x + rng.randrange(6)) for x, d in zip(lo, vm.dims))) for b in range(8)]
+    found = relations.bricks_in_boxes(p.bricks(), spark.createDataFrame(boxes, "box int, x0 int, y0 int, z0 int, x1 int, y1 int, z1 int"), vm, 0)
+    held = {(c[0] // 2, c[1] // 2, c[2] // 2) for c in cells}
+    want = {(b[0], *h) for b in boxes for h in held if all(2 * h[k] <= b[4 + k] and 2 * h[k] + 1 >= b[1 + k] for k in range(3))}
+    assert {(r.box, r.ix, r.iy, r.iz) for r in found.collect()} == want
+
+
+def test_memory_guard_and_thresholds_per_channel(spark, volume):
+    vm, cells = volume
+    with pytest.raises(MemoryError):
+        experiments.guarded_bruteforce(rows(spark, cells), vm, None, 100)
+    p = pool.BrickPool.create(spark, vm)
+    p.insert(rows(spark, cells))
+    none, both = (octree.nodes_of_bricks(p.bricks(), vm, t).filter("homog").count() for t in ([0.0, 1000.0], [1000.0, 1000.0]))
+    assert none == 0 and both == p.bricks().count()
 
 
 def test_expected_brick_counts(spark):
@@ -151,7 +328,7 @@ def test_pinned_pages_block(spark):
 def test_refinement_ends_and_loads_every_brick(spark):
     samples = spark.createDataFrame([(p, 0, i, (i * 3 + p) % 11) for p in range(4) for i in range(9)], "px int, py int, i int, key long").cache()
     bricks = samples.select("key").distinct().count()
-    passes, uploads = fullframe.refine(samples, 2, lambda df: df.checkpoint() if spark.sparkContext.getCheckpointDir() else df.cache())
+    passes, uploads = fullframe.refine(samples, 2, storage.keep)
     assert passes >= -(-bricks // 2) and uploads >= bricks
 
 
@@ -262,23 +439,10 @@ def test_a_coordinate_that_does_not_fit_is_an_error(spark):
         grid.morton3(F.lit(0), F.lit(0), F.lit(0), 22)
 
 
-def test_deltas_and_last_views_cover_the_whole_table(spark, tmp_path):
+def test_last_views_cover_the_whole_table(spark, tmp_path):
     cells = scan_table(spark, tmp_path, [n % 40 for n in range(600)])
-    got = lambda name: registry.QUERIES[name](spark, str(tmp_path)).collect()
     last = {x: (n, v) for n, (x, _, _, v) in enumerate(cells)}
-    assert {r.user_id: (r.last_view, r.v) for r in got("asof_last_slice")} == last
-    old, new = {}, {}
-    for x, y, z, v in cells:
-        brick = (x // 8, y // 8, z // 8)
-        if z < 21:
-            old[brick] = old.get(brick, 0) + v
-        if not (x < 8 and y < 8):
-            new[brick] = new.get(brick, 0) + v
-    kinds = {k: "create" if k not in old else "delete" if k not in new else "update" for k in old | new if old.get(k) != new.get(k)}
-    assert set(kinds.values()) == {"create", "delete", "update"}
-    assert {(r.ix, r.iy, r.iz): r.kind for r in got("delta_events")} == kinds
-    assert {(r.ix, r.iy, r.iz): r.word for r in got("delta_apply_equals_rebuild")} == new
-    assert [(r.sent, r.rebuilt) for r in got("metric_delta_size")] == [(len(kinds), len(new))]
+    assert {r.user_id: (r.last_view, r.v) for r in registry.QUERIES["asof_last_slice"](spark, str(tmp_path)).collect()} == last
 
 
 @pytest.mark.parametrize("slots", [2, 50])
@@ -287,7 +451,7 @@ def test_refined_image_equals_the_direct_one(spark, slots):
     rng = random.Random(5)
     cells = [(p, 0, i, c, rng.randrange(1, 60000), (i // 2 * 3 + p) % 7) for p in range(4) for i in range(2 + 3 * p) for c in range(1 + i % 2)]
     shaded = raycast.transfer(spark.createDataFrame(cells, "px int, py int, i int, c int, v long, key long"), 65535)
-    image, passes, uploads = fullframe.refine_image(shaded, slots, lambda df: df.localCheckpoint())
+    image, passes, uploads = fullframe.refine_image(shaded, slots, storage.keep)
     bricks = len({c[5] for c in cells})
     assert passes >= -(-bricks // slots) and uploads >= bricks
     want = {r.px: r for r in raycast.dvr_window(shaded).collect()}
@@ -299,7 +463,9 @@ def test_refined_image_equals_the_direct_one(spark, slots):
 ORACLED = [
     "perspective_rays", "optimal_lod", "metric_lod_histogram", "full_frame_image", "metric_image_error", "trilinear_sample", "trilinear_halo_equals_global", "trilinear_clamped",
     "base_neighbour_fetch_count", "intermix_image_level", "intermix_sample_level", "base_haar_bytes", "metric_requests_per_pass", "metric_slot_occupancy", "metric_traversal_steps",
-"octree_collapsed_scan", "mip_all_levels_sales", "dvr_window_scan", "full_frame_fallback", "halo_bricks", "stream_tumbling_slices", "incr_overwrite", "worked_example_1d"]
+    "incr_insert_sequence", "incr_batch_equals_sequence", "worked_example_states", "delta_events", "residency_patch", "tier_of_request", "dirty_writebacks", "sample_source_kind", "used_and_requested", "full_frame_dvr", "dvr_wavefront",
+    "dvr_opaque_segments", "box_overlap_join", "asof_event_view", "stream_session_runs", "sqludf_morton", "udtf_octant_children", "octree_rollup_stats", "recursive_ancestors",
+    "octree_collapsed_scan", "mip_all_levels_sales", "dvr_window_scan", "full_frame_fallback", "halo_bricks", "stream_tumbling_slices", "incr_overwrite", "worked_example_1d"]
 
 
 @pytest.mark.parametrize("name", ORACLED)
@@ -318,7 +484,7 @@ def test_query_equals_oracle(spark, name):
     assert columns == sorted(want.columns)
 
     def plain(data):
-        return sorted(tuple(round(float(v), 6) if not isinstance(v, str) else v for v in r) for r in data)
+        return sorted((tuple(v if v is None or isinstance(v, str) else round(float(v), 6) for v in r) for r in data), key=str)
 
     assert plain(got.select(columns).collect()) == plain(con.sql(f"SELECT {', '.join(columns)} FROM ({registry.ORACLES[name]}) AS q").fetchall())
 

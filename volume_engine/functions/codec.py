@@ -49,3 +49,57 @@ def decode_node(word: Column) -> dict[str, Column]:
 
 def brick_address(payload: Column) -> Column:
     return payload.bitwiseAND(F.lit((1 << ADDRESS_BITS) - 1))
+
+
+def encode_wide(in_buffer: Column, has_brick: Column, child_group: Column, averages: list[Column]) -> Column:
+    """A 128-bit entry for more than four channels or fractional averages: ``lo`` holds flags and pointer, and four
+    bytes of the payload; ``hi`` the other eight.
+
+    The twelve bytes are dealt out equally; averages of up to three channels are kept as 32-bit floats.
+    """
+    if len(averages) <= 3:
+        parts = [(_float_bits(a), 32) for a in averages]
+    else:
+        width = 96 // len(averages)
+        parts = [(a.cast("long").bitwiseAND(F.lit((1 << min(width, 62)) - 1).cast("long")), width) for a in averages]
+    lo = encode_node(in_buffer, has_brick, child_group, F.lit(0).cast("long"))
+    hi, at = F.lit(0).cast("long"), 0
+    for value, width in parts:
+        # bits 0..31 of the payload lie in the upper half of ``lo``, the others in ``hi``
+        if at < 32:
+            lo = lo.bitwiseOR(F.shiftleft(value, 32 + at))
+        if at + width > 32:
+            hi = hi.bitwiseOR(F.shiftleft(value, at - 32) if at >= 32 else F.shiftrightunsigned(value, 32 - at))
+        at += width
+    return F.struct(lo.alias("lo"), hi.alias("hi"))
+
+
+def decode_wide(entry: Column, channels: int) -> list[Column]:
+    """The averages of a 128-bit entry: floats for up to three channels, else integers."""
+    lo, hi = entry["lo"], entry["hi"]
+    width = 32 if channels <= 3 else 96 // channels
+    out = []
+    for c in range(channels):
+        at = width * c
+        bits = F.lit(0).cast("long")
+        if at < 32:
+            bits = F.shiftrightunsigned(lo, 32 + at)
+        if at + width > 32:
+            bits = bits.bitwiseOR(F.shiftrightunsigned(hi, at - 32) if at >= 32 else F.shiftleft(hi, 32 - at))
+        bits = bits.bitwiseAND(F.lit((1 << min(width, 62)) - 1).cast("long"))
+        out.append(_bits_float(bits) if channels <= 3 else bits)
+    return out
+
+
+def _float_bits(value: Column) -> Column:
+    """Bits of a non-negative fraction as a 32-bit float: 8 bits of exponent, 23 of fraction; 0 stays 0."""
+    v = value.cast("float").cast("double")
+    exponent = F.floor(F.log2(v))
+    whole = F.shiftleft((exponent + 127).cast("long"), 23)
+    fraction = F.round((v / F.pow(F.lit(2.0), exponent) - 1) * (1 << 23)).cast("long")
+    return F.when(v > 0, whole + fraction).otherwise(F.lit(0).cast("long"))
+
+
+def _bits_float(bits: Column) -> Column:
+    exponent = F.shiftright(bits, 23).cast("int") - 127
+    return F.when(bits == 0, 0.0).otherwise((1 + bits.bitwiseAND(F.lit((1 << 23) - 1).cast("long")) / (1 << 23)) * F.pow(F.lit(2.0), exponent))

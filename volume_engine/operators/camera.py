@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.grid import AXES, VolumeMeta, morton3
+from ..storage import keep
+from .fullframe import slots_side
 from .raycast import ray_box
 
 
@@ -55,7 +57,10 @@ def turn(center, radius: float, frames: int, **screen) -> list[Camera]:
 
 
 def perspective_rays(spark: SparkSession, camera: Camera, vm: VolumeMeta) -> DataFrame:
-    """One ray per pixel with its entry and exit in the volume box: px, py, ox..oz, dx..dz, enter, leave, hit."""
+    """One ray per pixel with its entry and exit in the volume box: px, py, ox..oz, dx..dz, enter, leave, hit.
+
+    Rays are written once: filters on them would otherwise repeat their geometry all over the plan.
+    """
     pixels = spark.range(camera.width * camera.height).select(F.expr(f"cast(id % {camera.width} as int)").alias("px"), F.expr(f"cast(id div {camera.width} as int)").alias("py"))
     aspect = camera.width / camera.height
     u = (F.lit(2.0) * (F.col("px") + F.lit(0.5)) / F.lit(float(camera.width)) - 1.0) * F.lit(camera.slope * aspect)
@@ -66,7 +71,7 @@ def perspective_rays(spark: SparkSession, camera: Camera, vm: VolumeMeta) -> Dat
     size = F.sqrt(F.col("wx") * F.col("wx") + F.col("wy") * F.col("wy") + F.col("wz") * F.col("wz"))
     aimed = aimed.withColumn("size", size)
     rays = aimed.select("px", "py", *(F.lit(float(camera.eye[k])).alias(f"o{a}") for k, a in enumerate(AXES)), *((F.col(f"w{a}") / F.col("size")).alias(f"d{a}") for a in AXES))
-    return ray_box(rays, vm.dims)
+    return keep(ray_box(rays, vm.dims), "rays")
 
 
 def sample_perspective(rays: DataFrame, vm: VolumeMeta, step: float) -> DataFrame:
@@ -92,19 +97,22 @@ def choose_level(samples: DataFrame, camera: Camera, vm: VolumeMeta) -> DataFram
 def resolve_at(samples: DataFrame, nodes: DataFrame, resident: DataFrame) -> DataFrame:
     """How far up (``up``: 0 own brick, 1 parent, 2 grand-parent, 3 the node's average) each sample's data is found.
 
-    ``nodes`` (level, key, homog) is joined by key; ``resident`` (level, key) holds at most the number
-    of slots and is broadcast.  Homogeneous nodes, and background nodes without a row, take the
+    ``nodes`` (level, key, homog) is joined by key; ``resident`` (level, key) is sent to every task only if
+    its size is that of a brick buffer.  Homogeneous nodes, and background nodes without a row, take the
     average and ask for nothing (``asks`` is false).
     """
     known = nodes.select("level", "key", F.col("homog").cast("int").alias("flat"))
     out = samples.join(known, ["level", "key"], "left")
+    small = slots_side(resident) is not resident
     for up in range(3):
-        slot = F.broadcast(resident.select((F.col("level") - up).alias("level"), F.col("key").alias(f"k{up}"), F.lit(1).alias(f"r{up}")))
+        slot = resident.select((F.col("level") - up).alias("level"), F.col("key").alias(f"k{up}"), F.lit(1).alias(f"r{up}"))
+        slot = F.broadcast(slot) if small else slot
         at = F.shiftright("key", 3 * up) == F.col(f"k{up}")
         out = out.join(slot.withColumnRenamed("level", f"l{up}"), at & (F.col("level") == F.col(f"l{up}")), "left").drop(f"k{up}", f"l{up}")
     flat = F.coalesce("flat", F.lit(1)) == 1
     up = F.when(flat, 3).when(F.col("r0") == 1, 0).when(F.col("r1") == 1, 1).when(F.col("r2") == 1, 2).otherwise(3)
-    return out.withColumns({"up": up, "asks": ~flat & F.col("r0").isNull()}).drop("flat", "r0", "r1", "r2")
+    kind = F.when(flat, "homogeneous").when(F.col("r0") == 1, "self").when(F.col("r1") == 1, "parent").when(F.col("r2") == 1, "grandparent").otherwise("average")
+    return out.withColumns({"up": up, "asks": ~flat & F.col("r0").isNull(), "kind": kind}).drop("flat", "r0", "r1", "r2")
 
 
 def image_of(resolved: DataFrame, mip: DataFrame, averages: DataFrame) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.grid import AXES, VolumeMeta, coords
 from .fullframe import halo_voxels
+from .raycast import clear_before, clear_of_group
 
 
 def corners(samples: DataFrame) -> DataFrame:
@@ -51,7 +52,7 @@ def neighbour_fetches(samples: DataFrame, vm: VolumeMeta) -> DataFrame:
 
 def _composite(rows: DataFrame, keys: list[str], order: list[str]) -> DataFrame:
     front = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("t", F.exp(F.coalesce(F.sum(F.log(1 - F.col("a"))).over(front), F.lit(0.0))))
+    rows = rows.withColumn("t", clear_before(front))
     return rows.groupBy(*keys).agg(*(F.sum(F.col("t") * F.col("a") * F.col(k)).alias(k) for k in "rgb"), F.sum(F.col("t") * F.col("a")).alias("a"))
 
 
@@ -70,7 +71,7 @@ def intermix(shaded: DataFrame, mode: str) -> DataFrame:
         total = F.sum("a")
         mixed = shaded.groupBy("px", "py", "i").agg(
             *(F.coalesce(F.sum(F.col("a") * F.col(k)) / F.nullif(total, F.lit(0.0)), F.lit(0.0)).alias(k) for k in "rgb"),
-            (1 - F.exp(F.sum(F.log(1 - F.col("a"))))).alias("mixed"),
+            (1 - clear_of_group()).alias("mixed"),
         )
         return _composite(mixed.withColumnRenamed("mixed", "a"), ["px", "py"], ["i"])
     raise ValueError(mode)

@@ -9,15 +9,25 @@ from ..functions.grid import AXES, VolumeMeta
 from .raycast import dvr_window
 
 
+#: Most slots whose list is sent to every task; a longer one is joined by shuffle.
+MOST_SLOTS = 1 << 16
+
+
+def slots_side(resident: DataFrame) -> DataFrame:
+    """``resident`` with a broadcast hint if it holds no more rows than a brick buffer has slots."""
+    return F.broadcast(resident) if resident.limit(MOST_SLOTS + 1).count() <= MOST_SLOTS else resident
+
+
 def resolve_source(needed: DataFrame, resident: DataFrame) -> DataFrame:
     """Where each needed level-0 brick (key, homog) is taken from: homogeneous, itself, parent, grand-parent or average.
 
-    ``resident`` (level, key) holds at most the number of slots.
+    ``resident`` (level, key) is sent to every task only if its size is that of a brick buffer.
     """
-    slots = [F.broadcast(resident.filter(F.col("level") == l).select(F.col("key").alias(f"k{l}"), F.lit(1).alias(f"r{l}"))) for l in range(3)]
+    small = slots_side(resident) is not resident
     out = needed
-    for l, side in enumerate(slots):
-        out = out.join(side, F.shiftright("key", 3 * l) == F.col(f"k{l}"), "left").drop(f"k{l}")
+    for l in range(3):
+        side = resident.filter(F.col("level") == l).select(F.col("key").alias(f"k{l}"), F.lit(1).alias(f"r{l}"))
+        out = out.join(F.broadcast(side) if small else side, F.shiftright("key", 3 * l) == F.col(f"k{l}"), "left").drop(f"k{l}")
     kind = F.when(F.col("homog") == 1, "homogeneous").when(F.col("r0") == 1, "self").when(F.col("r1") == 1, "parent").when(F.col("r2") == 1, "grandparent").otherwise("average")
     return out.withColumn("kind", kind).drop("r0", "r1", "r2")
 
@@ -31,10 +41,10 @@ def requests(resolved: DataFrame, levels: int = 3) -> DataFrame:
 def halt_points(samples: DataFrame, resident: DataFrame) -> DataFrame:
     """Per ray, the first sample whose brick is neither resident nor homogeneous (null: the ray is done).
 
-    ``samples`` (px, py, i, key) lists the samples that need a brick.
+    ``samples`` (px, py, i, key) lists the samples; those without a key need no brick.
     """
-    here = samples.join(F.broadcast(resident.select("key", F.lit(1).alias("here"))), "key", "left")
-    return here.groupBy("px", "py").agg(F.min(F.when(F.col("here").isNull(), F.col("i"))).alias("halt"))
+    here = samples.join(slots_side(resident.select("key", F.lit(1).alias("here"))), "key", "left")
+    return here.groupBy("px", "py").agg(F.min(F.when(F.col("key").isNotNull() & F.col("here").isNull(), F.col("i"))).alias("halt"))
 
 
 def refine(samples: DataFrame, slots: int, keep, most_passes: int = 1000) -> tuple[int, int]:
@@ -61,7 +71,7 @@ def refine(samples: DataFrame, slots: int, keep, most_passes: int = 1000) -> tup
 def refine_image(shaded: DataFrame, slots: int, keep, most_passes: int = 1000) -> tuple[DataFrame, int, int]:
     """The finished image (px, py, r, g, b, a, samples) of refinement, with its passes and uploads.
 
-    ``shaded`` (px, py, i, c, key, r, g, b, a) lists the samples that need a brick.  A ray keeps its place and
+    ``shaded`` (px, py, i, c, key, r, g, b, a) lists the samples; those without a key need no brick.  A ray keeps its place and
     the colour and opacity up to there; each pass takes it on to its next missing brick, then all ``slots``
     are given to the bricks most rays wait for.  The image is handed out when no ray waits any more.
     """

@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.grid import AXES, VolumeMeta, coords
-from .mipmap import half_sample
+from .pool import STATS, BrickPool
 
 CELL = [*AXES, "c"]
 
@@ -16,28 +19,61 @@ def latest(log: DataFrame, order: str = "seq") -> DataFrame:
     return log.groupBy(*CELL).agg(F.max_by("v", order).alias("v"))
 
 
-def init_levels(block: DataFrame, vm: VolumeMeta) -> list[DataFrame]:
-    """Levels of a volume that holds nothing yet: empty relations over background."""
-    return [block.select(*CELL, "v").filter("false") for _ in range(vm.top + 1)]
-
-
-def merge(cells: DataFrame, changed: DataFrame) -> DataFrame:
-    """``cells`` with the changed ones replaced or added."""
-    return cells.join(changed.select(*CELL), CELL, "left_anti").unionByName(changed.select(*CELL, "v"))
-
-
-def insert_batch(levels: list[DataFrame], block: DataFrame, vm: VolumeMeta) -> list[DataFrame]:
-    """All levels after inserting a block of voxels: per level only the parents of changed cells are half-sampled again."""
-    changed = block.select(*CELL, "v")
-    out = [merge(levels[0], changed)]
-    for level in range(vm.top):
-        parents = changed.select(*(F.expr(f"{a} div 2").alias(f"p{a}") for a in AXES), F.col("c").alias("pc")).distinct()
-        below = out[-1]
-        on = [F.expr(f"{a} div 2 = p{a}") for a in AXES] + [F.expr("c = pc")]
-        children = below.join(parents, on, "left_semi")
-        changed = half_sample(children, vm, level)
-        out.append(merge(levels[level + 1], changed))
-    return out
+def insert_blocks(pool: BrickPool, log: DataFrame, per_block: int | None = None, axis: str = "z") -> int:
+    """Insert a log (x, y, z, c, v, seq) into a pool, the last writer winning; return the number of versions made.
+
+    ``per_block`` cuts the log into one block per that many slices of an axis, in order, as a scanner
+    would send them; without it the whole log is one block, and ancestors are rewritten once.
+    """
+    cells = latest(log)
+    if per_block is None:
+        pool.insert(cells)
+        return 1
+    blocks = [r[0] for r in cells.select(F.expr(f"{axis} div {per_block}").alias("b")).distinct().orderBy("b").collect()]  # a row per block of slices
+    for b in blocks:
+        pool.insert(cells.filter(f"{axis} div {per_block} = {b}"))
+    return len(blocks)
+
+
+def interleaved(parts: list[DataFrame], vm: VolumeMeta) -> DataFrame:
+    """Bricks of one channel each put together; a channel without a brick is unknown there, hence background."""
+    at = ["level", "key", "ix", "iy", "iz", "n"]
+    out = None
+    for c, part in enumerate(parts):
+        own = part.select(*at, *(F.col(k).alias(f"{k}_{c}") for k in ("body", *STATS)))
+        out = own if out is None else out.join(own, at, "full")
+    cells, bg = vm.brick[0] * vm.brick[1] * vm.brick[2], vm.background
+    bodies = ", ".join(f"coalesce(body_{c}, array_repeat(cast(null as int), {cells}))" for c in range(len(parts)))
+    body = F.expr(f"flatten(transform(sequence(0, {cells - 1}), i -> transform(array({bodies}), b -> b[i])))")
+    absent = {"known": "0L", "bsum": f"{bg}L * n"}
+    stats = [F.expr("array(" + ", ".join(f"coalesce({s}_{c}[0], {absent.get(s, f'{bg}L')})" for c in range(len(parts))) + ")").alias(s) for s in STATS]
+    return out.select(*at, body.alias("body"), *stats)
+
+
+def build(voxels: DataFrame, vm: VolumeMeta, parallel: str = "none", path: str | None = None) -> BrickPool:
+    """A pool of a whole volume by one of the ways to share the work out.
+
+    ``shards``: the pool's own way, groups of bricks by ancestor.  ``channel``: one builder per channel,
+    their bricks put together at the end.  ``octant``: one builder per octant of the root, with the
+    ancestors they share made by a last step.  ``none``: one task.  All give the same bricks.
+    """
+    spark = voxels.sparkSession
+    pool = BrickPool.create(spark, vm, path)
+    if parallel == "shards":
+        pool.insert(voxels)
+    elif parallel == "channel":
+        alone = replace(vm, channels=1)
+        parts = [BrickPool.create(spark, alone) for _ in range(vm.channels)]
+        with ThreadPoolExecutor(vm.channels) as builders:
+            list(builders.map(lambda c: parts[c].insert(voxels.filter(F.col("c") == c).withColumn("c", F.lit(0))), range(vm.channels)))
+        pool.commit(interleaved([p.bricks() for p in parts], vm))
+    elif parallel == "octant":
+        pool.insert(voxels, height=vm.top - 1, tasks=8)
+    elif parallel == "none":
+        pool.insert(voxels, height=vm.top, tasks=1)
+    else:
+        raise ValueError(parallel)
+    return pool
 
 
 def touched_nodes(block: DataFrame, vm: VolumeMeta) -> DataFrame:

@@ -21,6 +21,17 @@ def build_nodes(stats: DataFrame, vm: VolumeMeta, threshold: float) -> DataFrame
     return g.withColumns({"key": key, "homog": F.col("spread") < threshold, "subhomog": F.col("subspread") < threshold})
 
 
+def nodes_of_bricks(bricks: DataFrame, vm: VolumeMeta, threshold: float | list[float]) -> DataFrame:
+    """The same from bricks of a pool, a projection of their statistics; a list gives one threshold per channel."""
+    limits = [float(t) for t in threshold] if isinstance(threshold, list) else [float(threshold)] * vm.channels
+    below = "forall(zip_with(zip_with({0}max, {0}min, (p, q) -> p - q), array(" + ", ".join(f"{t!r}D" for t in limits) + "), (d, t) -> d < t), s -> s)"
+    spread = "array_max(zip_with({0}max, {0}min, (p, q) -> p - q))"
+    return bricks.select(
+        "level", "key", "ix", "iy", "iz", "n", F.expr(spread.format("b")).alias("spread"), F.expr(spread.format("s")).alias("subspread"),
+        *(F.expr(f"bsum[{c}] div n").alias(f"avg{c}") for c in range(vm.channels)), F.expr(below.format("b")).alias("homog"), F.expr(below.format("s")).alias("subhomog"),
+    )
+
+
 def collapse(nodes: DataFrame, vm: VolumeMeta) -> DataFrame:
     """Nodes that survive: those whose parent's subtree is not homogeneous, with idx and has_brick."""
     gone = nodes.filter("subhomog").select((F.col("level") - 1).alias("level"), F.col("key").alias("pkey"))
@@ -28,6 +39,13 @@ def collapse(nodes: DataFrame, vm: VolumeMeta) -> DataFrame:
     return kept.withColumns({"has_brick": ~F.col("homog"), "leaf": F.col("subhomog") | (F.col("level") == 0), "idx": bfs_index(F.col("level"), F.col("key"), vm.top)}).drop("pkey")
 
 
+def siblings(kept: DataFrame) -> DataFrame:
+    """Background nodes (level, key) that complete the eight children of every collapsed node that has any."""
+    children = kept.filter("not leaf").select((F.col("level") - 1).alias("level"), F.col("key").alias("parent"))
+    children = children.withColumn("octant", F.explode(F.sequence(F.lit(0), F.lit(7)))).select("level", (F.shiftleft("parent", 3) + F.col("octant")).alias("key"))
+    return children.join(kept.select("level", "key"), ["level", "key"], "left_anti")
+
+
 def level_summary(nodes: DataFrame) -> DataFrame:
     return nodes.groupBy("level").agg(F.count("*").alias("bricks"), F.count_if("homog").alias("homogeneous"), F.count_if("subhomog").alias("subtrees"))
 

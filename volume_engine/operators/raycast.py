@@ -58,6 +58,39 @@ def transfer(df: DataFrame, hi: int, colours=None) -> DataFrame:
     return df.withColumns(out)
 
 
+def transfer_table(df: DataFrame, segments: list[tuple]) -> DataFrame:
+    """Adds r, g, b, a by a table of linear segments (c, lo, hi, r0, g0, b0, a0, r1, g1, b1, a1); intensities outside all of them are dropped.
+
+    The table is literals of the plan, found by a range join against a broadcast side.
+    """
+    names = [f"{k}{e}" for e in (0, 1) for k in "rgba"]
+    table = df.sparkSession.createDataFrame([(int(s[0]), *(float(x) for x in s[1:])) for s in segments], "tc int, lo double, hi double, " + ", ".join(f"{n} double" for n in names))
+    wide = df.join(F.broadcast(table), (F.col("c") == F.col("tc")) & (F.col("v") >= F.col("lo")) & (F.col("v") < F.col("hi")))
+    at = (F.col("v") - F.col("lo")) / (F.col("hi") - F.col("lo"))
+    return wide.select(*df.columns, *((F.col(f"{k}0") + at * (F.col(f"{k}1") - F.col(f"{k}0"))).alias(k) for k in "rgba"))
+
+
+def dvr_wavefront(slabs: list, rays: DataFrame, alpha_stop: float, keep) -> tuple[DataFrame, list[tuple[int, int]]]:
+    """Front-to-back compositing slab by slab; rays that have reached ``alpha_stop`` fetch nothing of later slabs.
+
+    ``slabs`` are functions that give the shaded samples (px, py, i, c, r, g, b, a) of some rays (px, py)
+    in one depth range each, front to back.  Returns the image as of ``dvr_window(..., alpha_stop)`` and, per
+    slab, the rays still going and the samples fetched for them.
+    """
+    state = keep(rays.select("px", "py").distinct().select("px", "py", *(F.lit(0.0).alias(k) for k in "rgba"), F.lit(0).cast("long").alias("samples")))
+    spent = []
+    for slab in slabs:
+        going = state.filter(F.col("a") < alpha_stop).select("px", "py", F.col("a").alias("before"))
+        rows = keep(slab(going.select("px", "py")))
+        spent.append((going.count(), rows.count()))
+        front = Window.partitionBy("px", "py").orderBy("i", "c").rowsBetween(Window.unboundedPreceding, -1)
+        rows = rows.join(going, ["px", "py"]).withColumn("t", (1 - F.col("before")) * clear_before(front)).filter(1 - F.col("t") < alpha_stop)
+        part = rows.groupBy("px", "py").agg(*(F.sum(F.col("t") * F.col("a") * F.col(k)).alias(f"p{k}") for k in "rgb"), F.sum(F.col("t") * F.col("a")).alias("pa"), F.count("*").alias("pn"))
+        moved = state.join(part, ["px", "py"], "left")
+        state = keep(moved.select("px", "py", *((F.col(k) + F.coalesce(f"p{k}", F.lit(0.0))).alias(k) for k in "rgba"), (F.col("samples") + F.coalesce("pn", F.lit(0))).alias("samples")))
+    return state, spent
+
+
 def heat(v: Column, hi: int) -> tuple[Column, Column, Column]:
     """Piecewise linear heat map: black, red, yellow, white."""
     t = v / F.lit(float(hi)) * 3
@@ -74,10 +107,32 @@ def mip_image(fetched: DataFrame) -> DataFrame:
     return fetched.groupBy("px", "py", "c").agg(F.max("v").alias("v"))
 
 
+def _ln_clear(a: Column) -> Column:
+    """Logarithm of a sample's transparency; an opaque one counts in ``_opaque`` instead."""
+    return F.when(a < 1, F.log(1 - a)).otherwise(F.lit(0.0))
+
+
+def _opaque(a: Column) -> Column:
+    return F.when(a >= 1, 1).otherwise(0)
+
+
+def clear_before(front, a: Column | None = None) -> Column:
+    """Transparency of the rows of a window: the product of 1 - a, nothing if one of them is opaque."""
+    a = F.col("a") if a is None else a
+    blocked = F.coalesce(F.max(_opaque(a)).over(front), F.lit(0))
+    return F.when(blocked == 1, 0.0).otherwise(F.exp(F.coalesce(F.sum(_ln_clear(a)).over(front), F.lit(0.0))))
+
+
+def clear_of_group(a: Column | None = None) -> Column:
+    """The same as an aggregate over a group."""
+    a = F.col("a") if a is None else a
+    return F.when(F.max(_opaque(a)) == 1, 0.0).otherwise(F.exp(F.sum(_ln_clear(a))))
+
+
 def dvr_window(shaded: DataFrame, alpha_stop: float | None = None) -> DataFrame:
     """Front-to-back compositing over (i, c): transparency in front of a sample is a running product (of logarithms)."""
     front = Window.partitionBy("px", "py").orderBy("i", "c").rowsBetween(Window.unboundedPreceding, -1)
-    rows = shaded.withColumn("t", F.exp(F.coalesce(F.sum(F.log(1 - F.col("a"))).over(front), F.lit(0.0))))
+    rows = shaded.withColumn("t", clear_before(front))
     if alpha_stop is not None:
         rows = rows.filter(1 - F.col("t") < alpha_stop)
     return rows.groupBy("px", "py").agg(*(F.sum(F.col("t") * F.col("a") * F.col(k)).alias(k) for k in "rgb"), F.sum(F.col("t") * F.col("a")).alias("a"), F.count("*").alias("samples"))
@@ -95,11 +150,11 @@ def dvr_segments(shaded: DataFrame, length: int) -> DataFrame:
     """The same by runs of ``length`` samples: each run is composited alone, then the runs in order."""
     runs = shaded.withColumn("run", F.expr(f"i div {length}"))
     front = Window.partitionBy("px", "py", "run").orderBy("i", "c").rowsBetween(Window.unboundedPreceding, -1)
-    runs = runs.withColumn("t", F.exp(F.coalesce(F.sum(F.log(1 - F.col("a"))).over(front), F.lit(0.0))))
-    part = runs.groupBy("px", "py", "run").agg(*(F.sum(F.col("t") * F.col("a") * F.col(k)).alias(k) for k in "rgb"), F.sum(F.log(1 - F.col("a"))).alias("ln_t"), F.count("*").alias("n"))
+    runs = runs.withColumn("t", clear_before(front))
+    part = runs.groupBy("px", "py", "run").agg(*(F.sum(F.col("t") * F.col("a") * F.col(k)).alias(k) for k in "rgb"), (1 - clear_of_group()).alias("a"), F.count("*").alias("n"))
     before = Window.partitionBy("px", "py").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
-    part = part.withColumn("t", F.exp(F.coalesce(F.sum("ln_t").over(before), F.lit(0.0))))
-    return part.groupBy("px", "py").agg(*(F.sum(F.col("t") * F.col(k)).alias(k) for k in "rgb"), (1 - F.exp(F.sum("ln_t"))).alias("a"), F.sum("n").alias("samples"))
+    part = part.withColumn("t", clear_before(before))
+    return part.groupBy("px", "py").agg(*(F.sum(F.col("t") * F.col(k)).alias(k) for k in "rgb"), F.sum(F.col("t") * F.col("a")).alias("a"), F.sum("n").alias("samples"))
 
 
 def shift_channel(voxels: DataFrame, channel: int, shift=(0, 0, 0)) -> DataFrame:

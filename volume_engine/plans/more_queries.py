@@ -7,49 +7,98 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import grid
-from ..operators import fullframe, ingest, mipmap, octree, paging, raycast
-from ..sources.volumes import open_volume, table
+from .. import storage
+from ..functions import codec, grid
+from ..operators import fullframe, ingest, mipmap, node_buffer, octree, paging, raycast
+from ..operators import pool as brick_pool
+from ..operators.pool import BrickPool
+from ..sources.catalog import volume
+from ..sources.volumes import table
 from ..streaming import stream_ingest
 from . import oracle as O
-from .queries import nodes_of, register, scan_bricks
+from .queries import _KEPT, _WORD, nodes_of, open_volume, register, scan_bricks
 
 SCAN = f"WITH {O.voxels('scan')}"
 MIPSUM = "SELECT level, c, count(*) AS cells, sum(v)::BIGINT AS total FROM mip GROUP BY level, c"
 
 
-def summary(levels: list[DataFrame]) -> DataFrame:
-    rows = reduce(DataFrame.unionByName, (m.withColumn("level", F.lit(l)) for l, m in enumerate(levels)))
-    return rows.groupBy("level", "c").agg(F.count("*").alias("cells"), F.sum("v").alias("total"))
+def summary(pool: BrickPool) -> DataFrame:
+    return pool.voxels().groupBy("level", "c").agg(F.count("*").alias("cells"), F.sum("v").alias("total"))
+
+
+def pool_of_blocks(spark, sf_dir, *blocks) -> BrickPool:
+    """The scan volume built block by block; each block is a condition, or a condition and a value."""
+    v, vm = open_volume(spark, sf_dir, "scan")
+    pool = BrickPool.create(spark, vm)
+    for b in blocks:
+        where, value = b if isinstance(b, tuple) else (b, "v")
+        pool.insert(v.filter(where).withColumn("v", F.expr(value)))
+    return pool
 
 
 # --- incremental ---------------------------------------------------------------------------
 @register("incr_insert_sequence", f"WITH {O.mipmap('scan')} {MIPSUM}")
 def _(spark, sf_dir):
-    v, vm = open_volume(spark, sf_dir, "scan")
-    levels = mipmap.build_mipmap(v.filter("z < 40"), vm)
-    return summary(ingest.insert_batch(levels, v.filter("z >= 40"), vm))
+    return summary(pool_of_blocks(spark, sf_dir, "z < 40", "z >= 40"))
 
 
 @register("incr_order_invariance", f"WITH {O.mipmap('scan')} {MIPSUM}")
 def _(spark, sf_dir):
-    v, vm = open_volume(spark, sf_dir, "scan")
-    levels = mipmap.build_mipmap(v.filter("z * 37 % 120 < 60"), vm)
-    return summary(ingest.insert_batch(levels, v.filter("z * 37 % 120 >= 60"), vm))
+    return summary(pool_of_blocks(spark, sf_dir, "z * 37 % 120 >= 60", "z * 37 % 120 < 60"))
 
 
 @register("incr_channel_by_channel", f"WITH {O.mipmap('scan')} {MIPSUM}")
 def _(spark, sf_dir):
-    v, vm = open_volume(spark, sf_dir, "scan")
-    levels = mipmap.build_mipmap(v.filter("c != 1"), vm)
-    return summary(ingest.insert_batch(levels, v.filter("c = 1"), vm))
+    return summary(pool_of_blocks(spark, sf_dir, "c = 2", "c = 0", "c = 1"))
 
 
 @register("incr_overwrite", f"WITH {O.mipmap('scan')} {MIPSUM}")
+def _(spark, sf_dir):
+    return summary(pool_of_blocks(spark, sf_dir, ("true", "if(z = 5, v * 2, v)"), "z = 5"))
+
+
+_STATSUM = "SELECT level, c, count(*) AS bricks, sum(bsum)::BIGINT AS total, sum(smin)::BIGINT AS smin, sum(smax)::BIGINT AS smax, sum(n)::BIGINT AS n FROM stats GROUP BY level, c"
+
+
+@register("incr_batch_equals_sequence", f"WITH {O.bricks('scan')} {_STATSUM}")
 def _(spark, sf_dir):
     v, vm = open_volume(spark, sf_dir, "scan")
-    wrong = v.withColumn("v", F.when(F.col("z") == 5, F.col("v") * 2).otherwise(F.col("v")))
-    return summary(ingest.insert_batch(mipmap.build_mipmap(wrong, vm), v.filter("z = 5"), vm))
+    pool = BrickPool.create(spark, vm)
+    ingest.insert_blocks(pool, v.withColumn("seq", F.lit(0)), 40)
+    return pool.stats().groupBy("level", "c").agg(F.count("*").alias("bricks"), F.sum("bsum").alias("total"), F.sum("smin").alias("smin"), F.sum("smax").alias("smax"), F.sum("n").alias("n"))
+
+
+for _way in ("channel", "octant", "none"):
+    @register(f"build_by_{_way}", f"WITH {O.bricks('scan')} {_STATSUM}")
+    def _(spark, sf_dir, way=_way):
+        v, vm = open_volume(spark, sf_dir, "scan")
+        return ingest.build(v, vm, way).stats().groupBy("level", "c").agg(F.count("*").alias("bricks"), F.sum("bsum").alias("total"), F.sum("smin").alias("smin"), F.sum("smax").alias("smax"), F.sum("n").alias("n"))
+
+
+@register("brick_parent_from_children", f"WITH {O.mipmap('scan')} SELECT x, y, z, c, v FROM m1")
+def _(spark, sf_dir):
+    opened = volume(spark, sf_dir, "scan")
+    parents = brick_pool.parents_of(opened.pool.bricks(), opened.vm, 0).withColumn("level", F.lit(1))
+    return brick_pool.unpacked(parents, opened.vm).drop("level")
+
+
+@register("border_stats", f"WITH {O.bricks('scan')} SELECT level, ix, iy, iz, c, n, bmin, bmax, avg FROM stats WHERE n < 512")
+def _(spark, sf_dir):
+    return volume(spark, sf_dir, "scan").pool.stats().filter("n < 512").select("level", "ix", "iy", "iz", "c", "n", "bmin", "bmax", "avg")
+
+
+@register("octree_siblings", f"WITH {O.nodes('scan', 3276.75, 3)} SELECT p.level - 1 AS level, 8 * count(*) - (SELECT count(*) FROM kept AS k WHERE k.level = p.level - 1) AS siblings FROM kept AS p WHERE p.level > 0 AND p.subhomog = 0 GROUP BY p.level")
+def _(spark, sf_dir):
+    n, vm = nodes_of(spark, sf_dir, "scan")
+    return octree.siblings(octree.collapse(n, vm)).groupBy("level").agg(F.count("*").alias("siblings"))
+
+
+@register("homog_all_channels", f"WITH {O.nodes('scan', 3276.75, 3)}, spans AS (SELECT level, ix, iy, iz, min(bmax - bmin) AS least FROM stats GROUP BY 1, 2, 3, 4) SELECT nodes.level, count(*) AS bricks, sum(homog)::BIGINT AS all_channels, sum(CAST(least < 3276.75 AS INT))::BIGINT AS some_channel FROM nodes JOIN spans USING (level, ix, iy, iz) GROUP BY nodes.level")
+def _(spark, sf_dir):
+    opened = volume(spark, sf_dir, "scan")
+    spans = F.expr("transform(filter(sequence(0, size(known) - 1), c -> known[c] > 0), c -> bmax[c] - bmin[c])")
+    rows = opened.pool.bricks().select("level", spans.alias("spans"))
+    return rows.groupBy("level").agg(F.count("*").alias("bricks"), F.count_if(F.array_max("spans") < 3276.75).alias("all_channels"), F.count_if(F.array_min("spans") < 3276.75).alias("some_channel"))
 
 
 @register("late_overwrite", f"{SCAN} SELECT x, y, z, c, v FROM vox")
@@ -60,13 +109,19 @@ def _(spark, sf_dir):
 
 
 for _name, _per in (("slice_parent_updates", 1), ("aligned_parent_updates", 8)):
-    @register(_name, f"{SCAN} SELECT level, count(*) AS updates FROM (SELECT DISTINCT z // {_per} AS block, l AS level, (x // 8) // (1 << l) AS ix, (y // 8) // (1 << l) AS iy, (z // 8) // (1 << l) AS iz FROM vox, meta, range(0, 9) AS t(l) WHERE l <= top) AS q GROUP BY level")
+    @register(_name, f"{SCAN} SELECT level, count(*) AS updates FROM (SELECT DISTINCT z // {_per} AS block, l AS level, (x // 8) // (1 << l) AS ix, (y // 8) // (1 << l) AS iy, (z // 8) // (1 << l) AS iz FROM vox, meta, range(0, 21) AS t(l) WHERE l <= top) AS q GROUP BY level")
     def _(spark, sf_dir, per=_per):
         v, vm = open_volume(spark, sf_dir, "scan")
         return ingest.parent_updates(v, vm, per)
 
 
-@register("touched_nodes", f"{SCAN} SELECT level, count(*) AS nodes FROM (SELECT DISTINCT l AS level, (x // 8) // (1 << l) AS ix, (y // 8) // (1 << l) AS iy, (z // 8) // (1 << l) AS iz FROM vox, meta, range(0, 9) AS t(l) WHERE l <= top AND z = 30) AS q GROUP BY level")
+@register("aligned_vs_slice_updates", " UNION ALL ".join(f"SELECT * FROM ({SCAN} SELECT {p} AS per_block, level, count(*) AS updates FROM (SELECT DISTINCT z // {p} AS block, l AS level, (x // 8) // (1 << l) AS ix, (y // 8) // (1 << l) AS iy, (z // 8) // (1 << l) AS iz FROM vox, meta, range(0, 21) AS t(l) WHERE l <= top) AS q GROUP BY level) AS p{p}" for p in (1, 5, 8)))
+def _(spark, sf_dir):
+    v, vm = open_volume(spark, sf_dir, "scan")
+    return reduce(DataFrame.unionByName, (ingest.parent_updates(v, vm, p).withColumn("per_block", F.lit(p)) for p in (1, 5, 8)))
+
+
+@register("touched_nodes", f"{SCAN} SELECT level, count(*) AS nodes FROM (SELECT DISTINCT l AS level, (x // 8) // (1 << l) AS ix, (y // 8) // (1 << l) AS iy, (z // 8) // (1 << l) AS iz FROM vox, meta, range(0, 21) AS t(l) WHERE l <= top AND z = 30) AS q GROUP BY level")
 def _(spark, sf_dir):
     v, vm = open_volume(spark, sf_dir, "scan")
     return ingest.touched_nodes(v.filter("z = 30"), vm).groupBy("level").agg(F.count("*").alias("nodes"))
@@ -74,20 +129,38 @@ def _(spark, sf_dir):
 
 @register("partial_tree_render", f"WITH {O.rays('scan')} SELECT px, py, c, max(v) AS v FROM hit WHERE i < 40 GROUP BY px, py, c")
 def _(spark, sf_dir):
-    v, vm = open_volume(spark, sf_dir, "scan")
-    rays = raycast.ortho_rays(spark, vm, O.SAMPLE, O.SAMPLE)
-    return raycast.mip_image(v.filter("z < 40").join(F.broadcast(rays), ["x", "y"]).select("px", "py", "c", "v"))
+    pool = pool_of_blocks(spark, sf_dir, "z < 40", "z >= 40")
+    rays = raycast.ortho_rays(spark, pool.vm, O.SAMPLE, O.SAMPLE)
+    early = pool.voxels(pool.commits[0], 0)  # the tree as it was after the first block
+    return raycast.mip_image(early.join(F.broadcast(rays), ["x", "y"]).select("px", "py", "c", "v"))
+
+
+LINE = grid.VolumeMeta("line", (16, 1, 1), (4, 4, 4))
+LINE_BLOCKS = [(0, [1, 5, 1, 5]), (12, [5, 1, 2, 4]), (4, [3, 3, 3, 3]), (8, [1, 3, 3, 5])]
+
+
+def line_pool(spark) -> BrickPool:
+    """The one-dimensional example: four blocks that arrive out of order."""
+    pool = BrickPool.create(spark, LINE)
+    for x0, values in LINE_BLOCKS:
+        pool.insert(spark.createDataFrame([(x0 + i, 0, 0, 0, v) for i, v in enumerate(values)], "x int, y int, z int, c int, v long"))
+    return pool
+
+
+# step, level, brick, average, homogeneous, subtree homogeneous under a threshold of one
+_STATES = "(1, 0, 0, 3, 0, 0), (1, 1, 0, 1, 0, 0), (1, 2, 0, 0, 0, 0), (2, 0, 0, 3, 0, 0), (2, 0, 3, 3, 0, 0), (2, 1, 0, 1, 0, 0), (2, 1, 1, 1, 0, 0), (2, 2, 0, 1, 0, 0), (3, 0, 0, 3, 0, 0), (3, 0, 1, 3, 1, 1), (3, 0, 3, 3, 0, 0), (3, 1, 0, 3, 1, 0), (3, 1, 1, 1, 0, 0), (3, 2, 0, 2, 0, 0), (4, 0, 0, 3, 0, 0), (4, 0, 1, 3, 1, 1), (4, 0, 2, 3, 0, 0), (4, 0, 3, 3, 0, 0), (4, 1, 0, 3, 1, 0), (4, 1, 1, 3, 0, 0), (4, 2, 0, 3, 1, 0)"
+
+
+@register("worked_example_states", f"SELECT * FROM (VALUES {_STATES}) AS t(step, level, brick, average, homog, subhomog)")
+def _(spark, sf_dir):
+    pool = line_pool(spark)
+    steps = [octree.nodes_of_bricks(pool.bricks(v), LINE, 1).select(F.lit(k + 1).alias("step"), "level", F.col("ix").alias("brick"), F.col("avg0").alias("average"), "homog", "subhomog") for k, v in enumerate(pool.commits)]
+    return reduce(DataFrame.unionByName, steps)
 
 
 @register("worked_example_1d", "SELECT * FROM (VALUES (0, 0, 1), (0, 1, 5), (0, 2, 1), (0, 3, 5), (0, 4, 3), (0, 5, 3), (0, 6, 3), (0, 7, 3), (0, 8, 1), (0, 9, 3), (0, 10, 3), (0, 11, 5), (0, 12, 5), (0, 13, 1), (0, 14, 2), (0, 15, 4), (1, 0, 3), (1, 1, 3), (1, 2, 3), (1, 3, 3), (1, 4, 2), (1, 5, 4), (1, 6, 3), (1, 7, 3), (2, 0, 3), (2, 1, 3), (2, 2, 3), (2, 3, 3)) AS t(level, x, v)")
 def _(spark, sf_dir):
-    vm = grid.VolumeMeta("line", (16, 1, 1), (4, 4, 4))
-    blocks = [(0, [1, 5, 1, 5]), (12, [5, 1, 2, 4]), (4, [3, 3, 3, 3]), (8, [1, 3, 3, 5])]
-    cells = [spark.createDataFrame([(x0 + i, 0, 0, 0, v) for i, v in enumerate(vs)], "x int, y int, z int, c int, v long") for x0, vs in blocks]
-    levels = ingest.init_levels(cells[0], vm)
-    for block in cells:
-        levels = ingest.insert_batch(levels, block, vm)
-    return reduce(DataFrame.unionByName, (m.select(F.lit(l).alias("level"), "x", "v") for l, m in enumerate(levels)))
+    return line_pool(spark).voxels().select("level", "x", "v")
 
 
 # --- residency, full frame, uploads -----------------------------------------------------------
@@ -196,7 +269,7 @@ def _(spark, sf_dir):
     rays = raycast.ortho_rays(spark, vm, O.SAMPLE, O.SAMPLE)
     key = grid.morton3(F.expr("x div 8"), F.expr("y div 8"), F.expr("z div 8"), vm.key_bits)
     hit = v.join(F.broadcast(rays), ["x", "y"]).select("px", "py", F.col("z").alias("i"), "c", "v", key.alias("key"))
-    return fullframe.refine_image(raycast.transfer(hit, 65535), 128, lambda df: df.localCheckpoint())[0]
+    return fullframe.refine_image(raycast.transfer(hit, 65535), 128, storage.keep)[0]
 
 
 # --- paging ------------------------------------------------------------------------------------
@@ -250,41 +323,86 @@ for _name, _sides in (("halo_bricks", 2), ("halo_one_sided_bricks", 1)):
 
 
 # --- deltas ------------------------------------------------------------------------------------
-_B0 = "SELECT x // 8 AS ix, y // 8 AS iy, z // 8 AS iz, sum(v)::BIGINT AS word FROM vox WHERE {} GROUP BY 1, 2, 3"
-_VERS = f"{SCAN}, o AS ({_B0.format('z < 42')}), n AS ({_B0.format('z < 60 AND NOT (x < 8 AND y < 8)')})"
+#: The scan when seven tenths of its slices had arrived, and later, whole, with a corner overwritten by background.
+_EARLY = ("z < (SELECT max(z) + 1 FROM allvox) * 7 // 10",)
+_LATER = ("", "CASE WHEN x < 16 AND y < 16 THEN 0 ELSE v END")
+
+
+def words_sql(*changes: str) -> str:
+    return f"WITH {O.nodes('scan', 3276.75, 3, *changes)}, w AS ({_WORD}) SELECT CAST((pow(8, top - level) - 1) / 7 AS BIGINT) + key AS idx, low + (payload << 24) AS word FROM w, meta"
+
+
+_VERS = f"WITH o AS ({words_sql(*_EARLY)}), n AS ({words_sql(*_LATER)}), ev AS (SELECT coalesce(o.idx, n.idx) AS idx, CASE WHEN o.word IS NULL THEN 'create' WHEN n.word IS NULL THEN 'delete' WHEN o.word <> n.word THEN 'update' END AS kind, coalesce(n.word, 0) AS word FROM o FULL JOIN n ON o.idx = n.idx)"
 
 
 def versions(spark, sf_dir):
-    """Brick words when seven tenths of the slices had arrived, and of all slices with a corner deleted."""
+    """Node buffers of two versions of one pool, and its declaration."""
     v, vm = open_volume(spark, sf_dir, "scan")
+    early = vm.dims[2] * 7 // 10
+    pool = pool_of_blocks(spark, sf_dir, f"z < {early}", (f"z >= {early} or x < 16 and y < 16", "if(x < 16 and y < 16, 0, v)"))
+    return *(node_buffer.node_words(octree.collapse(octree.nodes_of_bricks(pool.bricks(k), vm, 3276.75), vm), vm).select("idx", "word") for k in pool.commits), vm
+
+
+@register("delta_events", f"{_VERS} SELECT kind, idx, word FROM ev WHERE kind IS NOT NULL")
+def _(spark, sf_dir):
+    old, new, _ = versions(spark, sf_dir)
+    return node_buffer.change_events(old, new)
+
+
+@register("delta_apply_equals_rebuild", f"{_VERS} SELECT idx, word FROM n")
+def _(spark, sf_dir):
+    old, new, _ = versions(spark, sf_dir)
+    return node_buffer.patch(old, node_buffer.change_events(old, new))
+
+
+@register("metric_delta_size", f"{_VERS} SELECT sum(CAST(kind IS NOT NULL AS INT))::BIGINT AS sent, (SELECT count(*) FROM n) AS rebuilt FROM ev")
+def _(spark, sf_dir):
+    old, new, _ = versions(spark, sf_dir)
+    sent = node_buffer.change_events(old, new).agg(F.count("*").alias("sent"))
+    return sent.join(new.agg(F.count("*").alias("rebuilt")))
 
-    def words(cond):
-        return v.filter(cond).groupBy(*(F.expr(f"{a} div 8").alias(f"i{a}") for a in "xyz")).agg(F.sum("v").alias("word"))
 
-    return words(f"z < {vm.dims[2] * 7 // 10}"), words("not (x < 8 and y < 8)")
+@register("base_rebuild_words", f"{_KEPT}, w AS ({_WORD}) SELECT (SELECT CAST((pow(8, top + 1) - 1) / 7 AS BIGINT) FROM meta) AS words, count(*) AS nodes, bit_xor(low + (payload << 24)) AS checksum FROM w")
+def _(spark, sf_dir):
+    n, vm = nodes_of(spark, sf_dir, "scan")
+    words = node_buffer.node_words(octree.collapse(n, vm), vm)
+    every = node_buffer.full(words, vm).agg(F.count("*").alias("words"), F.bit_xor("word").alias("checksum"))
+    return every.join(words.agg(F.count("*").alias("nodes")))  # a word of a dark homogeneous leaf may be 0
 
 
-_KEY = ["ix", "iy", "iz"]
-_KIND = "SELECT coalesce(o.ix, n.ix) AS ix, coalesce(o.iy, n.iy) AS iy, coalesce(o.iz, n.iz) AS iz, CASE WHEN o.word IS NULL THEN 'create' WHEN n.word IS NULL THEN 'delete' WHEN o.word <> n.word THEN 'update' END AS kind FROM o FULL JOIN n ON o.ix = n.ix AND o.iy = n.iy AND o.iz = n.iz"
+_SLOTS = "SELECT level, key, row_number() OVER (ORDER BY level DESC, key) - 1 AS slot FROM kept WHERE homog = 0 AND key % {} = 0"
 
 
-@register("delta_events", f"{_VERS} SELECT * FROM ({_KIND}) AS q WHERE kind IS NOT NULL")
+@register("residency_patch", f"{_KEPT}, w AS ({_WORD}), s AS (SELECT * FROM ({_SLOTS.format(5)}) AS q WHERE slot < 64) SELECT w.level, w.key, CASE WHEN slot IS NULL THEN low + (payload << 24) ELSE low + 1 + (slot << 24) END AS word FROM w LEFT JOIN s ON w.level = s.level AND w.key = s.key")
 def _(spark, sf_dir):
-    old, new = versions(spark, sf_dir)
-    return paging.diff_versions(old, new, _KEY, "word").select(*_KEY, "kind")
+    n, vm = nodes_of(spark, sf_dir, "scan")
+    kept = octree.collapse(n, vm)
+    words = node_buffer.node_words(kept, vm)
+    averages = kept.select("idx", codec.pack_averages([F.col(f"avg{c}") for c in range(vm.channels)]).alias("payload"))
+
+    def slots(k: int) -> DataFrame:
+        held = kept.filter(f"has_brick and key % {k} = 0").orderBy(F.desc("level"), "key").limit(64)  # the buffer's slots
+        return held.select("idx", (F.row_number().over(Window.orderBy(F.desc("level"), "key")) - 1).alias("slot"))
 
+    before = node_buffer.load(words.select("idx", "word"), slots(7), averages)
+    return node_buffer.load(before, slots(5), averages).join(words.select("idx", "level", "key"), "idx").select("level", "key", "word")
 
-@register("delta_apply_equals_rebuild", f"{_VERS} SELECT ix, iy, iz, word FROM n")
+
+@register("tier_of_request", f"{_REQ} SELECT req.level, req.key, req.key >> 6 AS page, CASE WHEN r.key IS NOT NULL THEN 'gpu' WHEN (req.key >> 6) % 2 = 0 THEN 'ram' ELSE 'disk' END AS tier FROM req LEFT JOIN res AS r ON r.level = req.level AND r.key = req.key")
 def _(spark, sf_dir):
-    old, new = versions(spark, sf_dir)
-    return paging.apply_delta(old, paging.diff_versions(old, new, _KEY, "word"), _KEY, "word")
+    resolved, n = resolved_of(spark, sf_dir)
+    req = fullframe.requests(resolved)
+    pages = req.select("level", F.shiftright("key", 6).alias("page")).distinct().filter("page % 2 = 0")
+    return paging.serve_requests(req, n.filter(_RES).select("level", "key"), pages)
 
 
-@register("metric_delta_size", f"{_VERS} SELECT sum(CAST(kind IS NOT NULL AS INT))::BIGINT AS sent, (SELECT count(*) FROM n) AS rebuilt FROM ({_KIND}) AS q")
+@register("dirty_writebacks", f"""{_TRACE}, e AS (SELECT *, CAST(NOT coalesce(distance < 8, false) AS INT) AS miss FROM dist), ep AS (SELECT *, sum(miss) OVER (PARTITION BY cache, page ORDER BY seq) AS epoch FROM e),
+ g AS (SELECT cache, page, epoch, max(seq) AS last, max(CAST(seq % 3 = 0 AS INT)) AS dirty FROM ep GROUP BY cache, page, epoch),
+ k AS (SELECT *, lead(epoch) OVER (PARTITION BY cache, page ORDER BY epoch) IS NOT NULL AS again, (SELECT count(DISTINCT t.page) FROM trace AS t WHERE t.cache = g.cache AND t.seq > g.last) AS later FROM g)
+ SELECT cache, sum(CASE WHEN again OR later >= 8 THEN dirty ELSE 0 END)::BIGINT AS written FROM k GROUP BY cache""")
 def _(spark, sf_dir):
-    old, new = versions(spark, sf_dir)
-    sent = paging.diff_versions(old, new, _KEY, "word").agg(F.count("*").alias("sent"))
-    return sent.join(new.agg(F.count("*").alias("rebuilt")))
+    t = trace_of(spark, sf_dir).withColumns({"write": F.col("seq") % 3 == 0, "pin": F.lit(False), "unpin": F.lit(False)})
+    return paging.simulate_lru(t, 8).groupBy("cache").agg(F.sum("written").alias("written"))
 
 
 # --- baselines ---------------------------------------------------------------------------------
@@ -393,18 +511,19 @@ def _(spark, sf_dir):
     return e.groupBy("i").agg(F.count("*").alias("n"), F.max("e").cast("double").alias("hi"))
 
 
-@register("asof_last_slice", "SELECT user_id, max(event_id) AS last_view, arg_max(CAST(floor(value * 100) AS BIGINT), event_id) AS v FROM events WHERE event_type = 'view' AND event_id < 500 GROUP BY user_id")
+@register("asof_last_slice", "SELECT user_id, max(event_id) AS last_view, arg_max(CAST(floor(value * 100) AS BIGINT), event_id) AS v FROM events WHERE event_type = 'view' GROUP BY user_id")
 def _(spark, sf_dir):
     e = table(spark, sf_dir, "events").filter("event_type = 'view'")  # as of the table's last event
     return e.groupBy("user_id").agg(F.max("event_id").alias("last_view"), F.max_by(F.expr("cast(floor(value * 100) as bigint)"), "event_id").alias("v"))
 
 
-@register("recursive_ancestors", f"{SCAN}, bk AS (SELECT DISTINCT {O.morton('x // 8', 'y // 8', 'z // 8')} AS key FROM vox) SELECT l AS level, count(DISTINCT key >> CAST(3 * l AS INT)) AS nodes FROM bk, range(0, 4) AS t(l) GROUP BY l")
+@register("recursive_ancestors", f"{SCAN}, bk AS (SELECT DISTINCT {O.morton('x // 8', 'y // 8', 'z // 8')} AS key FROM vox) SELECT l AS level, count(DISTINCT key >> CAST(3 * l AS INT)) AS nodes FROM bk, meta, range(0, 21) AS t(l) WHERE l <= top GROUP BY l")
 def _(spark, sf_dir):
-    _, vm = open_volume(spark, sf_dir, "scan")
-    k = scan_bricks(spark, sf_dir).select(grid.morton3(F.col("ix"), F.col("iy"), F.col("iz")).alias("key"))
-    up = k.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(vm.top)))).withColumn("key", F.expr("shiftright(key, 3 * level)"))
-    return up.groupBy("level").agg(F.count_distinct("key").alias("nodes"))
+    opened = volume(spark, sf_dir, "scan")
+    text = """WITH RECURSIVE up(level, key) AS (SELECT 0, key FROM {leaves} UNION ALL SELECT level + 1, shiftright(key, 3) FROM up WHERE level < {top})
+        SELECT level, count(DISTINCT key) AS nodes FROM up GROUP BY level"""
+    leaves = opened.pool.bricks().filter("level = 0").select("key")
+    return spark.sql(text.replace("{top}", str(opened.vm.top)), leaves=leaves)
 
 
 @register("parent_child_join", f"{_NODES} SELECT c.level, c.key, p.spread AS parent_spread FROM nodes AS c JOIN nodes AS p ON p.level = c.level + 1 AND p.key = c.key >> 3")

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-LEVELS = 8
+#: Levels and bits of a coordinate that the texts provide for; the given tables at every scale need fewer.
+LEVELS = 12
+KEY_BITS = 21
 
 VOX = {
     "ribbon": "SELECT CAST(x AS BIGINT) AS x, doc_id % 64 AS y, doc_id // 64 AS z, 0 AS c, least(512, n_chars - 512 * x) AS v FROM documents, range(0, 4000) AS r(x) WHERE n_chars > 512 * x",
@@ -24,18 +26,20 @@ VOX = {
 BRICK = {"ribbon": (4, 4, 4), "scan": (8, 8, 8), "sales": (8, 8, 8), "vec": (4, 4, 16), "conversations": (32, 8, 2), "labels": (16, 2, 2), "benchmark": (4, 2, 2)}
 
 
-def spread(col: str, axis: int, bits: int = 10) -> str:
-    return " + ".join(f"((({col}) >> {i}) & 1) * {1 << (3 * i + axis)}" for i in range(bits))
+def spread(col: str, axis: int, bits: int = KEY_BITS) -> str:
+    return " + ".join(f"((({col}) >> {i}) & 1) * {1 << (3 * i + axis)}::BIGINT" for i in range(bits))
 
 
 def morton(x: str, y: str, z: str) -> str:
     return f"CAST({spread(x, 0)} + {spread(y, 1)} + {spread(z, 2)} AS BIGINT)"
 
 
-def voxels(name: str) -> str:
-    dims = "SELECT 64 AS dx, 64 AS dy, 64 AS dz" if name == "sales" else "SELECT max(x) + 1 AS dx, max(y) + 1 AS dy, max(z) + 1 AS dz FROM vox"
+def voxels(name: str, where: str = "", value: str = "v") -> str:
+    """``vox``, ``dims`` and ``meta`` of a volume; ``where`` and ``value`` leave voxels out or change them, the grid stays."""
+    dims = "SELECT 64 AS dx, 64 AS dy, 64 AS dz" if name == "sales" else "SELECT max(x) + 1 AS dx, max(y) + 1 AS dy, max(z) + 1 AS dz FROM allvox"
     mx, my, mz = BRICK[name]
-    return f"""vox AS (SELECT CAST(x AS BIGINT) AS x, CAST(y AS BIGINT) AS y, CAST(z AS BIGINT) AS z, CAST(c AS BIGINT) AS c, CAST(v AS BIGINT) AS v FROM ({VOX[name]}) AS q),
+    return f"""allvox AS (SELECT CAST(x AS BIGINT) AS x, CAST(y AS BIGINT) AS y, CAST(z AS BIGINT) AS z, CAST(c AS BIGINT) AS c, CAST(v AS BIGINT) AS v FROM ({VOX[name]}) AS q),
+    vox AS (SELECT x, y, z, c, CAST({value} AS BIGINT) AS v FROM allvox{' WHERE ' + where if where else ''}),
     dims AS ({dims}),
     meta AS (SELECT dx, dy, dz, (SELECT min(l) FROM range(0, 20) AS t(l) WHERE {mx} << l >= dx AND {my} << l >= dy AND {mz} << l >= dz) AS top FROM dims)"""
 
@@ -44,8 +48,8 @@ def at(dim: str, level: int) -> str:
     return f"(({dim} + {(1 << level) - 1}) // {1 << level})"
 
 
-def mipmap(name: str) -> str:
-    parts = [voxels(name), "m0 AS (SELECT * FROM vox)"]
+def mipmap(name: str, *changes: str) -> str:
+    parts = [voxels(name, *changes), "m0 AS (SELECT * FROM vox)"]
     for l in range(LEVELS):
         n = " * ".join(f"(least(2 * {a} + 2, {at('d' + a, l)}) - 2 * {a})" for a in "xyz")
         parts.append(f"m{l + 1} AS (SELECT x, y, z, c, s // ({n}) AS v FROM (SELECT x // 2 AS x, y // 2 AS y, z // 2 AS z, c, sum(v)::BIGINT AS s FROM m{l} GROUP BY 1, 2, 3, 4) AS g, dims)")
@@ -54,9 +58,9 @@ def mipmap(name: str) -> str:
     return ", ".join(parts)
 
 
-def bricks(name: str) -> str:
+def bricks(name: str, *changes: str) -> str:
     m = BRICK[name]
-    parts = [mipmap(name)]
+    parts = [mipmap(name, *changes)]
     for l in range(LEVELS + 1):
         n = " * ".join(f"(least({k} * i{a} + {k}, {at('d' + a, l)}) - {k} * i{a})" for a, k in zip("xyz", m, strict=True))
         keys = ", ".join(f"{a} // {k} AS i{a}" for a, k in zip("xyz", m, strict=True))
@@ -78,10 +82,10 @@ def bricks(name: str) -> str:
     return ", ".join(parts)
 
 
-def nodes(name: str, threshold: float, channels: int) -> str:
+def nodes(name: str, threshold: float, channels: int, *changes: str) -> str:
     avgs = ", ".join(f"coalesce(max(CASE WHEN c = {c} THEN avg END), 0) AS avg{c}" for c in range(channels))
     return (
-        bricks(name)
+        bricks(name, *changes)
         + f""", nodes AS (SELECT *, {morton('ix', 'iy', 'iz')} AS key, CAST(spread < {threshold} AS INT) AS homog, CAST(subspread < {threshold} AS INT) AS subhomog
         FROM (SELECT level, ix, iy, iz, max(bmax - bmin) AS spread, max(smax - smin) AS subspread, max(n) AS n, {avgs} FROM stats GROUP BY 1, 2, 3, 4) AS g),
         kept AS (SELECT a.* FROM nodes AS a WHERE NOT EXISTS (SELECT 1 FROM nodes AS p WHERE p.subhomog = 1 AND p.level = a.level + 1 AND p.key = a.key >> 3))"""

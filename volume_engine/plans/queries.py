@@ -8,7 +8,8 @@ from pyspark.sql import types as T
 
 from ..functions import codec, grid
 from ..operators import mipmap, octree, raycast
-from ..sources.volumes import VOLUMES, open_volume
+from ..sources.catalog import volume
+from ..sources.volumes import VOLUMES
 from . import oracle as O
 
 QUERIES: dict = {}
@@ -39,6 +40,12 @@ def register(name: str, sql: str | None = None):
     return add
 
 
+def open_volume(spark, sf_dir, name):
+    """Sparse voxels and declaration of a volume."""
+    opened = volume(spark, sf_dir, name)
+    return opened.voxels, opened.vm
+
+
 # --- grid ----------------------------------------------------------------------------------
 GRID_CASES = [((3865, 1966, 2893), (32, 32, 32)), ((3865, 1966, 2893), (32, 16, 32)), ((2560, 2160, 751), (64, 64, 64)), ((1004, 1002, 1611), (64, 64, 64)), ((1004, 1002, 3315), (64, 64, 64))]
 
@@ -62,7 +69,6 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     dims = (3865, 1966, 2893)
     brick = grid.fit_brick(dims, (16, 32))
-    brick = (32, 16, 32) if grid.fit_levels(dims, brick) != 7 else brick
     return spark.createDataFrame([(*brick, grid.fit_levels(dims, brick))], "mx long, my long, mz long, top long")
 
 
@@ -140,7 +146,7 @@ def _(spark, sf_dir):
     return s.filter("n < 512").select("level", "ix", "iy", "iz", "n").distinct()
 
 
-@register("node_path_octal", f"{_BRICKS} SELECT key, lpad(substr(CAST(d0 AS VARCHAR) || CAST(d1 AS VARCHAR) || CAST(d2 AS VARCHAR) || CAST(d3 AS VARCHAR) || CAST(d4 AS VARCHAR), 1, 5), 5, '0') AS path FROM (SELECT key, (key >> 12) & 7 AS d0, (key >> 9) & 7 AS d1, (key >> 6) & 7 AS d2, (key >> 3) & 7 AS d3, key & 7 AS d4 FROM (SELECT {O.morton('ix', 'iy', 'iz')} AS key FROM bk) AS k) AS d")
+@register("node_path_octal", f"{_BRICKS}, d AS (SELECT {O.morton('ix', 'iy', 'iz')} AS key FROM bk) SELECT key, (SELECT string_agg(CAST((key >> CAST(3 * i AS INT)) & 7 AS VARCHAR), '' ORDER BY i DESC) FROM range(0, top) AS t(i)) AS path FROM d, meta")
 def _(spark, sf_dir):
     _, vm = open_volume(spark, sf_dir, "scan")
     k = scan_bricks(spark, sf_dir).select(grid.morton3(F.col("ix"), F.col("iy"), F.col("iz")).alias("key"))
@@ -149,13 +155,14 @@ def _(spark, sf_dir):
 
 # --- mipmap and bricks -----------------------------------------------------------------------
 def stats_of(spark, sf_dir, name):
-    v, vm = open_volume(spark, sf_dir, name)
-    return mipmap.pyramid_stats(v, vm), vm
+    """Statistics per brick and channel, read off the volume's pool."""
+    opened = volume(spark, sf_dir, name)
+    return opened.pool.stats(), opened.vm
 
 
 def nodes_of(spark, sf_dir, name, threshold=None):
-    s, vm = stats_of(spark, sf_dir, name)
-    return octree.build_nodes(s, vm, THRESHOLD[name] if threshold is None else threshold), vm
+    opened = volume(spark, sf_dir, name)
+    return opened.nodes(THRESHOLD[name] if threshold is None else threshold), opened.vm
 
 
 for _vol in ("ribbon", "scan"):
@@ -192,16 +199,13 @@ def _(spark, sf_dir):
 
 @register("region_read", f"WITH {O.mipmap('scan')} SELECT x, y, z, c, v FROM m1 WHERE x BETWEEN 10 AND 29 AND y BETWEEN 5 AND 24 AND z BETWEEN 8 AND 15")
 def _(spark, sf_dir):
-    v, vm = open_volume(spark, sf_dir, "scan")
-    box = "x between 10 and 29 and y between 5 and 24 and z between 8 and 15"
-    deep = v.filter("x between 20 and 59 and y between 10 and 49 and z between 16 and 31")
-    return mipmap.half_sample(deep, vm, 0).filter(box)
+    box = {"x": (10, 29), "y": (5, 24), "z": (8, 15)}
+    return volume(spark, sf_dir, "scan").pool.region(box, 1).drop("level")
 
 
 @register("slice_view", f"WITH {O.mipmap('scan')} SELECT x, y, c, v FROM m1 WHERE z = 7")
 def _(spark, sf_dir):
-    v, vm = open_volume(spark, sf_dir, "scan")
-    return mipmap.half_sample(v.filter("z in (14, 15)"), vm, 0).filter("z = 7").select("x", "y", "c", "v")
+    return volume(spark, sf_dir, "scan").pool.region({"z": (7, 7)}, 1).select("x", "y", "c", "v")
 
 
 # --- octree ----------------------------------------------------------------------------------
@@ -242,7 +246,7 @@ for _vol in ("scan", "ribbon"):
 
 
 @register("octree_rollup_stats", f"""WITH {O.voxels('scan')}, k AS (SELECT {O.morton('x // 8', 'y // 8', 'z // 8')} AS key, v FROM vox)
-    SELECT l AS level, key >> CAST(3 * l AS INT) AS key, min(v) AS lo, max(v) AS hi, sum(v)::BIGINT AS s, count(*) AS cnt FROM k, range(0, 4) AS t(l) GROUP BY 1, 2""")
+    SELECT l AS level, key >> CAST(3 * l AS INT) AS key, min(v) AS lo, max(v) AS hi, sum(v)::BIGINT AS s, count(*) AS cnt FROM k, meta, range(0, 21) AS t(l) WHERE l <= top GROUP BY 1, 2""")
 def _(spark, sf_dir):
     v, vm = open_volume(spark, sf_dir, "scan")
     key = grid.morton3(F.expr("x div 8"), F.expr("y div 8"), F.expr("z div 8"))
@@ -282,7 +286,7 @@ def _(spark, sf_dir):
     return octree.collapse(n, vm).agg(F.count("*").alias("bricks"), F.count_if("has_brick").alias("stored"))
 
 
-@register("metric_mip_overhead", f"WITH {O.voxels('scan')} SELECT level, (({O.at('dx', 0)} + (1 << level) - 1) // (1 << level)) * ((dy + (1 << level) - 1) // (1 << level)) * ((dz + (1 << level) - 1) // (1 << level)) AS voxels FROM meta, range(0, 9) AS t(level) WHERE level <= top")
+@register("metric_mip_overhead", f"WITH {O.voxels('scan')} SELECT level, (({O.at('dx', 0)} + (1 << level) - 1) // (1 << level)) * ((dy + (1 << level) - 1) // (1 << level)) * ((dz + (1 << level) - 1) // (1 << level)) AS voxels FROM meta, range(0, 21) AS t(level) WHERE level <= top")
 def _(spark, sf_dir):
     _, vm = open_volume(spark, sf_dir, "scan")
     rows = [(l, d[0] * d[1] * d[2]) for l in range(vm.top + 1) for d in [vm.at_level(l)]]

@@ -6,11 +6,12 @@ from pyspark.sql import functions as F
 
 from ..functions.grid import morton3
 from ..operators import camera as cam
-from ..operators import filtering, fullframe, mipmap, octree, paging, raycast
-from ..sources.volumes import open_volume
+from .. import storage
+from ..operators import filtering, fullframe, octree, paging, raycast, render
+from ..sources.catalog import volume
 from . import oracle as O
 from .more_queries import _CAND, _REQ, resolved_of, upload_candidates
-from .queries import HI, hits_of, nodes_of, register, stats_of
+from .queries import HI, hits_of, nodes_of, open_volume, register, stats_of
 
 VIEW = cam.Camera((-60.0, 40.0, -90.0), (32.0, 32.0, 32.0))
 STEP = 2.0
@@ -65,12 +66,21 @@ def view_of(spark, sf_dir):
 
 
 def resolved_view(spark, sf_dir, everything: bool = False):
-    v, vm, _, samples = view_of(spark, sf_dir)
-    stats = mipmap.pyramid_stats(v, vm)
-    nodes = octree.build_nodes(stats, vm, 3276.75)
+    samples = view_of(spark, sf_dir)[3]
+    opened = volume(spark, sf_dir, "sales")
+    nodes = opened.nodes(3276.75)
     resident = nodes.select("level", "key") if everything else nodes.filter(_RESIDENT).select("level", "key")
-    averages = stats.select("level", morton3(F.col("ix"), F.col("iy"), F.col("iz")).alias("key"), "c", "avg")
-    return cam.resolve_at(samples, nodes, resident), mipmap.mipmap_rows(v, vm), averages
+    averages = opened.pool.stats().select("level", morton3(F.col("ix"), F.col("iy"), F.col("iz"), opened.vm.key_bits).alias("key"), "c", "avg")
+    return cam.resolve_at(samples, nodes, resident), opened.pool, averages
+
+
+def fetched(spark, sf_dir, mode: str = "full_frame"):
+    """Intensities of the view's samples by mode, through the pool's bricks."""
+    opened = volume(spark, sf_dir, "sales")
+    nodes = opened.nodes(3276.75)
+    averages = opened.pool.stats().select("level", morton3(F.col("ix"), F.col("iy"), F.col("iz"), opened.vm.key_bits).alias("key"), "c", "avg")
+    resolved = render.resolve(view_of(spark, sf_dir)[3], nodes, nodes.filter(_RESIDENT).select("level", "key"), mode)
+    return render.fetch(resolved, opened.pool.bricks(), averages, opened.vm)
 
 
 @register("perspective_rays", f"WITH {_rays_sql()} SELECT px, py, round(dx, 6) AS dx, round(dy, 6) AS dy, round(dz, 6) AS dz, CAST(enter < leave AS BIGINT) AS hit FROM pray")
@@ -90,14 +100,99 @@ def _(spark, sf_dir):
 
 @register("full_frame_image", f"{_IMAGE} SELECT px, py, c, v FROM img")
 def _(spark, sf_dir):
-    return cam.image_of(*resolved_view(spark, sf_dir))
+    return render.image(fetched(spark, sf_dir), "mip", None)
+
+
+def _mode_image(up: str) -> str:
+    return f"{_FULL}, pmode AS (SELECT px, py, i, x, y, z, level, key, {up} AS up FROM pup), {_image_sql('img', 'pmode', 'up')} SELECT px, py, c, v FROM img"
+
+
+for _name, _mode, _up in (("base_basic_image", "basic", "CASE WHEN flat = 0 AND h0 THEN 0 ELSE 3 END"), ("base_avg_only_image", "average", "3"), ("direct_image", "direct", "CASE WHEN flat = 1 THEN 3 ELSE 0 END")):
+    @register(_name, _mode_image(_up))
+    def _(spark, sf_dir, mode=_mode):
+        return render.image(fetched(spark, sf_dir, mode), "mip", None)
+
+
+_HITS = f"""{_FULL}, hit AS (SELECT px, py, i, m.c, m.v FROM (SELECT px, py, i, level + up AS level, {', '.join(f'{a} >> CAST(level + up AS INT) AS {a}' for a in 'xyz')} FROM pup WHERE up < 3) AS s JOIN mip AS m USING (level, x, y, z)
+      UNION ALL SELECT px, py, i, c, avg AS v FROM pup AS s JOIN (SELECT *, {O.morton('ix', 'iy', 'iz')} AS key FROM stats) AS a ON a.level = s.level AND a.key = s.key WHERE up = 3)"""
+
+
+@register("full_frame_dvr", f"{_HITS}, {O.shade(65535)}, {O.dvr()}")
+def _(spark, sf_dir):
+    return render.image(fetched(spark, sf_dir), "dvr", lambda f: raycast.transfer(f, 65535))
+
+
+@register("sample_source_kind", f"{_FULL} SELECT CASE WHEN flat = 1 THEN 'homogeneous' WHEN up = 0 THEN 'self' WHEN up = 1 THEN 'parent' WHEN up = 2 THEN 'grandparent' ELSE 'average' END AS kind, count(*) AS samples FROM pup GROUP BY 1")
+def _(spark, sf_dir):
+    return resolved_view(spark, sf_dir)[0].groupBy("kind").agg(F.count("*").alias("samples"))
+
+
+@register("used_and_requested", f"""{_FULL}, u AS (SELECT DISTINCT level + up AS level, key >> CAST(3 * up AS INT) AS key FROM pup WHERE up < 3),
+    q AS (SELECT DISTINCT level + j AS level, key >> CAST(3 * j AS INT) AS key FROM pup, meta, range(0, 3) AS t(j) WHERE flat = 0 AND NOT h0 AND level + j <= top)
+    SELECT coalesce(u.level, q.level) AS level, coalesce(u.key, q.key) AS key, CAST(u.key IS NOT NULL AS BIGINT) + 2 * CAST(q.key IS NOT NULL AS BIGINT) AS flags FROM u FULL JOIN q ON u.level = q.level AND u.key = q.key""")
+def _(spark, sf_dir):
+    return render.flags(resolved_view(spark, sf_dir)[0], volume(spark, sf_dir, "sales").vm.top)
+
+
+#: Opaque from an intensity of 30000 on: what lies behind such a sample is hidden.
+_OPAQUE = [(c, 0, 30000, *k, 0.0, *k, 1.0) for c, k in raycast.COLOURS.items()] + [(c, 30000, 65536, *k, 1.0, *k, 1.0) for c, k in raycast.COLOURS.items()]
+_OPAQUE_SQL = f"""WITH {O.rays('sales')}, shaded AS (SELECT *, least(1.0::DOUBLE, v / 30000.0::DOUBLE) AS a, CAST(c = 0 AS INT) * 1.0 AS r, CAST(c = 1 AS INT) * 1.0 AS g, CAST(c = 2 AS INT) * 1.0 AS b FROM hit),
+    front AS (SELECT *, CASE WHEN coalesce(max(CAST(a >= 1 AS INT)) OVER before, 0) = 1 THEN 0 ELSE exp(coalesce(sum(CASE WHEN a < 1 THEN ln(1 - a) ELSE 0 END) OVER before, 0)) END AS t FROM shaded WINDOW before AS (PARTITION BY px, py ORDER BY i, c ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))"""
+_OPAQUE_IMAGE = f"{_OPAQUE_SQL} SELECT px, py, round(sum(t * a * r), 6) AS r, round(sum(t * a * g), 6) AS g, round(sum(t * a * b), 6) AS b, round(sum(t * a), 6) AS a FROM front GROUP BY px, py"
+
+
+def opaque_samples(spark, sf_dir):
+    return raycast.transfer_table(hits_of(spark, sf_dir, "sales")[0], _OPAQUE)
+
+
+for _name, _form in (("dvr_opaque_window", raycast.dvr_window), ("dvr_opaque_fold", raycast.dvr_fold), ("dvr_opaque_segments", lambda s: raycast.dvr_segments(s, 8)), ("intermix_opaque", lambda s: filtering.intermix(s, "accumulation"))):
+    @register(_name, _OPAQUE_IMAGE)
+    def _(spark, sf_dir, form=_form):
+        return form(opaque_samples(spark, sf_dir)).select("px", "py", *"rgba")
+
+
+SLABS = 8
+
+
+def slab_reader(spark, sf_dir, k: int):
+    """Reads, shades and gives the samples of one depth slab for the rays that still go on: bricks elsewhere are not opened."""
+    opened = volume(spark, sf_dir, "sales")
+    vm = opened.vm
+    lo, hi = k * vm.dims[2] // SLABS, (k + 1) * vm.dims[2] // SLABS - 1
+    rays = raycast.ortho_rays(spark, vm, O.SAMPLE, O.SAMPLE)
+
+    def read(going):
+        cells = opened.pool.region({"z": (lo, hi)}, 0)
+        hit = cells.join(F.broadcast(rays.join(going, ["px", "py"])), ["x", "y"]).selectExpr("px", "py", "z as i", "c", "v")
+        return raycast.transfer_table(hit, _OPAQUE)
+
+    return read
+
+
+def wavefront(spark, sf_dir):
+    _, _, rays = hits_of(spark, sf_dir, "sales")
+    return raycast.dvr_wavefront([slab_reader(spark, sf_dir, k) for k in range(SLABS)], rays, 0.95, storage.keep)
+
+
+_STOPPED = f"{_OPAQUE_SQL} SELECT px, py, round(sum(t * a * r), 6) AS r, round(sum(t * a * g), 6) AS g, round(sum(t * a * b), 6) AS b, round(sum(t * a), 6) AS a, count(*) AS samples FROM front WHERE 1 - t < 0.95 GROUP BY px, py"
+
+
+@register("dvr_wavefront", _STOPPED)
+def _(spark, sf_dir):
+    return wavefront(spark, sf_dir)[0].filter("samples > 0")
+
+
+@register("metric_early_stop_fetches", f"{_OPAQUE_SQL}, slab AS (SELECT *, i * {SLABS} // 64 AS slab FROM front), going AS (SELECT px, py, slab, first(t ORDER BY i, c) AS start FROM slab GROUP BY px, py, slab) SELECT slab.slab AS slab, sum(CAST(1 - start < 0.95 AS INT))::BIGINT AS fetched FROM slab JOIN going USING (px, py, slab) GROUP BY slab.slab")
+def _(spark, sf_dir):
+    spent = wavefront(spark, sf_dir)[1]
+    return spark.createDataFrame([(k, n) for k, (_, n) in enumerate(spent)], "slab long, fetched long")
 
 
 @register("metric_image_error", f"""{_ERROR}, d AS (SELECT coalesce(img.c, truth.c) AS c, coalesce(img.v, 0) - coalesce(truth.v, 0) AS d FROM img FULL JOIN truth ON img.px = truth.px AND img.py = truth.py AND img.c = truth.c)
     SELECT c, count(*) AS pixels, round(avg(abs(d)), 6) AS mae, max(abs(d)) AS worst, round(CASE WHEN avg(d * d) > 0 THEN 10 * log10({_d(65535.0 * 65535.0)} / avg(CAST(d * d AS DOUBLE))) END, 6) AS psnr FROM d GROUP BY c""")
 def _(spark, sf_dir):
-    image = cam.image_of(*resolved_view(spark, sf_dir))
-    return cam.image_error(image, cam.image_of(*resolved_view(spark, sf_dir, True)), 65535)
+    views = [render.image(fetched(spark, sf_dir, mode), "mip", None) for mode in ("full_frame", "direct")]
+    return cam.image_error(*views, 65535)
 
 
 # --- filtering and borders -------------------------------------------------------------------
