@@ -3,19 +3,20 @@
 Words are lower-cased letters and digits.  A window is a run of as many words of a document as the
 benchmark item has (cut off at the document's end).  A window counts as a leak when its five-word
 shingles, weighted by how often they occur, have a Jaccard similarity of at least ``percent`` with
-the item's.
-
-Such a window holds at least ``percent`` of the item's shingles, so windows are fingerprinted only
-where a document has that many of an item's shingles within the item's length, starting at one of
-them (moving a window's start to its first shared shingle never lowers the similarity).  The
-64-bit SimHash of a window's words is cut into 8 blocks; an index of the items' blocks with all
-values within Hamming distance 2 finds every item of that length whose fingerprint is within 23
-bits (8 blocks cannot all differ by 3 bits or more).  The exact similarity then decides.
-
-Defined results: null and blank texts and items have no words and never match; a text or an item
-of one to four words is a single shingle, so such an item matches only such a text; repeated rows
-of a document give one result row per document and item (the best window, the first one on ties);
-an empty documents or benchmark table gives an empty result; extra columns are ignored.
+the item's; an item of one to four words is a single shingle and has to occur as it is.
+
+Windows begin wherever a shingle of some item of that length occurs in a document.  Other windows
+can be left out: a window that shares no shingle has similarity 0, and moving a window's start to
+its first shared shingle never lowers the similarity.  Which items a window is compared with is up to
+its 64-bit SimHash alone: it is cut into 8 blocks, and an index of the items' blocks with all values
+within Hamming distance 2 finds every item of that length whose fingerprint is within 23 bits (8
+blocks cannot all differ by 3 bits or more).  The exact similarity then decides.  Equal windows are
+fingerprinted and compared once, however many documents hold them.
+
+Defined results: null and blank texts and items have no words and never match; a text of one to four
+words matches only an item of the same words or one that occurs in it; repeated rows of a document give one
+result row per document and item (the best window, the first one on ties); an empty documents or
+benchmark table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,18 +24,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, word_array
+from .common import materialise, scan_bytes, word_array
 
 WIDTH = 5
 BLOCKS = 8
 NEAR = 2  # bits within a block; 8 * 3 - 1 = 23 bits in all are guaranteed
 RADIUS = BLOCKS * (NEAR + 1) - 1
-MOST_BROADCAST = 1_000_000  # rows of a few longs; larger sides are joined by shuffle
+MOST_BROADCAST = 1_000_000  # rows that are sent everywhere; more are joined by shuffle
+MOST_BYTES = 32 << 20  # and the bytes of their files
+LANE = 21  # bits of a counter, three to a long: windows of up to two million words
 
 
 def bounded(df: DataFrame) -> DataFrame:
-    """``df`` (already written) with a broadcast hint if it is small enough to be sent everywhere."""
-    return F.broadcast(df) if df.count() <= MOST_BROADCAST else df
+    """``df`` (already written) with a broadcast hint if its rows and its files are few enough to be sent everywhere."""
+    return F.broadcast(df) if scan_bytes(df) <= MOST_BYTES and df.count() <= MOST_BROADCAST else df
 
 
 def normal_words(text: str) -> Column:
@@ -51,10 +54,12 @@ def shingles(words: str) -> str:
 
 
 def simhash(words: str) -> str:
-    """SQL: 64-bit SimHash of the array ``words``, each word weighted by its occurrences."""
+    """SQL: 64-bit SimHash of the array ``words``, each word weighted by its occurrences; a bit is set where most words have it."""
     hashes = f"transform({words}, w -> xxhash64(w))"
-    bits = f"transform(sequence(0, 63), b -> aggregate({hashes}, 0, (a, x) -> a + cast(2 * (shiftright(x, b) & 1) - 1 as int)))"
-    return f"aggregate(zip_with({bits}, sequence(0, 63), (s, b) -> if(s > 0, shiftleft(1L, b), 0L)), 0L, (a, x) -> a | x)"
+    three = f"(shiftright(x, 3 * k) & 1L) | shiftleft(shiftright(x, 3 * k) & 2L, {LANE - 1}) | shiftleft(shiftright(x, 3 * k) & 4L, {2 * LANE - 2})"
+    lanes = f"transform(array({hashes}), h -> transform(sequence(0, 21), k -> aggregate(h, 0L, (a, x) -> a + ({three}))))[0]"
+    set_bits = " | ".join(f"if(2 * (shiftright(a, {LANE * j}) & {(1 << LANE) - 1}L) > size({words}), shiftleft({1 << j}L, 3 * k), 0L)" for j in range(3))
+    return f"aggregate(transform({lanes}, (a, k) -> {set_bits}), 0L, (p, q) -> p | q)"
 
 
 def block_values(fingerprint: str) -> str:
@@ -73,39 +78,52 @@ def weighted_shared(a: str, b: str) -> str:
     return f"if({plain}, size(array_intersect({a}, {b})), {counted})"
 
 
+def short_shingles(words: str, width: int) -> str:
+    """SQL: (place, hash) of every run of ``width`` words (fewer than five), hashed as an item of that many words is."""
+    return f"if(size({words}) >= {width}, transform(sequence(0, size({words}) - {width}), i -> struct(i as at, xxhash64({width}, array_join(slice({words}, i + 1, {width}), ' ')) as shingle)), null)"
+
+
 def leaks(docs: DataFrame, benchmark: DataFrame, percent: int = 75) -> DataFrame:
     """doc_id, item_id, start_word, n_words, shared, similarity and distance of every leak of ``benchmark`` (item_id, text) in ``docs`` (doc_id, text)."""
     items = benchmark.select("item_id", normal_words("text").alias("words")).filter("size(words) > 0")
-    items = items.withColumns({"shingles": F.expr(shingles("words")), "length": F.size("words"), "fingerprint": F.expr(simhash("words"))}).drop("words")
+    items = items.withColumns({"shingles": F.expr(shingles("words")), "length": F.size("words"), "print": F.expr(simhash("words"))}).drop("words")
     items = materialise(items, "leak-items")
-    of_item = materialise(items.select("item_id", "length", F.size("shingles").alias("n"), F.explode("shingles").alias("shingle")).distinct(), "leak-shingles")
+    wanted = materialise(items.select("length", F.explode("shingles").alias("shingle")).distinct(), "leak-shingles")
 
-    # where does a document hold enough of an item's shingles within the item's length?
-    hashed = docs.select("doc_id", normal_words("text").alias("words")).select("doc_id", F.expr(shingles("words")).alias("shingles"))
+    # where does a shingle of an item occur?
+    texts = docs.select("doc_id", normal_words("text").alias("words"))
     # the outer form: the plain one would push a filter on the hashes below them and compute them per word
-    placed = hashed.select("doc_id", F.posexplode_outer("shingles").alias("at", "shingle"))
-    hits = placed.join(bounded(of_item), "shingle").groupBy("doc_id", "item_id", "length", "n").agg(F.sort_array(F.collect_set("at")).alias("ats"))
-    need = f"greatest(1, cast(ceil({percent} * n / 100.0) as int))"
-    starts = f"filter(ats, (p, i) -> get(ats, i + {need} - 1) <= p + n - 1)"
-    places = materialise(hits.select("doc_id", "length", F.expr(starts).alias("starts")).filter("size(starts) > 0"), "leak-places")
-
-    # item-sized windows there, their fingerprints and the items near them
-    texts = docs.join(bounded(places), "doc_id").select("doc_id", "length", "starts", normal_words("text").alias("words"))
-    windows = texts.select("doc_id", "length", "words", F.explode(F.array_distinct("starts")).alias("start_word"))
-    windows = windows.select("doc_id", "length", "start_word", F.slice("words", F.col("start_word") + 1, F.col("length")).alias("part")).distinct()
-    windows = materialise(windows.select("doc_id", "length", "start_word", F.expr(simhash("part")).alias("print"), F.expr(shingles("part")).alias("parts")), "leak-windows")
-    index = items.select("item_id", "length", "fingerprint", F.explode(F.expr(block_values("fingerprint"))).alias("value"))
-    index = index.select("item_id", "length", "fingerprint", F.explode(F.array(*(F.col("value").bitwiseXOR(m) for m in near_masks()))).alias("value"))
-    probes = windows.select("doc_id", "length", "start_word", "print", F.explode(F.expr(block_values("print"))).alias("value"))
-    near = probes.join(bounded(materialise(index, "leak-index")), ["length", "value"]).withColumn("distance", F.bit_count(F.col("print").bitwiseXOR(F.col("fingerprint"))))
-    near = near.filter(F.col("distance") <= RADIUS).select("doc_id", "start_word", "print", "item_id", "length", "distance").distinct()
+    placed = texts.select("doc_id", F.expr(shingles("words")).alias("shingles")).select("doc_id", F.posexplode_outer("shingles").alias("at", "shingle"))
+    for width in sorted(r[0] for r in wanted.filter(f"length < {WIDTH}").select("length").distinct().collect()):  # four lengths at most
+        few = texts.select("doc_id", F.explode_outer(F.expr(short_shingles("words", width))).alias("s"))
+        placed = placed.unionByName(few.select("doc_id", "s.at", "s.shingle"))
+    hits = placed.join(bounded(wanted), "shingle")
+    places = materialise(hits.groupBy("doc_id", "length").agg(F.collect_set("at").alias("starts")), "leak-places")
+
+    # item-sized windows there; the row of a text is not repeated for each of them
+    cut = "transform(starts, s -> struct(s as start_word, slice(words, s + 1, length) as part))"
+    found = docs.join(bounded(places), "doc_id").select("doc_id", "length", "starts", normal_words("text").alias("words"))
+    windows = found.select("doc_id", "length", F.explode_outer(F.expr(cut)).alias("w")).select("doc_id", "length", "w.start_word", "w.part")
+    windows = windows.filter("size(part) > 0").withColumns({"h": F.xxhash64("length", "part"), "g": F.xxhash64("part", F.lit(1), "length")})
+    windows = materialise(windows, "leak-windows")
+    same = ["length", "h", "g"]
+    parts = windows.groupBy(*same).agg(F.first("part").alias("part"))
+    parts = materialise(parts.select(*same, F.expr(simhash("part")).alias("print"), F.expr(shingles("part")).alias("parts")), "leak-parts")
+
+    # candidates: items whose fingerprints lie within the radius
+    index = items.select("item_id", "length", F.col("print").alias("item_print"), F.explode(F.expr(block_values("print"))).alias("value"))
+    index = index.select("item_id", "length", "item_print", F.explode(F.array(*(F.col("value").bitwiseXOR(m) for m in near_masks()))).alias("value"))
+    probes = parts.select(*same, "print", F.explode(F.expr(block_values("print"))).alias("value"))
+    near = probes.join(bounded(materialise(index, "leak-index")), ["length", "value"]).withColumn("distance", F.bit_count(F.col("print").bitwiseXOR(F.col("item_print"))))
+    near = near.filter(F.col("distance") <= RADIUS).select(*same, "item_id", "distance").distinct()
 
     # exact weighted similarity
-    both = near.join(windows, ["doc_id", "start_word", "length", "print"]).join(bounded(items.select("item_id", "shingles")), "item_id")
+    both = near.join(parts.select(*same, "parts"), same).join(bounded(items.select("item_id", "shingles")), "item_id")
     scored = both.withColumn("shared", F.expr(weighted_shared("parts", "shingles"))).withColumn("total", F.expr("size(parts) + size(shingles) - shared"))
     scored = scored.filter(100 * F.col("shared") >= percent * F.col("total")).withColumn("similarity", F.round(F.col("shared") / F.col("total"), 6))
+    scored = materialise(scored.select(*same, "item_id", "shared", "similarity", "distance"), "leak-matches")
     best = F.struct(F.col("similarity"), (-F.col("start_word")).alias("earlier"), "length", "shared", "distance")
-    out = scored.groupBy("doc_id", "item_id").agg(F.max(best).alias("best"))
+    out = windows.select("doc_id", *same, "start_word").join(bounded(scored), same).groupBy("doc_id", "item_id").agg(F.max(best).alias("best"))
     return out.select("doc_id", "item_id", (-F.col("best.earlier")).cast("long").alias("start_word"), F.col("best.length").cast("long").alias("n_words"), F.col("best.shared").cast("long").alias("shared"), "best.similarity", F.col("best.distance").cast("long").alias("distance"))
 
 
