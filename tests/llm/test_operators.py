@@ -190,7 +190,7 @@ def test_leaks(spark):
         if i % 3 == 2:
             part = part[: len(part) * 9 // 10]
         texts.append(" ".join(w[:20] + [x.upper() + "!" for x in part] + w[20:]))
-    texts += [None, "", "two words", "two words here", texts[0], items[3] + " " + items[3]]
+    texts += [None, "", "two words", "two words here", texts[0], items[3] + " " + items[3], "a text of many words, with two words, in it", "two", "words two words two"]
     got = {(r.doc_id, r.item_id): (r.start_word, r.similarity) for r in decontamination.leaks(table(spark, texts), spark.createDataFrame(list(enumerate(items)), "item_id long, text string")).collect()}
     grams = lambda w: collections.Counter(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else collections.Counter()
     want = {}
@@ -200,9 +200,9 @@ def test_leaks(spark):
             b = norm(item)
             best = None
             for p in range(len(w) if b else 0):
-                if len(w) >= 5 and p > len(w) - 5 or (len(w) >= 5) != (len(b) >= 5):
-                    continue
-                a = grams(w[p : p + len(b)]) if len(w) >= 5 else grams(w)
+                if len(b) < 5 and w[p : p + len(b)] != b or len(b) >= 5 and p > len(w) - 5:
+                    continue  # a short item is found as it is; no window of fewer than five words is like a longer one
+                a = grams(w[p : p + len(b)])
                 both, either = sum((a & grams(b)).values()), sum((a | grams(b)).values())
                 if 100 * both >= 75 * either and (best is None or both / either > best[1] + 1e-12):
                     best = (p, both / either)

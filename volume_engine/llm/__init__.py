@@ -1,8 +1,2 @@
 """Training-data operators: text scoring, filtering, matching and layout over DataFrames."""
 
-import sys
-
-from pyspark import cloudpickle
-
-# Functions of this subpackage travel to the executors by value, so they need no copy of it.
-cloudpickle.register_pickle_by_value(sys.modules[__name__])

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import gc
-import tempfile
 import uuid
 
 import numpy as np
@@ -11,33 +10,30 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..storage import shared_dir
+
 #: Java regular expression for the runs of white space between words (0x20 and 0x09-0x0D only).
 SPACE_RUN = "[ \\t-\\r]+"
 #: The characters of those runs, for trim.
 SPACES = " \t\n\x0b\x0c\r"
 
-_own_dir: str | None = None
 _scratch: list[str] = []
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors see: ``spark.checkpoint.dir``, or a folder of our own where it is unset (tests)."""
-    global _own_dir
-    if path := spark.conf.get("spark.checkpoint.dir", None):
-        return path
-    if _own_dir is None:
-        _own_dir = tempfile.mkdtemp(prefix="volume-engine-")
-    return _own_dir
-
-
 def materialise(df: DataFrame, label: str) -> DataFrame:
     """Cut the lineage: write ``df`` as Parquet into the shared folder and read it back."""
-    path = f"{shared_dir(df.sparkSession).rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _scratch.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def reads_scratch(df: DataFrame, first: int, last: int) -> bool:
+    """Whether ``df`` still reads tables written between two marks."""
+    names = {path.rstrip("/").rsplit("/", 1)[-1] for path in _scratch[first:last] if path}
+    return any(part in names for f in df.inputFiles() for part in f.split("/")[-2:])
+
+
 def scratch_mark() -> int:
     """Number of tables written so far, for ``drop_scratch``."""
     return len(_scratch)

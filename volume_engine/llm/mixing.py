@@ -9,7 +9,7 @@ and sources.  Where a source has run out its slots stay empty and the others clo
 
 Defined results: a null source is a source of its own; null and empty texts are rows like others;
 rows that repeat keep their number; an empty table gives an empty result; all rows are kept; extra
-columns pass through ``mix``.
+columns pass through ``mix``, but for those with the names of the columns it adds, which are replaced.
 """
 
 from __future__ import annotations
@@ -29,6 +29,7 @@ from .common import materialise
 from .ordering import place
 
 NO_SOURCE = "\x00null"
+ADDED = ("block", "release", "deadline", "slot", "position")
 PLAN = {"_source": pa.string(), "block": pa.int64(), "release": pa.int64(), "deadline": pa.int64(), "slot": pa.int64(), "_start": pa.int64()}
 #: Blocks of the schedule that the driver holds at once.
 PLAN_BLOCKS = 1_000_000
@@ -112,8 +113,11 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, source: str
     what it holds is bounded by the sources and a piece of the schedule.
     """
     spark = docs.sparkSession
-    named = docs.withColumns({"_source": F.coalesce(F.col(source), F.lit(NO_SOURCE)), "_draw": F.xxhash64(F.col(doc_id), F.lit(seed))})
-    placed = place(named, ["_source", "_draw", doc_id], "mix-rows")
+    # the rows' own columns travel in a struct, so that none can clash with a helper
+    kept = [c for c in docs.columns if c not in ADDED]
+    packed = F.struct(*(F.col(f"`{c}`") for c in kept)).alias("_row")
+    named = docs.select(F.coalesce(F.col(source), F.lit(NO_SOURCE)).alias("_source"), F.xxhash64(F.col(doc_id), F.lit(seed)).alias("_draw"), F.col(doc_id).alias("_id"), packed)
+    placed = place(named, ["_source", "_draw", "_id"], "mix-rows")
     runs = placed.groupBy("_source", "pid").agg(F.count("*").alias("n"), F.min("idx").alias("idx0")).collect()  # parts + sources rows at most
     counts: dict[str, int] = {}
     table = []
@@ -127,7 +131,7 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, source: str
     plan = placed_blocks(spark, wanted, counts, block_rows)
     ranked = placed.join(F.broadcast(offsets), ["_source", "pid"]).withColumn("_rank", F.col("idx") + F.col("shift"))
     found = ranked.withColumn("block", F.expr(f"_rank div {block_rows}")).join(plan, ["_source", "block"])
-    return found.select(*docs.columns, "block", "release", "deadline", "slot", F.expr(f"_start + _rank % {block_rows}").alias("position"))
+    return found.select(*(F.col(f"_row.`{c}`").alias(c) for c in kept), *ADDED[:-1], F.expr(f"_start + _rank % {block_rows}").alias("position"))
 
 
 def op7_pfair_mix(spark, sf_dir) -> DataFrame:

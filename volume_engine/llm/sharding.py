@@ -77,9 +77,14 @@ def minimax_shards(rows: DataFrame, order: list[str], size: str = "size", shards
     """``rows`` with ``shard`` and ``slot`` (row number in the shard).
 
     ``order[0]`` names the atomic groups and orders them; further columns order the rows of a
-    group.  ``size`` is a positive long.  ``rows`` should be narrow: it is written twice.
+    group.  ``size`` is a positive long.  ``rows`` should be narrow: it is written twice.  Columns of
+    ``rows`` called shard or slot are replaced.
     """
     spark = rows.sparkSession
+    # the rows' own columns travel in a struct, so that none can clash with a helper
+    kept = [c for c in rows.columns if c not in ("shard", "slot")]
+    rows = rows.select(F.struct(*(F.col(f"`{c}`") for c in kept)).alias("_row"), F.col(size).alias("_size"), *(F.col(c).alias(f"_order{k}") for k, c in enumerate(order)))
+    order, size = [f"_order{k}" for k in range(len(order))], "_size"
     placed = running_total(rows, order, order[0], size, "shard-rows")
     parts = placed.groupBy("pid").agg(F.count("*").alias("n"), F.max("upto").alias("bytes"), F.min(order[0]).alias("first"), F.max(order[0]).alias("last")).orderBy("pid").collect()  # a row per part
     offsets, at_row, at_byte = [], 0, 0
@@ -99,7 +104,7 @@ def minimax_shards(rows: DataFrame, order: list[str], size: str = "size", shards
     shard = sum((F.when(F.col("end") > c, 1).otherwise(0) for c in cuts), F.lit(0))
     out = full.withColumn("shard", shard.cast("int"))
     out = out.withColumn("slot", F.col("row") - F.element_at(F.array(*(F.lit(s).cast("long") for s in starts)), F.col("shard") + 1))
-    return out.select(*rows.columns, "shard", "slot")
+    return out.select(*(F.col(f"_row.`{c}`").alias(c) for c in kept), "shard", "slot")
 
 
 def sized(docs: DataFrame, text: str = "text") -> list:
