@@ -9,9 +9,9 @@ ends the mixture at the deepest context that it did show, so unseen contexts cos
 
 Layout: texts are dealt into blocks; a block sends each distinct (context, byte) gram and each
 distinct word once, with its training count.  Grams are summed, weighted within the subtree of
-their last context bytes, and sent back to the blocks that hold them; words likewise.  No table of
-the corpus is collected or broadcast except the top two levels of the tree (at most 256 * 256
-nodes of contexts shorter than two bytes).
+their last three context bytes, and sent back to the blocks that hold them; words likewise.  No table
+of the corpus is collected or broadcast except the top of the tree: the nodes of contexts of at most
+two bytes, of which there are no more than 256 * 256 * 255 whatever the corpus.
 
 Defined results: a null text is empty; an empty text is its end alone and is still scored; equal
 texts score equally; an empty table gives an empty result; with no training text every estimate is
@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from .common import _IS_SPACE, TextBatch, crc_bucket, materialise, scan_bytes, text_batches
 
 DEPTH = 5
-SUBTREE = 2  # context bytes that name a subtree
+SUBTREE = 3  # context bytes that name a subtree
 END = 10
 SLICE = 1 << 20  # bytes of text worked on at once
 LOG_HALF = math.log(0.5)
@@ -248,15 +248,15 @@ def _upper_rows(depth: int):
 
 
 def _upper_levels(rows: pd.DataFrame) -> list[list[Nodes]]:
-    """Depths SUBTREE - 1 to 0 from the subtree roots' rows."""
+    """Depths SUBTREE - 1 to 0 from the sums (bit, id, n0, n1, weighted) over the subtree roots below each node of the first of them."""
     below = []
     for bit in range(8):
         part = rows[rows.bit == bit].sort_values("id")
         level = Nodes(part.id.to_numpy().astype(np.uint64), part.n0.to_numpy(float), part.n1.to_numpy(float))
-        level.weighted = part.weighted.to_numpy(float)
+        level.mix(part.weighted.to_numpy(float))
         below.append(level)
-    out = []
-    for _ in range(SUBTREE):
+    out = [below]
+    for _ in range(SUBTREE - 1):
         level = []
         for child in below:
             ids, back = np.unique(parent_ids(child.ids), return_inverse=True)
@@ -305,14 +305,19 @@ def _block_scores(depth: int, total: int, vocabulary: int):
 def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int = 16 << 20, least_blocks: int = 12, bucket_grams: int = 500_000) -> DataFrame:
     """Score every text of ``docs`` (doc_id, text) by a context tree learned from the rows outside ``held_out``.
 
-    ``held_out`` is a boolean column expression.  Returns doc_id, held_out, n_tokens, n_known,
+    ``held_out`` is a boolean column expression, ``depth`` at most 6 (a key holds the context and the coded
+    byte in 63 bits).  Returns doc_id, held_out, n_tokens, n_known,
     n_bytes, train_tokens, base_score (add-half unigram, log10), score (context tree, log10) and
     bits_per_byte, the tree's code length per byte.
     """
+    if not SUBTREE <= depth <= 6:
+        raise ValueError(f"depth must be from {SUBTREE} to 6")
     spark = docs.sparkSession
     if not docs.inputFiles():  # only tables in files have a known size
         docs = materialise(docs.select("doc_id", "text"), "ctw-docs")
-    blocks = max(least_blocks, -(-scan_bytes(docs) // block_bytes))
+    # files may be packed tighter than texts are long: both bound what a block holds
+    chars = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    blocks = max(least_blocks, -(-scan_bytes(docs) // block_bytes), -(-chars // (3 * block_bytes)))
     dealt = docs.select("doc_id", F.col("text"), held_out.alias("held_out"), F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int").alias("block"))
     tokens = materialise(dealt.groupBy("block").applyInArrow(_block_tokens(depth), "block int, key long, n long"), "ctw-tokens")
     totals = materialise(tokens.groupBy("key").agg(F.sum("n").alias("n")), "ctw-totals")
@@ -322,9 +327,10 @@ def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int
     buckets = max(4 * least_blocks, -(-n_grams // bucket_grams))
     subtree = F.shiftright("key", 8 * (depth + 1 - SUBTREE))
     by_subtree = grams.withColumn("bucket", F.pmod(F.xxhash64(subtree), F.lit(buckets)).cast("int")).groupBy("bucket")
+    roots = by_subtree.applyInArrow(_upper_rows(depth), "bit int, id long, n0 double, n1 double, weighted double")
+    above = roots.groupBy("bit", F.expr("shiftleft(shiftright(id, 16), 8) | (id & 255)").alias("id")).agg(*(F.sum(k).alias(k) for k in ("n0", "n1", "weighted")))
     # at most 256^2 contexts of 255 nodes, whatever the corpus: the driver may hold them
-    roots = by_subtree.applyInArrow(_upper_rows(depth), "bit int, id long, n0 double, n1 double, weighted double").toPandas()
-    upper = spark.sparkContext.broadcast(_upper_levels(roots))
+    upper = spark.sparkContext.broadcast(_upper_levels(above.toPandas()))
     model = by_subtree.applyInArrow(_gram_scores(depth, upper), "key long, value double").unionByName(words.select("key", F.col("n").cast("double").alias("value")))
     known = tokens.select("block", "key").join(model, "key").select("block", "key", "value")
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, n_bytes long, base_score double, score double"

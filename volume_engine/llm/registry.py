@@ -25,4 +25,17 @@ QUERIES = {
     "op9_factorization_toxicity": op9_factorization_toxicity,
     "op10_layout_text": op10_layout_text,
 }
-ORACLES: dict[str, str] = {}
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+#: The other queries rest on models, fingerprints or layouts that SQL cannot express; tests hold them against brute force.
+ORACLES: dict[str, str] = {
+    "op5_jaccard_components": f"""WITH RECURSIVE texts AS (
+        SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+      sets AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+          ELSE list_distinct([array_to_string(w[i:i + 4], ' ') for i in range(1, len(w) - 3)]) END AS s FROM texts),
+      rows AS (SELECT doc_id, len(s) AS n, unnest(s) AS g FROM sets),
+      pairs AS (SELECT x.doc_id AS a, y.doc_id AS b FROM rows AS x JOIN rows AS y ON x.g = y.g AND x.doc_id < y.doc_id
+          GROUP BY x.doc_id, y.doc_id, x.n, y.n HAVING 100 * count(*) >= 75 * (x.n + y.n - count(*))),
+      links AS (SELECT a, b FROM pairs UNION SELECT b, a FROM pairs),
+      reached AS (SELECT doc_id AS a, doc_id AS b FROM sets UNION SELECT reached.a, links.b FROM reached JOIN links ON reached.b = links.a)
+      SELECT doc_id, CAST(len(s) AS BIGINT) AS n_shingles, (SELECT min(b) FROM reached WHERE a = doc_id) AS component_id FROM sets""",
+}

@@ -210,6 +210,7 @@ def _scores(model):
 
 def score_toxicity(docs: DataFrame, labels: DataFrame, held_out, positives: int = 3000, negatives: int = 5000) -> DataFrame:
     """doc_id, held_out, score and predicted of every row of ``docs`` (doc_id, text); learns outside ``held_out`` only."""
+    docs, labels = docs.select("doc_id", "text"), labels.select("doc_id", "label")
     model = docs.sparkSession.sparkContext.broadcast(learn(docs, labels.filter(~held_out), positives, negatives))
     scored = docs.select("doc_id", "text", held_out.alias("held_out")).mapInArrow(_scores(model), "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", F.when(F.col("score") >= 0.5, 1).otherwise(0))
