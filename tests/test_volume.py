@@ -1,5 +1,6 @@
 """Geometry, pyramid, incremental building, compositing, paging and refinement against small brute-force forms."""
 
+import collections
 import itertools
 import math
 import random
@@ -12,7 +13,7 @@ from pyspark.sql import functions as F
 
 from volume_engine import experiments, storage
 from volume_engine.functions import codec, grid
-from volume_engine.operators import aberration, camera, eager, filtering, fullframe, ingest, mipmap, node_buffer, octree, paging, pool, raycast, relations, render, session
+from volume_engine.operators import aberration, borders, camera, eager, filtering, fullframe, ingest, mipmap, node_buffer, octree, paging, pool, raycast, relations, render, session
 from volume_engine.plans import more_queries, queries, registry
 from volume_engine.sources import raw_stack
 from volume_engine.sources.volumes import open_volume
@@ -270,6 +271,77 @@ def test_as_of_and_box_joins(spark, volume):
     assert {(r.box, r.ix, r.iy, r.iz) for r in found.collect()} == want
 
 
+def test_borders_of_all_levels_and_filtering_across_levels(spark, volume):
+    vm, cells = volume
+    p = pool.BrickPool.create(spark, vm)
+    p.insert(rows(spark, cells))
+    held = collections.defaultdict(set)
+    for r in borders.border_job(p).collect():
+        held[r.level].add((r.ix, r.iy, r.iz, r.x, r.y, r.z, r.c, r.v))
+    for level in range(vm.top + 1):
+        dims, want = vm.at_level(level), set()
+        for r in p.voxels(level=level).collect():
+            for step in itertools.product((-1, 0, 1), repeat=3):
+                at = [v + d for v, d in zip((r.x, r.y, r.z), step)]
+                if all(0 <= a < -(-d // 2) * 2 for a, d in zip(at, dims)) and (brick := tuple(a // 2 for a in at)) != (r.x // 2, r.y // 2, r.z // 2):
+                    want.add((*brick, r.x, r.y, r.z, r.c, r.v))
+        assert held[level] == want
+    samples = spark.createDataFrame([(i, 0, i, 2 * i, i, i, 0.25, 0.0, 0.5, f) for i, f in enumerate((0.0, 0.5, 1.0, 0.25))], "px int, py int, i int, x int, y int, z int, fx double, fy double, fz double, f double")
+    fine = dense(vm, cells)
+    coarse = half(fine)
+
+    def lookup(a, place, c):
+        low = [math.floor(v) for v in place]
+        total = 0.0
+        for o in itertools.product((0, 1), repeat=3):
+            at = [v + k for v, k in zip(low, o)]
+            w = math.prod((v - b) if k else 1 - (v - b) for v, b, k in zip(place, low, o))
+            total += w * a[(*at, c)] if all(v < d for v, d in zip(at, a.shape)) else 0.0
+        return total
+
+    got = {(r.px, r.c): r.v for r in borders.cross_level(samples, p).collect()}
+    for i, f in enumerate((0.0, 0.5, 1.0, 0.25)):
+        place = (2 * i + 0.25, float(i), i + 0.5)
+        for c in range(2):
+            want = (1 - f) * lookup(fine, place, c) + f * lookup(coarse, [max(0.0, (v + 0.5) / 2 - 0.5) for v in place], c)
+            assert got.get((i, c), 0) == pytest.approx(want)
+
+
+def test_viewer_goes_from_full_frames_to_refinement_and_back(spark, volume, tmp_path):
+    vm, cells = volume
+    p = pool.BrickPool.create(spark, vm)
+    p.insert(rows(spark, cells))
+    nodes = octree.nodes_of_bricks(p.bricks(), vm, 0)
+    averages = p.stats().join(p.bricks().select("level", "ix", "iy", "iz", "key"), ["level", "ix", "iy", "iz"]).select("level", "key", "c", "avg")
+    viewer = session.Viewer(p, nodes, averages, lambda f: raycast.transfer(f, 100), 500, str(tmp_path / "images"))
+    assert viewer.shown() is None
+    viewer.look(camera.Camera((-9.0, 5.0, -9.0), (4.0, 3.0, 2.0), width=5, height=5))
+    first = viewer.step()
+    assert first["mode"] == "full_frame" and first["requests"] > 0 and viewer.shown() is not None
+    last = viewer.step()
+    assert last["mode"] == "refine" and viewer.session.mode == "done"
+    samples = viewer.samples()
+    direct = render.fetch(render.resolve(samples, nodes, nodes.limit(0).select("level", "key"), "direct"), p.bricks(), averages, vm)
+    want = {(r.px, r.py): r.a for r in raycast.dvr_window(raycast.transfer(direct, 100)).collect()}
+    assert {(r.px, r.py): r.a for r in viewer.shown().collect()} == pytest.approx(want)
+    viewer.clip([(1, 0, 0, -4.0)])
+    assert viewer.session.mode == "full_frame" and viewer.samples().filter("x < 4").count() == 0
+    viewer.set_matrix(1, aberration.translation(50, 0, 0))  # the channel is moved out of the volume
+    viewer.step()
+    assert viewer.fetched(viewer.samples(), render.resolve(viewer.samples(), nodes, viewer.resident)).filter("c = 1").count() == 0
+
+
+def test_experiments_run(spark):
+    built = experiments.run_build(spark, SF, "ribbon")
+    assert built["bricks"] == 110 and 0 < built["pool_over_data"] < 2
+    turned = experiments.run_rotation(spark, SF, "ribbon", frames=2, pixels=6, slots=16, projection="mip")
+    assert turned["frames"] == 2 and abs(sum(turned["sources"].values()) - 1) < 0.01
+    few, many = (experiments.run_refinement(spark, SF, "ribbon", slots=k, pixels=6) for k in (4, 500))
+    assert few["passes"] > many["passes"] and few["needed"] == many["needed"] <= min(few["uploads"], many["uploads"])
+    capped = experiments.run_refinement(spark, SF, "ribbon", slots=500, pixels=6, cap_pages=1)
+    assert capped["page_switches"] >= many["page_switches"]
+
+
 def test_memory_guard_and_thresholds_per_channel(spark, volume):
     vm, cells = volume
     with pytest.raises(MemoryError):
@@ -464,7 +536,7 @@ ORACLED = [
     "perspective_rays", "optimal_lod", "metric_lod_histogram", "full_frame_image", "metric_image_error", "trilinear_sample", "trilinear_halo_equals_global", "trilinear_clamped",
     "base_neighbour_fetch_count", "intermix_image_level", "intermix_sample_level", "base_haar_bytes", "metric_requests_per_pass", "metric_slot_occupancy", "metric_traversal_steps",
     "incr_insert_sequence", "incr_batch_equals_sequence", "worked_example_states", "delta_events", "residency_patch", "tier_of_request", "dirty_writebacks", "sample_source_kind", "used_and_requested", "full_frame_dvr", "dvr_wavefront",
-    "dvr_opaque_segments", "box_overlap_join", "asof_event_view", "stream_session_runs", "sqludf_morton", "udtf_octant_children", "octree_rollup_stats", "recursive_ancestors",
+    "dvr_opaque_segments", "box_overlap_join", "asof_event_view", "stream_session_runs", "sqludf_morton", "udtf_octant_children", "deferred_borders", "eager_border_updates", "sparse_channel_pack", "error_lod", "capability_matrix", "octree_rollup_stats", "recursive_ancestors",
     "octree_collapsed_scan", "mip_all_levels_sales", "dvr_window_scan", "full_frame_fallback", "halo_bricks", "stream_tumbling_slices", "incr_overwrite", "worked_example_1d"]
 
 

@@ -39,6 +39,29 @@ def collapse(nodes: DataFrame, vm: VolumeMeta) -> DataFrame:
     return kept.withColumns({"has_brick": ~F.col("homog"), "leaf": F.col("subhomog") | (F.col("level") == 0), "idx": bfs_index(F.col("level"), F.col("key"), vm.top)}).drop("pkey")
 
 
+def pack_sparse(bricks: DataFrame, vm: VolumeMeta, threshold: float) -> DataFrame:
+    """Bricks that keep only their channels that are not homogeneous: level, key, present (bits), body and avg.
+
+    ``body`` holds the kept channels interleaved, so bodies differ in size; the others are their averages.
+    """
+    kept = F.expr(f"filter(sequence(0, {vm.channels - 1}), c -> bmax[c] - bmin[c] >= {float(threshold)!r}D)")
+    rows = bricks.select("level", "key", "body", F.expr("transform(bsum, s -> s div n)").alias("avg"), kept.alias("channels"))
+    present = F.expr("aggregate(channels, 0, (a, c) -> a | shiftleft(1, c))")
+    body = F.expr(f"filter(body, (v, i) -> array_contains(channels, cast(i % {vm.channels} as int)))")
+    return rows.select("level", "key", present.alias("present"), F.when(F.size("channels") == vm.channels, F.col("body")).otherwise(body).alias("body"), "avg")
+
+
+def error_level(nodes: DataFrame, vm: VolumeMeta, tolerance: float) -> DataFrame:
+    """For every leaf key, the coarsest level whose whole subtree varies by less than ``tolerance`` (0 if none does): key, level.
+
+    The level choice by error instead of by distance; a level is told by the spread of what it stands for.
+    """
+    flat = nodes.filter(F.col("subspread") < tolerance).select("level", F.col("key").alias("at"))
+    up = nodes.filter("level = 0").select("key", F.explode(F.sequence(F.lit(0), F.lit(vm.top))).alias("level")).withColumn("at", F.expr("shiftright(key, 3 * level)"))
+    found = up.join(flat.withColumn("hit", F.lit(1)), ["level", "at"], "left")
+    return found.groupBy("key").agg(F.coalesce(F.max(F.when(F.col("hit") == 1, F.col("level"))), F.lit(0)).alias("level"))
+
+
 def siblings(kept: DataFrame) -> DataFrame:
     """Background nodes (level, key) that complete the eight children of every collapsed node that has any."""
     children = kept.filter("not leaf").select((F.col("level") - 1).alias("level"), F.col("key").alias("parent"))

@@ -241,6 +241,78 @@ def _(spark, sf_dir):
     return own.unionByName(up).groupBy("level", "key").agg(F.bit_or("flag").alias("flags"))
 
 
+# --- the same relations through set operations, ranks, ranges and semi-joins ---------------------
+def requests_of(spark, sf_dir):
+    """Bricks asked for (level, key, waiting) and resident (level, key), and the nodes."""
+    resolved, n = resolved_of(spark, sf_dir)
+    return fullframe.requests(resolved), n.filter(_RES).select("level", "key"), n
+
+
+@register("rank_upload", f"{_REQ} SELECT level, key, rk FROM (SELECT level, key, row_number() OVER (PARTITION BY level ORDER BY waiting DESC, key) AS rk FROM req) AS q WHERE rk <= 3")
+def _(spark, sf_dir):
+    req = requests_of(spark, sf_dir)[0]
+    return req.select("level", "key", F.row_number().over(Window.partitionBy("level").orderBy(F.desc("waiting"), "key")).alias("rk")).filter("rk <= 3")
+
+
+@register("running_budget", f"{_REQ} SELECT level, key, run FROM (SELECT level, key, sum(3072 * waiting) OVER (PARTITION BY level ORDER BY waiting DESC, key ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)::BIGINT AS run FROM req) AS q WHERE run <= 100000")
+def _(spark, sf_dir):
+    run = F.sum(F.col("waiting") * 3072).over(Window.partitionBy("level").orderBy(F.desc("waiting"), "key").rowsBetween(Window.unboundedPreceding, 0))
+    return requests_of(spark, sf_dir)[0].select("level", "key", run.alias("run")).filter("run <= 100000")
+
+
+@register("ntile_pages", f"{_NODES} SELECT level, tile, count(*) AS bricks, min(key) AS first_key FROM (SELECT level, key, ntile(8) OVER (PARTITION BY level ORDER BY key) AS tile FROM nodes) AS q GROUP BY level, tile")
+def _(spark, sf_dir):
+    tile = F.ntile(8).over(Window.partitionBy("level").orderBy("key"))
+    return requests_of(spark, sf_dir)[2].select("level", "key", tile.alias("tile")).groupBy("level", "tile").agg(F.count("*").alias("bricks"), F.min("key").alias("first_key"))
+
+
+@register("topk_requests", f"{_REQ} SELECT level, key, waiting FROM req ORDER BY waiting DESC, level DESC, key LIMIT 10")
+def _(spark, sf_dir):
+    return requests_of(spark, sf_dir)[0].orderBy(F.desc("waiting"), F.desc("level"), "key").limit(10)
+
+
+for _name, _sql, _how in (
+    ("setop_union_requests", "UNION", lambda a, b: a.union(b).distinct()), ("setop_intersect_resident", "INTERSECT", lambda a, b: a.intersect(b)), ("setop_except_missing", "EXCEPT", lambda a, b: a.subtract(b)),
+):
+    @register(_name, f"{_REQ} SELECT level, key FROM req {_sql} SELECT level, key FROM res")
+    def _(spark, sf_dir, how=_how):
+        req, resident, _ = requests_of(spark, sf_dir)
+        return how(req.select(F.col("level").cast("int").alias("level"), "key"), resident)
+
+
+_TOUCHED = f"touched AS (SELECT DISTINCT l AS level, {O.morton('(x // 8) >> CAST(l AS INT)', '(y // 8) >> CAST(l AS INT)', '(z // 8) >> CAST(l AS INT)')} AS key FROM vox, meta, range(0, 21) AS t(l) WHERE l <= top AND z = 30)"
+
+
+@register("semi_touched", f"{_NODES}, {_TOUCHED} SELECT level, key, n FROM nodes WHERE EXISTS (SELECT 1 FROM touched AS t WHERE t.level = nodes.level AND t.key = nodes.key)")
+def _(spark, sf_dir):
+    opened = volume(spark, sf_dir, "scan")
+    touched = ingest.touched_nodes(opened.voxels.filter("z = 30"), opened.vm)
+    return opened.pool.bricks().join(touched, ["level", "ix", "iy", "iz"], "left_semi").select("level", "key", "n")
+
+
+@register("anti_missing_children", f"{_NODES}, c AS (SELECT level - 1 AS level, 8 * key + o AS key FROM nodes, range(0, 8) AS t(o) WHERE level > 0) SELECT level, count(*) AS missing FROM c WHERE NOT EXISTS (SELECT 1 FROM nodes AS n WHERE n.level = c.level AND n.key = c.key) GROUP BY level")
+def _(spark, sf_dir):
+    n = volume(spark, sf_dir, "scan").pool.bricks().select("level", "key")
+    children = n.filter("level > 0").select((F.col("level") - 1).alias("level"), F.explode(F.expr("transform(sequence(0, 7), o -> 8 * key + o)")).alias("key"))
+    return children.join(n, ["level", "key"], "left_anti").groupBy("level").agg(F.count("*").alias("missing"))
+
+
+@register("cross_threshold", f"{_NODES} SELECT level, t, sum(CASE WHEN spread < t THEN 1 ELSE 0 END)::BIGINT AS homogeneous FROM nodes CROSS JOIN (VALUES (1000), (3000), (9000)) AS th(t) GROUP BY level, t")
+def _(spark, sf_dir):
+    limits = F.broadcast(spark.createDataFrame([(1000,), (3000,), (9000,)], "t int"))
+    n = requests_of(spark, sf_dir)[2]
+    return n.crossJoin(limits).groupBy("level", "t").agg(F.count_if(F.col("spread") < F.col("t")).alias("homogeneous"))
+
+
+_BANDS = [(c, lo, hi, band / 4, 0.0, 0.0, 1.0, band / 4, 0.0, 0.0, 1.0) for c in range(3) for band, (lo, hi) in enumerate(((0, 10000), (10000, 30000), (30000, 65536)))]
+
+
+@register("range_join_tf", f"{SCAN} SELECT c, band / 4 AS r, count(*) AS n FROM vox JOIN (VALUES (0, 0, 10000), (1, 10000, 30000), (2, 30000, 65536)) AS tf(band, lo, hi) ON v >= lo AND v < hi GROUP BY c, band")
+def _(spark, sf_dir):
+    shaded = raycast.transfer_table(open_volume(spark, sf_dir, "scan")[0], _BANDS)
+    return shaded.groupBy("c", "r").agg(F.count("*").alias("n"))
+
+
 # --- refinement --------------------------------------------------------------------------------
 _SAMPLES = f"WITH {O.rays('scan')}, need AS (SELECT px, py, i, {O.morton('x // 8', 'y // 8', 'i // 8')} AS key FROM (SELECT DISTINCT px, py, x, y, i FROM ray JOIN (SELECT DISTINCT x, y, z AS i FROM vox) AS s USING (x, y)) AS h)"
 
@@ -457,20 +529,9 @@ BOTH = {
     "scan_pruned_columns": "SELECT l_returnflag, count(*) AS n FROM lineitem WHERE l_quantity > 30 GROUP BY l_returnflag",
     "join_orders_lineitem": "SELECT o_orderstatus, count(*) AS n, max(l_quantity) AS q FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderstatus",
     "join_broadcast_nation": "SELECT r_name, n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name, n_name",
-    "semi_touched": "SELECT count(*) AS n FROM part WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_partkey = p_partkey AND l_quantity > 45)",
-    "anti_missing_children": "SELECT count(*) AS n FROM part WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_partkey = p_partkey)",
-    "range_join_tf": "SELECT band, count(*) AS n FROM events JOIN (VALUES (0.0, 100.0, 'low'), (100.0, 300.0, 'mid'), (300.0, 1000.0, 'high')) AS tf(lo, hi, band) ON value >= lo AND value < hi GROUP BY band",
-    "cross_threshold": "SELECT t, sum(CASE WHEN value < t THEN 1 ELSE 0 END) AS below FROM events CROSS JOIN (VALUES (10), (100), (250)) AS th(t) GROUP BY t",
     "agg_voxel_stats": "SELECT event_type, count(*) AS n, min(event_id) AS lo, max(event_id) AS hi, count(DISTINCT user_id) AS users FROM events GROUP BY event_type",
     "cube_axes": "SELECT coalesce(l_returnflag, 'all') AS f, coalesce(l_linestatus, 'all') AS s, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)",
     "grouping_sets_projections": "SELECT coalesce(n_regionkey, -1) AS r, coalesce(c_mktsegment, 'all') AS m, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY GROUPING SETS ((n_regionkey), (c_mktsegment))",
-    "rank_upload": "SELECT s_nationkey, s_suppkey, rk FROM (SELECT s_nationkey, s_suppkey, row_number() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC, s_suppkey) AS rk FROM supplier) AS q WHERE rk <= 3",
-    "running_budget": "SELECT p_partkey, run FROM (SELECT p_partkey, sum(p_size) OVER (PARTITION BY p_brand ORDER BY p_partkey ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS run FROM part) AS q WHERE run <= 200",
-    "ntile_pages": "SELECT tile, count(*) AS n FROM (SELECT ntile(8) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS tile FROM customer) AS q GROUP BY tile",
-    "topk_requests": "SELECT o_custkey, n FROM (SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey) AS q ORDER BY n DESC, o_custkey LIMIT 10",
-    "setop_union_requests": "SELECT user_id FROM events WHERE event_type = 'view' UNION SELECT user_id FROM events WHERE event_type = 'click'",
-    "setop_intersect_resident": "SELECT user_id FROM events WHERE event_type = 'view' INTERSECT SELECT user_id FROM events WHERE event_type = 'purchase'",
-    "setop_except_missing": "SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders",
     "string_chunk_lengths": "SELECT item_id, length(text) AS n, upper(substr(text, 1, 4)) AS head FROM benchmark",
     "slab_rollup": "SELECT r_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name",
     "page_lengths": "SELECT page_id, length(html) AS n FROM pages WHERE url LIKE 'https:%'",

@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import sql as sqlfuncs
-from ..operators import aberration, raycast, relations
+from ..operators import aberration, borders, octree, raycast, relations
 from ..operators.pool import BrickPool
 from ..sources.catalog import volume
 from ..sources.volumes import scan_events, table
@@ -32,6 +32,48 @@ def _(spark, sf_dir):
     return aberration.overlap(open_volume(spark, sf_dir, "scan")[0], 0, 1, SHIFTS)
 
 
+# --- borders, sparse channels, levels by error, capabilities ----------------------------------------
+_STEPS = "range(-1, 2)"
+
+
+@register("deferred_borders", f"""{SCAN}, w AS (SELECT DISTINCT (x + sx) // 8 AS ix, (y + sy) // 8 AS iy, (z + sz) // 8 AS iz, x, y, z, c, v FROM vox, dims, {_STEPS} AS a(sx), {_STEPS} AS b(sy), {_STEPS} AS d(sz)
+      WHERE NOT (sx = 0 AND sy = 0 AND sz = 0) AND x + sx >= 0 AND y + sy >= 0 AND z + sz >= 0 AND x + sx < (dx + 7) // 8 * 8 AND y + sy < (dy + 7) // 8 * 8 AND z + sz < (dz + 7) // 8 * 8)
+      SELECT ix, iy, iz, count(*) AS voxels, sum(v)::BIGINT AS total FROM w WHERE ix <> x // 8 OR iy <> y // 8 OR iz <> z // 8 GROUP BY 1, 2, 3""")
+def _(spark, sf_dir):
+    rows = borders.border_job(volume(spark, sf_dir, "scan").pool).filter("level = 0")
+    return rows.groupBy("ix", "iy", "iz").agg(F.count("*").alias("voxels"), F.sum("v").alias("total"))
+
+
+@register("eager_border_updates", f"""{SCAN}, own AS (SELECT DISTINCT z // 8 AS block, l AS level, (x // 8) >> CAST(l AS INT) AS ix, (y // 8) >> CAST(l AS INT) AS iy, (z // 8) >> CAST(l AS INT) AS iz FROM vox, meta, range(0, 21) AS t(l) WHERE l <= top),
+    near AS (SELECT DISTINCT block, level, ix + sx AS ix, iy + sy AS iy, iz + sz AS iz FROM own, dims, {_STEPS} AS a(sx), {_STEPS} AS b(sy), {_STEPS} AS d(sz)
+      WHERE ix + sx BETWEEN 0 AND (dx - 1) // (8 << level) AND iy + sy BETWEEN 0 AND (dy - 1) // (8 << level) AND iz + sz BETWEEN 0 AND (dz - 1) // (8 << level))
+    SELECT level, count(*) AS neighbours FROM near WHERE NOT EXISTS (SELECT 1 FROM own AS o WHERE o.block = near.block AND o.level = near.level AND o.ix = near.ix AND o.iy = near.iy AND o.iz = near.iz) GROUP BY level""")
+def _(spark, sf_dir):
+    v, vm = open_volume(spark, sf_dir, "scan")
+    return borders.eager_border_updates(v, vm, 8).filter("neighbours > 0")
+
+
+@register("sparse_channel_pack", f"WITH {O.bricks('scan')} SELECT level, sum(CAST(bmax - bmin >= 3276.75 AS INT))::BIGINT * 512 AS stored FROM stats GROUP BY level")
+def _(spark, sf_dir):
+    opened = volume(spark, sf_dir, "scan")
+    return octree.pack_sparse(opened.pool.bricks(), opened.vm, 3276.75).groupBy("level").agg(F.sum(F.size("body")).alias("stored"))
+
+
+@register("error_lod", f"WITH {O.nodes('ribbon', 25.6, 1)}, leaf AS (SELECT key FROM nodes WHERE level = 0) SELECT leaf.key, coalesce((SELECT max(n.level) FROM nodes AS n WHERE n.subspread < 25.6 AND n.key = leaf.key >> CAST(3 * n.level AS INT)), 0) AS level FROM leaf")
+def _(spark, sf_dir):
+    opened = volume(spark, sf_dir, "ribbon")
+    return octree.error_level(opened.nodes(25.6), opened.vm, 25.6)
+
+
+#: What kinds of tools can do, as published: exceeds graphics memory, exceeds main memory, shows data while it streams in, several channels.
+CAPABILITIES = [("distributed open viewer", 1, 1, 0, 1), ("neuroscience viewer", 0, 0, 0, 1), ("commercial viewer one", 1, 0, 0, 1), ("commercial viewer two", 1, 1, 0, 1), ("this engine", 1, 1, 1, 1)]
+
+
+@register("capability_matrix", f"SELECT * FROM (VALUES {', '.join(map(str, CAPABILITIES))}) AS t(tool, beyond_graphics_memory, beyond_main_memory, streams, channels)")
+def _(spark, sf_dir):
+    return spark.createDataFrame(CAPABILITIES, "tool string, beyond_graphics_memory int, beyond_main_memory int, streams int, channels int")
+
+
 # --- filters and joins ---------------------------------------------------------------------------
 @register("filter_box", f"{SCAN} SELECT c, count(*) AS n, sum(v)::BIGINT AS total FROM vox WHERE x BETWEEN 3 AND 40 AND y BETWEEN 10 AND 59 AND z BETWEEN 12 AND 77 GROUP BY c")
 def _(spark, sf_dir):
