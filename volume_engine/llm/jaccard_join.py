@@ -30,7 +30,8 @@ from pyspark.sql import functions as F
 from .common import drop_scratch, materialise, mix64, release, scratch_mark, shingle_hashes, text_batches
 from .components import connected
 
-SLICE = 1 << 20
+SLICE = 1 << 18  # bytes of text worked on at once
+STRETCH = 1 << 20  # shingles among which the frequent ones are counted
 CLASS_BITS = np.uint64(59)
 HOT_SHINGLES = 1 << 18  # rows of the broadcast frequency table, whatever the corpus
 SMALL_BUCKET = 64
@@ -85,7 +86,7 @@ def _profile(width: int):
                 once = np.zeros(n, dtype=bool)
                 once[at] = True
                 pending.append(ids[np.repeat(once, sizes)])
-                if sum(map(len, pending)) > 4_000_000:
+                if sum(map(len, pending)) > STRETCH:
                     yield from frequent(pending)
                     pending = []
             yield from frequent(pending)
