@@ -16,6 +16,7 @@ from volume_engine.functions import codec, grid
 from volume_engine.operators import aberration, borders, camera, eager, filtering, fullframe, ingest, mipmap, node_buffer, octree, paging, pool, raycast, relations, render, session
 from volume_engine.plans import more_queries, queries, registry
 from volume_engine.sources import raw_stack
+from volume_engine.streaming import stream_ingest
 from volume_engine.sources.volumes import open_volume
 
 SF = "/root/testdata/sf0.001"
@@ -126,6 +127,41 @@ def test_a_replayed_version_changes_nothing(spark, volume):
         p.insert(rows(spark, cells[:1]), 0)
 
 
+def test_compaction_keeps_the_newest_bricks_and_the_last_version(spark, volume):
+    vm, cells = volume
+    p = pool.BrickPool.create(spark, vm)
+    for k in range(0, 150, 30):
+        p.insert(rows(spark, cells[k : k + 30]))
+    before = sorted(map(str, p.bricks().collect()))
+    p.compact()
+    assert p.commits == [3, 4] and sorted(map(str, p.bricks().collect())) == before
+    assert pool.open_pool(spark, vm, p.path).commits == [3, 4]
+    p.insert(rows(spark, cells[120:]), 4)
+    assert sorted(map(str, p.bricks().collect())) == before
+
+
+def test_stream_goes_on_from_its_checkpoint(spark, tmp_path):
+    cells = scan_table(spark, tmp_path, [n % 40 for n in range(200)])
+    vm = grid.VolumeMeta("scan", (40, 100, 30), (8, 8, 8), 3)
+    files = stream_ingest.slice_batches(spark, str(tmp_path), 3)
+    p, seen = pool.BrickPool.create(spark, vm), []
+
+    def fail_at_four(version):
+        seen.append(version)
+        if version == 4:
+            raise RuntimeError("the driver is lost")
+
+    with pytest.raises(Exception, match="the driver is lost"):
+        stream_ingest.stream_build(p, files, fail_at_four, str(tmp_path / "state"), compact_every=2)
+    again = pool.open_pool(spark, vm, p.path)
+    stream_ingest.stream_build(again, files, seen.append, str(tmp_path / "state"), compact_every=2)
+    assert seen == [0, 1, 2, 3, 4, 4, 5, 6, 7, 8, 9]  # the batch that failed comes again
+    want = collections.Counter()
+    for x, y, z, v in cells:
+        want[x, y, z, 0, v] += 1
+    assert collections.Counter((r.x, r.y, r.z, r.c, r.v) for r in again.voxels(level=0).collect()) == want
+
+
 def test_plans_do_not_grow_with_the_levels(spark, volume):
     """The bricks of a version are read from files: their plan is a scan, whatever the depth."""
     vm, cells = volume
@@ -331,13 +367,19 @@ def test_viewer_goes_from_full_frames_to_refinement_and_back(spark, volume, tmp_
     assert viewer.fetched(viewer.samples(), render.resolve(viewer.samples(), nodes, viewer.resident)).filter("c = 1").count() == 0
 
 
+def test_gallery(spark, tmp_path):
+    for path in experiments.gallery(spark, SF, str(tmp_path), 8):
+        with open(path, "rb") as f:
+            assert f.read(11) == b"P6 8 8 255\n" and any(f.read())
+
+
 def test_experiments_run(spark):
     built = experiments.run_build(spark, SF, "ribbon")
     assert built["bricks"] == 110 and 0 < built["pool_over_data"] < 2
     turned = experiments.run_rotation(spark, SF, "ribbon", frames=2, pixels=6, slots=16, projection="mip")
     assert turned["frames"] == 2 and abs(sum(turned["sources"].values()) - 1) < 0.01
-    few, many = (experiments.run_refinement(spark, SF, "ribbon", slots=k, pixels=6) for k in (4, 500))
-    assert few["passes"] > many["passes"] and few["needed"] == many["needed"] <= min(few["uploads"], many["uploads"])
+    few, many = (experiments.run_refinement(spark, SF, "ribbon", slots=k, pixels=6) for k in (1, 500))
+    assert few["passes"] >= max(few["needed"], many["passes"]) and few["needed"] == many["needed"] <= min(few["uploads"], many["uploads"])
     capped = experiments.run_refinement(spark, SF, "ribbon", slots=500, pixels=6, cap_pages=1)
     assert capped["page_switches"] >= many["page_switches"]
 
@@ -526,6 +568,8 @@ def test_refined_image_equals_the_direct_one(spark, slots):
     image, passes, uploads = fullframe.refine_image(shaded, slots, storage.keep)
     bricks = len({c[5] for c in cells})
     assert passes >= -(-bricks // slots) and uploads >= bricks
+    projected, mip_passes, _ = fullframe.refine_mip(shaded, slots, storage.keep)
+    assert mip_passes == passes and sorted(map(tuple, projected.collect())) == sorted(map(tuple, raycast.mip_image(shaded).collect()))
     want = {r.px: r for r in raycast.dvr_window(shaded).collect()}
     got = {r.px: r for r in image.collect()}
     assert set(got) == set(want) and all(r.samples == want[k].samples for k, r in got.items())

@@ -15,6 +15,7 @@ from . import storage
 from .operators import camera as cam
 from .operators import fullframe, ingest, octree, paging, raycast, render
 from .operators.pool import BrickPool
+from .sources import raw_stack
 from .sources.catalog import volume
 from .streaming import stream_ingest
 
@@ -91,7 +92,7 @@ def run_rotation(spark: SparkSession, sf_dir: str, name: str, frames: int = 8, p
     return {"frames": frames, "s_per_frame": round(sum(seconds) / frames, 3), "requests": sum(p["requests"] for p in passes), "uploads": sum(p["uploads"] for p in passes), "page_loads": loads, "sources": {k: round(n / total, 4) for k, n in sorted(kinds.items())}}
 
 
-def run_refinement(spark: SparkSession, sf_dir: str, name: str, slots: int = 64, pixels: int = 32, cap_pages: int | None = None) -> dict:
+def run_refinement(spark: SparkSession, sf_dir: str, name: str, slots: int = 64, pixels: int = 32, projection: str = "dvr", cap_pages: int | None = None) -> dict:
     """Refinement of one view to its end: seconds, passes, uploads and, with a cap on pages, page switches."""
     opened, nodes, averages = scene(spark, sf_dir, name)
     vm = opened.vm
@@ -99,10 +100,11 @@ def run_refinement(spark: SparkSession, sf_dir: str, name: str, slots: int = 64,
     samples = view_samples(spark, vm, view, max(1.0, max(vm.dims) / 128))
     resolved = render.resolve(samples, nodes, nodes.select("level", "key").limit(0), "direct")
     need = storage.keep(resolved.filter("up = 0").select("px", "py", "i", "level", "key"), "needed")
-    shaded = raycast.transfer(render.fetch(resolved, opened.pool.bricks(), averages, vm), vm.hi)
+    fetched = render.fetch(resolved, opened.pool.bricks(), averages, vm)
     # samples of homogeneous nodes wait for nothing: their key is null
-    shaded = shaded.join(need.select("px", "py", "i", (F.col("key") * 32 + F.col("level")).alias("key")), ["px", "py", "i"], "left")
-    (_, passes, uploads), seconds = timed(lambda: fullframe.refine_image(shaded, slots, storage.keep))
+    fetched = fetched.join(need.select("px", "py", "i", (F.col("key") * 32 + F.col("level")).alias("key")), ["px", "py", "i"], "left")
+    work = (lambda: fullframe.refine_mip(fetched, slots, storage.keep)) if projection == "mip" else (lambda: fullframe.refine_image(raycast.transfer(fetched, vm.hi), slots, storage.keep))
+    (_, passes, uploads), seconds = timed(work)
     out = {"refine_s": seconds, "passes": passes, "uploads": uploads, "needed": need.select("level", "key").distinct().count()}
     order = need.groupBy("level", "key").agg(F.min("i").alias("first")).withColumn("cache", F.lit(0).cast("long"))
     order = order.select("cache", (F.col("first") * (1 << 40) + F.col("key")).alias("seq"), "level", "key")
@@ -148,3 +150,23 @@ def guarded_bruteforce(voxels: DataFrame, vm, samples: DataFrame, max_bytes: int
     if size > max_bytes:
         raise MemoryError(f"the volume takes {size} bytes, more than the {max_bytes} there are")
     return raycast.fetch(samples, voxels)
+
+
+def gallery(spark: SparkSession, sf_dir: str, folder: str, pixels: int = 64) -> list[str]:
+    """Six pictures: three volumes, each as maximum projection and composited; heat colours for one channel, red, green and blue for three."""
+    written = []
+    for name in ("ribbon", "scan", "sales"):
+        opened = volume(spark, sf_dir, name)
+        vm = opened.vm
+        rays = raycast.ortho_rays(spark, vm, pixels, pixels)
+        hits = opened.pool.voxels(level=0).join(F.broadcast(rays), ["x", "y"]).selectExpr("px", "py", "z as i", "c", "v")
+        top = raycast.mip_image(hits)
+        if vm.channels == 1:
+            r, g, b = raycast.heat(F.col("v").cast("double"), vm.hi)
+            flat = top.select("px", "py", r.alias("r"), g.alias("g"), b.alias("b"))
+        else:
+            flat = top.groupBy("px", "py").agg(*(F.coalesce(F.max(F.when(F.col("c") == c, F.col("v") / vm.hi)), F.lit(0.0)).alias(k) for c, k in enumerate("rgb")))
+        for kind, image in (("mip", flat), ("dvr", raycast.dvr_window(raycast.transfer(hits, vm.hi)))):
+            written.append(f"{folder}/{name}-{kind}.ppm")
+            raw_stack.write_image(image, written[-1], pixels, pixels)
+    return written

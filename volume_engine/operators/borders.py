@@ -54,8 +54,8 @@ def cross_level(samples: DataFrame, pool: BrickPool, blend: str = "f") -> DataFr
     """px, py, i, c, v filtered across two levels: trilinear at level 0 and at level 1, blended by the column ``blend`` in [0, 1]."""
     fine = trilinear(samples, pool.voxels(level=0).drop("level"), pool.vm)
     at = {a: (F.col(a) + F.col(f"f{a}") + 0.5) / 2 - 0.5 for a in AXES}
-    halved = samples.select("px", "py", "i", blend, *(F.greatest(F.lit(0.0), c).alias(f"p{a}") for a, c in at.items()))
-    halved = halved.select("px", "py", "i", *(F.floor(f"p{a}").cast("int").alias(a) for a in AXES), *((F.col(f"p{a}") - F.floor(f"p{a}")).alias(f"f{a}") for a in AXES))
+    halved = samples.select("px", "py", "i", blend, *(F.greatest(F.lit(0.0), c).alias(f"q{a}") for a, c in at.items()))
+    halved = halved.select("px", "py", "i", *(F.floor(f"q{a}").cast("int").alias(a) for a in AXES), *((F.col(f"q{a}") - F.floor(f"q{a}")).alias(f"f{a}") for a in AXES))
     coarse = trilinear(halved, pool.voxels(level=1).drop("level"), level_meta(pool.vm, 1)).withColumnRenamed("v", "w")
     both = fine.join(coarse, ["px", "py", "i", "c"], "full").join(samples.select("px", "py", "i", blend), ["px", "py", "i"])
     mixed = (1 - F.col(blend)) * F.coalesce("v", F.lit(0.0)) + F.col(blend) * F.coalesce("w", F.lit(0.0))

@@ -97,6 +97,32 @@ def refine_image(shaded: DataFrame, slots: int, keep, most_passes: int = 1000) -
     raise RuntimeError("refinement did not end")
 
 
+def refine_mip(fetched: DataFrame, slots: int, keep, most_passes: int = 1000) -> tuple[DataFrame, int, int]:
+    """The finished maximum projection (px, py, c, v) of refinement, with its passes and uploads.
+
+    ``fetched`` (px, py, i, c, key, v) as for ``refine_image``; a ray keeps its place and its greatest
+    intensities so far.  No ray ends early, so every brick is loaded that a sample needs.
+    """
+    fetched = keep(fetched.select("px", "py", "i", "c", "key", "v"))
+    places = keep(fetched.select("px", "py").distinct().withColumn("at", F.lit(-1)))
+    best = fetched.select("px", "py", "c", "v").limit(0)
+    passes = uploads = 0
+    resident = fetched.select("key").filter("false")
+    while passes < most_passes:
+        ahead = fetched.join(places.filter("at is not null"), ["px", "py"]).filter("i >= at").drop("at")
+        halts = keep(halt_points(ahead.select("px", "py", "i", "key"), resident))
+        part = ahead.join(halts, ["px", "py"]).filter("halt is null or i < halt").select("px", "py", "c", "v")
+        best = keep(best.unionByName(part).groupBy("px", "py", "c").agg(F.max("v").alias("v")))
+        waiting = ahead.join(halts, ["px", "py"]).filter("i = halt").select("px", "py", "key").distinct()
+        resident = keep(waiting.groupBy("key").agg(F.count("*").alias("rays")).orderBy(F.desc("rays"), "key").limit(slots).select("key"))
+        loaded = resident.count()
+        if not loaded:
+            return best, passes, uploads
+        passes, uploads = passes + 1, uploads + loaded
+        places = halts.withColumnRenamed("halt", "at")
+    raise RuntimeError("refinement did not end")
+
+
 def halo_voxels(voxels: DataFrame, vm: VolumeMeta, sides: int = 2) -> DataFrame:
     """Voxels that bricks hold beyond their own: one row per (brick, border voxel), one or two sides."""
     steps = [-1, 0, 1] if sides == 2 else [-1, 0]

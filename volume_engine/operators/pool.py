@@ -269,14 +269,15 @@ class BrickPool:
         return rows.withColumn("shard", shard)
 
     def _rows(self, versions: list[int]) -> DataFrame:
-        """Newest brick of each (level, key) among some versions: the keys decide, and only bodies that win are read on."""
+        """Newest brick of each (level, key) among some versions: one scan of the bodies and one of the keys, which decide."""
+        names = [f.split()[0] for f in SCHEMA.split(", ")]
         if not versions:
             return self.spark.createDataFrame([], SCHEMA)
-        parts = [self.spark.read.schema(SCHEMA).parquet(self._folder(v)) if storage.exists(self.spark, self._folder(v)) else self.spark.createDataFrame([], SCHEMA) for v in versions]
-        out = parts[0]
-        for part in parts[1:]:
-            out = out.join(part.select("level", "key"), ["level", "key"], "left_anti").unionByName(part)
-        return out
+        rows = self.spark.read.schema(f"version int, {SCHEMA}").option("basePath", self.path).parquet(*map(self._folder, versions))
+        if len(versions) > 1:
+            newest = rows.groupBy("level", "key").agg(F.max("version").alias("version"))
+            rows = rows.join(newest, ["level", "key", "version"], "left_semi")
+        return rows.select(*names)
 
     def bricks(self, version: int | None = None) -> DataFrame:
         """Bricks as of a version (default: the last): level, key, ix, iy, iz, n, body and statistics per channel."""
@@ -297,6 +298,25 @@ class BrickPool:
         out.commit(self.bricks())
         return out
 
+    def compact(self) -> None:
+        """Put all versions but the last into one, in place, so that readers scan two folders; older states cannot be read any more.
+
+        The last version stays apart, as a stream may commit it again.
+        """
+        early = self.commits[:-1]
+        if len(early) < 2:
+            return
+        merged = f"{self.path}/_merged-{early[-1]}"
+        self._rows(early).sortWithinPartitions("level", "key").write.mode("overwrite").partitionBy("level").parquet(merged)
+        storage.touch(self.spark, f"{merged}/{DONE}")
+        self._replace(early, merged)
+        self.commits = self.commits[-2:]
+
+    def _replace(self, versions: list[int], merged: str) -> None:
+        for v in versions:
+            storage.drop(self.spark, self._folder(v))
+        storage.rename(self.spark, merged, self._folder(versions[-1]))
+
     def commit(self, bricks: DataFrame) -> int:
         """Write finished bricks as the next version."""
         version = self.commits[-1] + 1 if self.commits else 0
@@ -305,8 +325,7 @@ class BrickPool:
         return self._mark(version)
 
     def _mark(self, version: int) -> int:
-        marker, system = storage.hadoop_path(self.spark, f"{self._folder(version)}/{DONE}")
-        system.create(marker).close()
+        storage.touch(self.spark, f"{self._folder(version)}/{DONE}")
         self.commits = [*(v for v in self.commits if v != version), version]
         return version
 
@@ -374,8 +393,15 @@ def parents_of(bricks: DataFrame, vm: VolumeMeta, level: int) -> DataFrame:
 
 
 def open_pool(spark: SparkSession, vm: VolumeMeta, path: str) -> BrickPool:
-    """A pool that was written before: its versions are the folders with the marker."""
+    """A pool that was written before: its versions are the folders with the marker; a compaction that was cut off is finished."""
     where, system = storage.hadoop_path(spark, path)
     found = [f.getPath().getName() for f in system.listStatus(where)] if system.exists(where) else []
-    versions = sorted(int(n.split("=")[1]) for n in found if n.startswith("version=") and storage.exists(spark, f"{path}/{n}/{DONE}"))
-    return BrickPool(spark, vm, path, versions)
+    done = [n for n in found if storage.exists(spark, f"{path}/{n}/{DONE}")]
+    versions = sorted(int(n.split("=")[1]) for n in done if n.startswith("version="))
+    pool = BrickPool(spark, vm, path, versions)
+    for n in done:
+        if n.startswith("_merged-"):
+            last = int(n.split("-")[1])
+            pool._replace([v for v in versions if v < last] + [last], f"{path}/{n}")
+            pool.commits = [last] + [v for v in versions if v > last]
+    return pool

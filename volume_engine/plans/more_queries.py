@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from .. import storage
 from ..functions import codec, grid
-from ..operators import fullframe, ingest, mipmap, node_buffer, octree, paging, raycast
+from ..operators import fullframe, ingest, mipmap, node_buffer, octree, paging, raycast, traverse
 from ..operators import pool as brick_pool
 from ..operators.pool import BrickPool
 from ..sources.catalog import volume
@@ -594,9 +594,31 @@ def _(spark, sf_dir):
     return n.withColumn("pkey", F.shiftright("key", 3)).join(p, ["level", "pkey"]).select("level", "key", "parent_spread")
 
 
-@register("locate_nodes", f"WITH {O.nodes('ribbon', 25.6, 1)}, need AS (SELECT DISTINCT {O.morton('x // 4', 'y // 4', 'z // 4')} AS key FROM vox) SELECT need.key, min(kept.level) AS level FROM need, kept WHERE kept.key = need.key >> CAST(3 * kept.level AS INT) GROUP BY need.key")
+_LOCATE = f"WITH {O.nodes('ribbon', 25.6, 1)}, need AS (SELECT DISTINCT {O.morton('x // 4', 'y // 4', 'z // 4')} AS key FROM vox) SELECT need.key, min(kept.level) AS level FROM need, kept WHERE kept.key = need.key >> CAST(3 * kept.level AS INT) GROUP BY need.key"
+
+for _name, _way in (("locate_nodes", traverse.locate_by_key), ("locate_nodes_by_level", traverse.locate_by_level), ("locate_nodes_sorted", traverse.locate_sorted)):
+    @register(_name, _LOCATE)
+    def _(spark, sf_dir, way=_way):
+        n, vm = nodes_of(spark, sf_dir, "ribbon")
+        return way(n.filter("level = 0").select("key"), octree.collapse(n, vm), vm.top)
+
+
+@register("locate_per_channel", f"""WITH {O.nodes('scan', 3276.75, 3)}, need AS (SELECT key FROM nodes WHERE level = 0), per AS (SELECT c, level, ix, iy, iz, {O.morton('ix', 'iy', 'iz')} AS key, CAST(smax - smin < 3276.75 AS INT) AS sub FROM stats),
+    tree AS (SELECT c, level, key FROM per AS a WHERE NOT EXISTS (SELECT 1 FROM per AS p WHERE p.c = a.c AND p.level = a.level + 1 AND p.key = a.key >> 3 AND p.sub = 1))
+    SELECT need.key, c, min(tree.level) AS level FROM need, tree WHERE tree.key = need.key >> CAST(3 * tree.level AS INT) GROUP BY need.key, c""")
+def _(spark, sf_dir):
+    opened = volume(spark, sf_dir, "scan")
+    bricks = opened.pool.bricks()
+    return traverse.locate_per_channel(bricks.filter("level = 0").select("key"), traverse.channel_trees(bricks, 3, 3276.75), opened.vm.top)
+
+
+@register("homogeneous_bricks", f"WITH {O.nodes('scan', 3276.75, 3)} SELECT level, key, avg0, avg1, avg2 FROM nodes WHERE homog = 1")
+def _(spark, sf_dir):
+    return nodes_of(spark, sf_dir, "scan")[0].filter("homog").select("level", "key", "avg0", "avg1", "avg2")
+
+
+@register("metric_parent_updates", " UNION ALL ".join(f"SELECT * FROM ({SCAN} SELECT {p} AS per_block, count(*) AS updates, sum(CAST(level > 0 AS INT))::BIGINT AS parents FROM (SELECT DISTINCT z // {p} AS block, l AS level, (x // 8) // (1 << l) AS ix, (y // 8) // (1 << l) AS iy, (z // 8) // (1 << l) AS iz FROM vox, meta, range(0, 21) AS t(l) WHERE l <= top) AS q) AS p{p}" for p in (1, 8, 40)))
 def _(spark, sf_dir):
-    n, vm = nodes_of(spark, sf_dir, "ribbon")
-    kept = octree.collapse(n, vm).select("level", F.col("key").alias("at"))
-    need = n.filter("level = 0").select("key").withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(vm.top)))).withColumn("at", F.expr("shiftright(key, 3 * level)"))
-    return need.join(kept, ["level", "at"]).groupBy("key").agg(F.min("level").alias("level"))
+    v, vm = open_volume(spark, sf_dir, "scan")
+    each = (ingest.parent_updates(v, vm, p).agg(F.sum("updates").alias("updates"), F.sum(F.when(F.col("level") > 0, F.col("updates"))).alias("parents")).withColumn("per_block", F.lit(p)) for p in (1, 8, 40))
+    return reduce(DataFrame.unionByName, each)

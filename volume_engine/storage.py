@@ -8,6 +8,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _own_dir: str | None = None
+_written: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -23,7 +24,8 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    _written.append(f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}")
+    return _written[-1]
 
 
 def keep(df: DataFrame, label: str = "kept") -> DataFrame:
@@ -33,6 +35,12 @@ def keep(df: DataFrame, label: str = "kept") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def clean(spark: SparkSession) -> None:
+    """Delete every folder this process has asked for; nothing lazy may read them any more."""
+    while _written:
+        drop(spark, _written.pop())
+
+
 def hadoop_path(spark: SparkSession, path: str):
     """The Hadoop path and its file system."""
     where = spark._jvm.org.apache.hadoop.fs.Path(path)
@@ -49,6 +57,17 @@ def drop(spark: SparkSession, path: str) -> None:
     system.delete(where, True)
 
 
+def rename(spark: SparkSession, path: str, to: str) -> None:
+    where, system = hadoop_path(spark, path)
+    if not system.rename(where, hadoop_path(spark, to)[0]):
+        raise OSError(f"{path} cannot be renamed to {to}")
+
+
+def touch(spark: SparkSession, path: str) -> None:
+    where, system = hadoop_path(spark, path)
+    system.create(where).close()
+
+
 def bytes_of(spark: SparkSession, path: str) -> int:
     where, system = hadoop_path(spark, path)
     return int(system.getContentSummary(where).getLength())

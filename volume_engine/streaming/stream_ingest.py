@@ -48,14 +48,17 @@ def slice_batches(spark: SparkSession, sf_dir: str, slices: int) -> str:
     return path
 
 
-def stream_build(pool: BrickPool, path: str, after=None) -> int:
+def stream_build(pool: BrickPool, path: str, after=None, checkpoint: str | None = None, compact_every: int = 8) -> int:
     """Build a pool from streamed contributions (x, y, z, c, v): a version per micro-batch; return the number of versions.
 
+    With the same ``checkpoint`` and ``pool.open_pool`` a new driver goes on where the last one stopped.
+
     A micro-batch adds to what its voxels held before, as a scanner that visits a place again does.
     A replayed batch overwrites the version of its number, and what it adds to is read from the versions
     before it, so a restart changes nothing.  ``after(version)`` is called when a version can be read.
     """
     spark = pool.spark
+    versions: set[int] = set()
     cell = ["x", "y", "z", "c"]
     schema = spark.read.parquet(path).schema
 
@@ -66,13 +69,16 @@ def stream_build(pool: BrickPool, path: str, after=None) -> int:
             old = pool.voxels(earlier[-1], 0).select(*cell, F.col("v").alias("was"))
             fresh = fresh.join(old, cell, "left").select(*cell, (F.col("v") + F.coalesce("was", F.lit(0))).alias("v"))
         pool.insert(fresh.withColumn("v", F.least("v", F.lit(pool.vm.hi))), number)
+        versions.add(number)
+        if len(pool.commits) > compact_every:
+            pool.compact()
         if after is not None:
             after(number)
 
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(path)
-    checkpoint = storage.new_path(spark, "stream-state")
+    checkpoint = checkpoint or storage.new_path(spark, "stream-state")
     stream.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
-    return len(pool.commits)
+    return len(versions)
 
 
 def session_runs(spark, sf_dir, gap: str = "6 hours") -> DataFrame:
