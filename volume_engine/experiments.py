@@ -101,8 +101,7 @@ def run_refinement(spark: SparkSession, sf_dir: str, name: str, slots: int = 64,
     resolved = render.resolve(samples, nodes, nodes.select("level", "key").limit(0), "direct")
     need = storage.keep(resolved.filter("up = 0").select("px", "py", "i", "level", "key"), "needed")
     fetched = render.fetch(resolved, opened.pool.bricks(), averages, vm)
-    # samples of homogeneous nodes wait for nothing: their key is null
-    fetched = fetched.join(need.select("px", "py", "i", (F.col("key") * 32 + F.col("level")).alias("key")), ["px", "py", "i"], "left")
+    fetched = render.waiting(fetched, resolved)
     work = (lambda: fullframe.refine_mip(fetched, slots, storage.keep)) if projection == "mip" else (lambda: fullframe.refine_image(raycast.transfer(fetched, vm.hi), slots, storage.keep))
     (_, passes, uploads), seconds = timed(work)
     out = {"refine_s": seconds, "passes": passes, "uploads": uploads, "needed": need.select("level", "key").distinct().count()}

@@ -55,6 +55,16 @@ def fetch(resolved: DataFrame, bricks: DataFrame, averages: DataFrame, vm: Volum
     return opened.select("px", "py", "i", "c", F.col("v").cast("long").alias("v")).unionByName(mean.select("px", "py", "i", F.col("c").cast("int").alias("c"), F.col("v").cast("long").alias("v")))
 
 
+def waiting(fetched: DataFrame, resolved: DataFrame) -> DataFrame:
+    """Fetched intensities with the brick (``key``) that each sample waits for, null where the node is homogeneous.
+
+    A sample that meets nothing but background still needs its brick: it counts as an intensity of 0.
+    """
+    need = resolved.filter("up < 3").select("px", "py", "i", (F.expr("shiftright(key, 3 * up)") * 32 + F.col("level") + F.col("up")).alias("key"))
+    rows = fetched.join(need, ["px", "py", "i"], "full")
+    return rows.select("px", "py", "i", F.coalesce("c", F.lit(0)).alias("c"), F.coalesce("v", F.lit(0)).alias("v"), "key")
+
+
 def image(fetched: DataFrame, projection: str, shade: Callable[[DataFrame], DataFrame], alpha_stop: float | None = None) -> DataFrame:
     """``mip``: px, py, c, v; ``dvr``: px, py, r, g, b, a, samples with ``shade`` as the transfer function."""
     if projection == "mip":

@@ -105,8 +105,7 @@ class Viewer:
         samples = self.samples()
         if self.session.step("idle") == "refine":
             direct = render.resolve(samples, self.nodes, self.nodes.select("level", "key").limit(0), "direct")
-            need = direct.filter("up = 0").select("px", "py", "i", (F.col("key") * 32 + F.col("level")).alias("key"))
-            shaded = self.shade(self.fetched(samples, direct)).join(need, ["px", "py", "i"], "left")
+            shaded = self.shade(render.waiting(self.fetched(samples, direct), direct))
             image, passes, uploads = fullframe.refine_image(shaded, self.slots, storage.keep)
             return {"mode": "refine", "passes": passes, "uploads": uploads, "image": self.publish(image, 0)}
         if self.resident is None:
