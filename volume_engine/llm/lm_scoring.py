@@ -106,6 +106,13 @@ class Nodes:
         self.weighted = np.logaddexp(LOG_HALF + self.kt, LOG_HALF + children)
         self.stop = np.exp(LOG_HALF + self.kt - self.weighted)
 
+    @classmethod
+    def ready(cls, ids, n0, n1, stop) -> Nodes:
+        """Nodes that are only looked up, from their plain arrays."""
+        out = cls.__new__(cls)
+        out.ids, out.n0, out.n1, out.stop = ids, n0, n1, stop
+        return out
+
     def lookup(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if not len(self.ids):
             return np.zeros(len(ids), np.int64), np.zeros(len(ids), bool)
@@ -271,7 +278,7 @@ def _upper_levels(rows: pd.DataFrame) -> list[list[Nodes]]:
 def _gram_scores(depth: int, upper):
     def run(table: pa.Table) -> pa.Table:
         keys, counts = _merge([table["key"].to_numpy().astype(np.uint64)], [table["n"].to_numpy().astype(float)])
-        values = predict(keys, depth, SUBTREE, build(keys, counts, depth, SUBTREE), upper.value)
+        values = predict(keys, depth, SUBTREE, build(keys, counts, depth, SUBTREE), [[Nodes.ready(*plain) for plain in level] for level in upper.value])
         return pa.table({"key": keys.astype(np.int64), "value": values})
 
     return run
@@ -330,7 +337,8 @@ def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, block_bytes: int
     roots = by_subtree.applyInArrow(_upper_rows(depth), "bit int, id long, n0 double, n1 double, weighted double")
     above = roots.groupBy("bit", F.expr("shiftleft(shiftright(id, 16), 8) | (id & 255)").alias("id")).agg(*(F.sum(k).alias(k) for k in ("n0", "n1", "weighted")))
     # at most 256^2 contexts of 255 nodes, whatever the corpus: the driver may hold them
-    upper = spark.sparkContext.broadcast(_upper_levels(above.toPandas()))
+    # broadcast as plain arrays: executors need no copy of this package to read them
+    upper = spark.sparkContext.broadcast([[(n.ids, n.n0, n.n1, n.stop) for n in level] for level in _upper_levels(above.toPandas())])
     model = by_subtree.applyInArrow(_gram_scores(depth, upper), "key long, value double").unionByName(words.select("key", F.col("n").cast("double").alias("value")))
     known = tokens.select("block", "key").join(model, "key").select("block", "key", "value")
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, n_bytes long, base_score double, score double"

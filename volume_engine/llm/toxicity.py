@@ -198,7 +198,7 @@ def learn(docs: DataFrame, labels: DataFrame, positives: int = 3000, negatives:
 
 def _scores(model):
     def run(batches):
-        machine = model.value
+        machine = Machine(*model.value)
         for batch in batches:
             for first, texts in text_batches(batch["text"], SLICE):
                 doc, slot, count = terms(texts)
@@ -211,7 +211,9 @@ def _scores(model):
 def score_toxicity(docs: DataFrame, labels: DataFrame, held_out, positives: int = 3000, negatives: int = 5000) -> DataFrame:
     """doc_id, held_out, score and predicted of every row of ``docs`` (doc_id, text); learns outside ``held_out`` only."""
     docs, labels = docs.select("doc_id", "text"), labels.select("doc_id", "label")
-    model = docs.sparkSession.sparkContext.broadcast(learn(docs, labels.filter(~held_out), positives, negatives))
+    fitted = learn(docs, labels.filter(~held_out), positives, negatives)
+    # broadcast as plain values: executors need no copy of this package to read them
+    model = docs.sparkSession.sparkContext.broadcast((fitted.bias, fitted.slots, fitted.weights, fitted.vectors))
     scored = docs.select("doc_id", "text", held_out.alias("held_out")).mapInArrow(_scores(model), "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", F.when(F.col("score") >= 0.5, 1).otherwise(0))
 
